@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+from .packing import op8_packing
+from .rules import op10_rules
 from .sst import op2_sst
 
 
 def queries():
-    return {"op2_sst": op2_sst}
+    return {"op2_sst": op2_sst, "op8_packing": op8_packing, "op10_rules": op10_rules}
 
 
 def oracle_sql():
