@@ -1,66 +1,110 @@
 """Exact, memoised encoding with the tokenizers library.
 
 Both vocabularies cut a text at white space before merging, so a text's ids are the ids of its
-white-space pieces in order. Pieces are encoded by the library once and then looked up. Texts
-with rare white space or special-token marks go through the library whole.
+white-space pieces in order. Pieces are encoded by the library once and then looked up; a piece of
+plain letters goes straight to the library's merge model. Texts whose white space is not single
+spaces and line feeds, or that hold marks of special tokens, go through the library whole.
 """
 
 from __future__ import annotations
 
 import os
-import re
 
 import numpy as np
 
-#: White space about which the libraries may disagree, and the start of special tokens.
-_UNUSUAL = re.compile("<\\||[\x1c-\x1f\x85\xa0 ᠎ -‏ -  -⁤　﻿]")
-#: A piece keeps one leading space, as byte-level cutting does.
-_SPACED = re.compile(r" ?[^\s]+|\s+(?!\S)|\s+")
+#: Punctuation that can follow a word; an apostrophe could begin a contraction, so it is not here.
+_TAIL = ".,!%*#$&;:?|()-"
+
+
+def _byte_letters() -> dict[int, int]:
+    """The byte-level alphabet: printable bytes stand for themselves, the others follow at 256."""
+    plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in plain]
+    return {b: b for b in plain} | {b: 256 + i for i, b in enumerate(rest)}
+
+
+_LETTERS = _byte_letters()
+
+
+def _plain(text: str) -> bool:
+    """White space is only single spaces and line feeds between words, without special marks."""
+    if "<|" in text or "  " in text or "\n\n" in text or " \n" in text or "\n " in text:
+        return False
+    return text.replace("\n", "x").isprintable() and not (text[0].isspace() or text[-1].isspace())
+
+
+class _Memo(dict):
+    """Ids of pieces as bytes, with the entries of the generation before."""
+
+    def __init__(self, make, before: dict):
+        self.make, self.before = make, before
+
+    def __missing__(self, piece: str) -> bytes:
+        ids = self.before.get(piece)
+        if ids is None:
+            ids = self.make(piece)
+        self[piece] = ids
+        return ids
 
 
 class PieceEncoder:
-    """Texts to little-endian uint32 bytes. ``memo_limit`` bounds the memory of a worker."""
+    """Texts to little-endian uint32 bytes. Twice ``memo_limit`` pieces bound a worker's memory.
+
+    ``spaced``: pieces keep the space before them and case matters, as in byte-level cutting;
+    otherwise white space is dropped and letters are lower-cased.
+    """
 
-    def __init__(self, path: str, *, spaced: bool, memo_limit: int = 300_000):
+    def __init__(self, path: str, *, spaced: bool, memo_limit: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.cut = _SPACED.findall if spaced else str.split
-        self.memo: dict[str, bytes] = {}
-        self.memo_limit = memo_limit
+        self.merge = self.tokenizer.model.tokenize
+        self.spaced, self.memo_limit = spaced, memo_limit
+        self.inner = _Memo(self._inner, {})  # after a space
+        self.first = _Memo(self._whole, {})  # at a line's start, and tails
 
     def _whole(self, text: str) -> bytes:
         return np.asarray(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
 
+    def _inner(self, piece: str) -> bytes:
+        stem = piece.rstrip(_TAIL)
+        if stem != piece and stem.isalpha():
+            return self.inner[stem] + self.first[piece[len(stem) :]]
+        if piece.isalpha():
+            try:
+                piece.encode("latin-1")  # letters whose lower case and composition are simple
+            except UnicodeEncodeError:
+                pass
+            else:
+                text = " " + piece if self.spaced else piece.lower()
+                mapped = text.encode().decode("latin-1").translate(_LETTERS)
+                return np.asarray([t.id for t in self.merge(mapped)], dtype="<u4").tobytes()
+        return self._whole(" " + piece if self.spaced and piece else piece or (" " if self.spaced else ""))
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        out: list[bytes | None] = [None] * len(texts)
-        at = 0
-        while at < len(texts):
-            cuts, size = [], 0
-            while at < len(texts) and size < 400_000:  # pieces looked up together
-                t = texts[at]
-                if _UNUSUAL.search(t):
-                    out[at] = self._whole(t)
-                else:
-                    pieces = self.cut(t)
-                    cuts.append((at, pieces))
-                    size += len(pieces)
-                at += 1
-            memo = self.memo
-            new = set().union(*(p for _, p in cuts)).difference(memo) if cuts else set()
-            if new:
-                if len(memo) + len(new) > self.memo_limit:
-                    memo.clear()
-                    new = set().union(*(p for _, p in cuts))
-                new = list(new)
-                for s in range(0, len(new), 20_000):
-                    part = new[s : s + 20_000]
-                    for piece, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False)):
-                        memo[piece] = np.asarray(e.ids, dtype="<u4").tobytes()
-            look = memo.__getitem__
-            for i, pieces in cuts:
-                out[i] = b"".join(map(look, pieces))
+        if len(self.inner) > self.memo_limit:
+            self.inner = _Memo(self._inner, dict(self.inner))
+        if len(self.first) > self.memo_limit // 4:
+            self.first = _Memo(self._whole, {})
+        inner, first, out = self.inner.__getitem__, self.first.__getitem__, []
+        for text in texts:
+            if not text:
+                out.append(b"")
+            elif not _plain(text):
+                out.append(self._whole(text))
+            elif self.spaced:
+                parts = []
+                for line in text.split("\n"):
+                    head, _, rest = line.partition(" ")
+                    parts.append(first(head))
+                    if rest:
+                        parts.extend(map(inner, rest.split(" ")))
+                    parts.append(first("\n"))
+                parts.pop()
+                out.append(b"".join(parts))
+            else:
+                out.append(b"".join(map(inner, text.replace("\n", " ").split(" "))))
         return out
 
 

@@ -2,13 +2,21 @@
 
 from __future__ import annotations
 
+from .decontaminate import op7_decontaminate
 from .packing import op8_packing
 from .rules import op10_rules
+from .secrets import op9_secrets
 from .sst import op2_sst
 
 
 def queries():
-    return {"op2_sst": op2_sst, "op8_packing": op8_packing, "op10_rules": op10_rules}
+    return {
+        "op2_sst": op2_sst,
+        "op7_decontaminate": op7_decontaminate,
+        "op8_packing": op8_packing,
+        "op9_secrets": op9_secrets,
+        "op10_rules": op10_rules,
+    }
 
 
 def oracle_sql():

@@ -16,14 +16,24 @@ T = {p: Tokenizer.from_file(p) for p in (BYTE, WORD)}
 E = {BYTE: PieceEncoder(BYTE, spaced=True, memo_limit=500), WORD: PieceEncoder(WORD, spaced=False, memo_limit=500)}
 
 
-@settings(max_examples=150, deadline=None)
-@given(st.lists(st.one_of(st.text(max_size=40), st.text(alphabet="ab'sS 1é!\n\t  ́Σσ<|", max_size=60)), max_size=6))
+WORDS = ["the", "thin,", "Élan", "été.", "it's", "x-ray", "AB!!", "de%%%", "<|endoftext|>", "a1b2", "ß", "\u0130x", "e\u0301", "\u4e2d\u6587", "", "\t", "\r", "'s", "\u2003", "\x1c", "end.'t", "\U0001f600", "\u03a3\u03c3"]
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.one_of(st.text(max_size=40), st.lists(st.tuples(st.sampled_from(WORDS), st.sampled_from([" ", "\n", "  ", "\n\n", "", " \n"])), max_size=12).map(lambda x: "".join(a + b for a, b in x))), max_size=6))
 def test_encoder_equals_library(texts):
     for p in (BYTE, WORD):
         got = [np.frombuffer(b, "<u4").tolist() for b in E[p].encode(texts)]
         assert got == [T[p].encode(t, add_special_tokens=False).ids for t in texts]
 
 
+def test_encoder_equals_library_on_given_texts():
+    import pyarrow.parquet as pq
+
+    texts = pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["text"]).column(0).to_pylist()[:400]
+    test_encoder_equals_library.hypothesis.inner_test(texts)
+
+
 def test_round_trip_and_lookup():
     buf = io.BytesIO()
     w = sst.Writer(buf, id_bytes=2, block_bytes=200)
