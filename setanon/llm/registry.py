@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .decontaminate import op7_decontaminate
 from .packing import op8_packing
+from .quality import op4_quality
 from .rules import op10_rules
 from .secrets import op9_secrets
 from .sst import op2_sst
@@ -12,6 +13,7 @@ from .sst import op2_sst
 def queries():
     return {
         "op2_sst": op2_sst,
+        "op4_quality": op4_quality,
         "op7_decontaminate": op7_decontaminate,
         "op8_packing": op8_packing,
         "op9_secrets": op9_secrets,

@@ -16,6 +16,7 @@ import hashlib
 import re
 from dataclasses import dataclass
 
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -154,8 +155,6 @@ def find(docs: DataFrame, reach: int = 200) -> DataFrame:
 
 def redact(docs: DataFrame) -> DataFrame:
     """The documents with secrets masked; n_chars follows the text where the column is there."""
-    import pandas as pd
-
     @F.pandas_udf("string")
     def masked(texts: pd.Series) -> pd.Series:
         return pd.Series([redacted(t) for t in texts], dtype=object)

@@ -48,17 +48,18 @@ class WordHasher:
                 self.up = np.cumprod(np.full(n, _C, np.uint64))
                 self.down = np.cumprod(np.full(n, _C_INV, np.uint64))
 
-    def _block(self, data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def _block(self, data: np.ndarray, prefixes: tuple[int, ...]) -> tuple[list[np.ndarray], np.ndarray]:
         """Hashes of the words of a block that starts and ends with a space; where they start."""
         self._powers(len(data))
         edge = np.diff(self.is_space[data].view(np.int8))
         start, end = np.flatnonzero(edge == -1), np.flatnonzero(edge == 1)  # both just before
         total = np.cumsum(self.values[data] * self.up[: len(data)])
-        h = (total[end] - total[start]) * self.down[start]
-        return mix(h), start
+        ends = [end, *(np.minimum(end, start + k) for k in prefixes)]
+        return [mix((total[e] - total[start]) * self.down[start]) for e in ends], start
 
-    def texts(self, texts: list[bytes], block: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
-        """All word hashes in order, and where each text's words begin (one more entry than texts)."""
+    def prefixed(self, texts: list[bytes], prefixes: tuple[int, ...], block: int = 1 << 20) -> tuple[list[np.ndarray], np.ndarray]:
+        """Hashes of all words and of their first so many bytes, and where each text's words
+        begin (one more entry than texts)."""
         hashes, counts, at = [], [], 0
         while at < len(texts):
             first, size = at, 1
@@ -66,12 +67,18 @@ class WordHasher:
                 size += len(texts[at]) + 1
                 at += 1
             joined = b" " + b" ".join(texts[first:at]) + b" "
-            h, start = self._block(np.frombuffer(joined, np.uint8))
+            h, start = self._block(np.frombuffer(joined, np.uint8), prefixes)
             bounds = np.cumsum([0, *(len(t) + 1 for t in texts[first:at])])
             hashes.append(h)
             counts.append(np.diff(np.searchsorted(start, bounds)))
         n = np.concatenate(counts) if counts else np.zeros(0, np.int64)
-        return (np.concatenate(hashes) if hashes else np.zeros(0, np.uint64)), np.concatenate([[0], np.cumsum(n)]).astype(np.int64)
+        whole = [np.concatenate(x) for x in zip(*hashes)] or [np.zeros(0, np.uint64)] * (1 + len(prefixes))
+        return whole, np.concatenate([[0], np.cumsum(n)]).astype(np.int64)
+
+    def texts(self, texts: list[bytes], block: int = 1 << 20) -> tuple[np.ndarray, np.ndarray]:
+        """All word hashes in order, and where each text's words begin."""
+        (h,), at = self.prefixed(texts, (), block)
+        return h, at
 
 
 def windows(hashes: np.ndarray, bounds: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
