@@ -72,6 +72,31 @@ def keyed(docs: DataFrame) -> DataFrame:
     return written(slim.withColumn("row_key", F.monotonically_increasing_id()), "keyed")
 
 
+def release(spark: SparkSession) -> None:
+    """Let the driver drop the shuffle files of finished jobs now, not at its next collection."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
+def key_bitmap(keys: DataFrame, bits: int = 24):
+    """Bitmap of the hashes of one long column, of 2**bits bits whatever the number of keys: at
+    most 2**(bits-6) words reach the driver. A prefilter; an exact join must follow."""
+    import numpy as np
+
+    slot = F.pmod(F.xxhash64(F.col(keys.columns[0])), F.lit(1 << bits))
+    words = keys.select(slot.alias("s")).groupBy((F.col("s") / 64).cast("long").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(s % 64 as int)))").alias("b")).toArrow()
+    out = np.zeros(1 << (bits - 6), np.uint64)
+    out[words.column("w").to_numpy()] = words.column("b").to_numpy().view(np.uint64)
+    return out
+
+
+def with_slot(df: DataFrame, key: str, bits: int = 24) -> DataFrame:
+    """Adds ``_slot``, the place of the key in ``key_bitmap``."""
+    return df.withColumn("_slot", F.pmod(F.xxhash64(key), F.lit(1 << bits)))
+
+
 def crc_mod3(doc_id: Column) -> Column:
     """crc32 of the id as text, modulo 3."""
     return F.crc32(doc_id.cast("string").cast("binary")) % 3

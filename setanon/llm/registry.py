@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decontaminate import op7_decontaminate
+from .jaccard import op5_jaccard
 from .packing import op8_packing
 from .quality import op4_quality
 from .rules import op10_rules
@@ -14,6 +15,7 @@ def queries():
     return {
         "op2_sst": op2_sst,
         "op4_quality": op4_quality,
+        "op5_jaccard": op5_jaccard,
         "op7_decontaminate": op7_decontaminate,
         "op8_packing": op8_packing,
         "op9_secrets": op9_secrets,
