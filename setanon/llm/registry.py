@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .decontaminate import op7_decontaminate
 from .jaccard import op5_jaccard
+from .language import op1_language
 from .packing import op8_packing
 from .quality import op4_quality
 from .rules import op10_rules
@@ -13,6 +14,7 @@ from .sst import op2_sst
 
 def queries():
     return {
+        "op1_language": op1_language,
         "op2_sst": op2_sst,
         "op4_quality": op4_quality,
         "op5_jaccard": op5_jaccard,
