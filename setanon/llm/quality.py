@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .words import WordHasher
+from .words import WordHasher, blocks
 
 BITS = 22
 #: Buckets above the hashed words, for the shape of a text.
@@ -85,10 +85,14 @@ class Model:
     cuts: np.ndarray
 
     def scores(self, texts: list[bytes], hasher: WordHasher) -> np.ndarray:
+        return np.concatenate([self._block(b, hasher) for b in blocks(texts)] or [np.zeros(0)])
+
+    def _block(self, texts: list[bytes], hasher: WordHasher) -> np.ndarray:
         ids, at = features(texts, hasher)
-        i = np.minimum(np.searchsorted(self.bucket, ids), max(0, len(self.bucket) - 1))
-        w = np.where(self.bucket[i] == ids, self.weight[i], 0.0) if len(self.bucket) else np.zeros(len(ids))
-        total = np.concatenate([[0.0], np.cumsum(w)])
+        if not len(self.bucket):
+            return np.zeros(len(texts))
+        i = np.minimum(np.searchsorted(self.bucket, ids), len(self.bucket) - 1)
+        total = np.concatenate([[0.0], np.cumsum(np.where(self.bucket[i] == ids, self.weight[i], 0.0))])
         return total[at[1:]] - total[at[:-1]]
 
     def tails(self, score: np.ndarray) -> np.ndarray:
@@ -157,9 +161,13 @@ def sample(docs: DataFrame, ratings: DataFrame, opt: Options = Options()) -> tup
     def run(batches):
         hasher = WordHasher(punctuation_is_space=True)
         for batch in batches:
-            ids, at = features([t.encode() for t in batch.column(0).to_pylist()], hasher)
-            lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
-            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), lists], ["doc_id", "grade", "ids"])
+            first = 0
+            for block in blocks([t.encode() for t in batch.column(0).to_pylist()]):
+                ids, at = features(block, hasher)
+                lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(ids, pa.int32()))
+                part = batch.slice(first, len(block))
+                first += len(block)
+                yield pa.RecordBatch.from_arrays([part.column(1), part.column(2), lists], ["doc_id", "grade", "ids"])
 
     t = texts.select("text", "doc_id", "grade").mapInArrow(run, "doc_id long, grade int, ids array<int>").toArrow().sort_by("doc_id")
     lists = t.column("ids").combine_chunks()

@@ -102,3 +102,14 @@ def windows(hashes: np.ndarray, bounds: np.ndarray, k: int) -> tuple[np.ndarray,
             x = np.uint64((int(x) * _C + int(w)) & _MASK)
         h[out[i]] = mix(np.asarray([x], np.uint64))[0]
     return h, out
+
+
+def blocks(texts: list[bytes], size: int = 2 << 20):
+    """Consecutive runs of texts of about ``size`` bytes, so that working arrays stay small."""
+    at = 0
+    while at < len(texts):
+        first, total = at, 0
+        while at < len(texts) and (at == first or total + len(texts[at]) <= size):
+            total += len(texts[at])
+            at += 1
+        yield texts[first:at]
