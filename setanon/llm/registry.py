@@ -9,6 +9,7 @@ from .packing import op8_packing
 from .quality import op4_quality
 from .rules import op10_rules
 from .secrets import op9_secrets
+from .suffix import op3_suffix
 from .sst import op2_sst
 
 
@@ -16,6 +17,7 @@ def queries():
     return {
         "op1_language": op1_language,
         "op2_sst": op2_sst,
+        "op3_suffix": op3_suffix,
         "op4_quality": op4_quality,
         "op5_jaccard": op5_jaccard,
         "op7_decontaminate": op7_decontaminate,
