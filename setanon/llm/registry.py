@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from .decontaminate import op7_decontaminate
+from .html import op6_html
 from .jaccard import op5_jaccard
 from .language import op1_language
 from .packing import op8_packing
@@ -20,6 +21,7 @@ def queries():
         "op3_suffix": op3_suffix,
         "op4_quality": op4_quality,
         "op5_jaccard": op5_jaccard,
+        "op6_html": op6_html,
         "op7_decontaminate": op7_decontaminate,
         "op8_packing": op8_packing,
         "op9_secrets": op9_secrets,
