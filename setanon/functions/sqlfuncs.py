@@ -20,7 +20,7 @@ majority_set.__annotations__ = {"sets": pd.Series, "return": list}
 
 
 class KGroups:
-    """``k_groups(TABLE(t) PARTITION BY bucket, k)`` for a table (bucket, record_id, items): yields
+    """``k_groups(TABLE(t) PARTITION BY (bucket), k)`` for a table (bucket, record_id, items): yields
     the group of each record, by the suppression kernel."""
 
     def __init__(self):
