@@ -5,10 +5,13 @@ hash-ordered prefixes come last, by frequency. Only a short prefix of each set i
 and positional filters drop pairs before a text is read, the suffix filter before sets are
 intersected, and each pair is verified once on whole sets.
 
-Equal sets are one node from the start. A shingle that many sets share would pair them all, so
-long postings are joined with two hubs first; sets that are linked by then need no further
-comparison, and only pairs of sets still in different classes follow. No link between different
-classes is lost: whatever pair the prefix filter admits is either compared or already connected.
+Equal sets are one node from the start. A shingle that many sets share would pair them all, so in
+a long posting every set is compared with one hub only, the one in most long postings. Sets of one
+class by then need nothing more. For sets x and y still apart, what they share lies partly in the
+hub H, and that part is at most min(|x & H|, |y & H|). If this alone could reach the overlap that a
+link needs, the pair is compared; else x and y must share a shingle outside H, which a second
+prefix join, over x - H and y - H, finds. So no link between classes is lost, and the pairs that
+merely resemble the same hub are never made.
 
 Defined results: a null or blank text has an empty set and links with nothing; with fewer words
 than a shingle the whole sequence is the shingle; repeated rows and null ids are separate rows; a
@@ -27,7 +30,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import components, discard, ids_are_keys, key_bitmap, keyed, release, with_slot, written
-from .words import WordHasher, windows
+from .words import WordHasher, blocks, windows
 
 
 @dataclass(frozen=True)
@@ -36,9 +39,8 @@ class Options:
     num: int = 80  # two sets link when den * intersection >= num * union
     den: int = 100
     short_posting: int = 8  # a shingle in so few sets pairs them all at once
-    frequent: int = 64  # prefixes that hold a shingle before it counts as frequent
-    max_frequent: int = 200_000  # shingles held by every worker; frequent doubles until they fit
-    hub_rounds: int = 2
+    frequent: int = 8  # prefixes that hold a shingle before it counts as frequent
+    max_frequent: int = 500_000  # shingles held by every worker; frequent doubles until they fit
 
 
 def overlap_needed(nx, ny, opt: Options):
@@ -50,10 +52,16 @@ def prefix_length(n, opt: Options):
     return n - (opt.num * n + opt.den - 1) // opt.den + 1
 
 
+_HASHER = WordHasher()
+
+
 def shingle_sets(texts: list[str], opt: Options):
     """The sorted distinct shingle hashes of each text."""
-    h, at = windows(*WordHasher().texts([t.encode() for t in texts]), opt.words)
-    return [np.unique(h[a:b]) for a, b in zip(at, at[1:])]
+    out = []
+    for block in blocks([t.encode() for t in texts]):
+        h, at = windows(*_HASHER.texts(block), opt.words)
+        out += [np.unique(h[a:b]) for a, b in zip(at, at[1:])]
+    return out
 
 
 class Order:
@@ -152,16 +160,24 @@ def _pairs(a: Column, b: Column) -> list[Column]:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
-def first_pairs(shared: DataFrame, opt: Options) -> DataFrame:
-    """All pairs of short postings, and every set of a long one with its two hubs."""
-    short = shared.where(F.col("m") <= opt.short_posting).groupBy("h").agg(F.collect_list(F.struct("node", "meta")).alias("s"))
+def _all_pairs(short: DataFrame, may) -> DataFrame:
+    """Pairs of rows (key, s array<struct>) of short lists that ``may`` link."""
     every = F.flatten(F.transform("s", lambda x, i: F.transform(F.slice(F.col("s"), i + 2, F.size("s")), lambda y: F.struct(x.alias("x"), y.alias("y")))))
-    near = short.select(F.explode(every).alias("p")).where(_may_link(F.col("p.x.meta"), F.col("p.y.meta"), opt)).select(*_pairs(F.col("p.x.node"), F.col("p.y.node")))
-    long = shared.where(F.col("m") > opt.short_posting)
-    out = near
-    for hub in ("lo", "hi"):
-        out = out.unionByName(long.where(_may_link(F.col("meta"), F.col(f"{hub}.meta"), opt)).select(*_pairs(F.col("node"), F.col(f"{hub}.node"))))
-    return out.where("a <> b").distinct()
+    return short.select(F.explode(every).alias("p")).where(may(F.col("p.x"), F.col("p.y"))).select(*_pairs(F.col("p.x.node"), F.col("p.y.node"))).where("a <> b")
+
+
+def with_hub(long: DataFrame) -> DataFrame:
+    """Adds ``hub``: of a posting's sets, the one in most long postings."""
+    score = long.groupBy("node").agg(F.count(F.lit(1)).alias("score"))
+    return long.join(score, "node").withColumn("hub", F.max(F.struct("score", "node", "meta")).over(W.partitionBy("h"))).select("h", "node", "meta", "hub")
+
+
+def first_pairs(shared: DataFrame, hubs: DataFrame, opt: Options) -> DataFrame:
+    """All pairs of short postings, and every set of a long one with its hub."""
+    short = shared.where(F.col("m") <= opt.short_posting).groupBy("h").agg(F.collect_list(F.struct("node", "meta")).alias("s"))
+    near = _all_pairs(short, lambda x, y: _may_link(x["meta"], y["meta"], opt))
+    star = hubs.where(_may_link(F.col("meta"), F.col("hub.meta"), opt)).select(*_pairs(F.col("node"), F.col("hub.node"))).where("a <> b")
+    return near.unionByName(star).distinct()
 
 
 def _suffix_admits(x: np.ndarray, y: np.ndarray, need: int, depth: int = 3) -> bool:
@@ -187,8 +203,8 @@ def linked(x: np.ndarray, y: np.ndarray, opt: Options) -> bool:
     return len(np.intersect1d(x, y, assume_unique=True)) >= need
 
 
-def verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame, opt: Options) -> DataFrame:
-    """The pairs of nodes whose whole sets link. Only texts that a pair names are shuffled."""
+def with_texts(pairs: DataFrame, docs: DataFrame, sets: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(a, b, ta, tb), and the table of texts behind it. Only texts that a pair names are shuffled."""
     spark = docs.sparkSession
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
     named = written(sets.where("n > 0").groupBy("node").agg(F.min("row_key").alias("row_key")).join(nodes, "node", "left_semi"), "named")
@@ -202,32 +218,112 @@ def verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame, opt: Options) -
 
     texts = with_slot(docs.select("row_key", "text"), "row_key").mapInArrow(pick, "row_key long, text string")
     texts = written(texts.join(named, "row_key").select("node", "text"), "texts")
+    discard(named)
+    one, two = (texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}")) for c in "ab")
+    return pairs.join(two, "b").join(one, "a").select("a", "b", "ta", "tb"), texts
+
+
+def _sets_of_pairs(batches, opt: Options, most: int = 4 << 20):
+    """Parts of each batch, of a few megabytes of text, with the two sets of each row; runs of one
+    ``a`` share a set."""
+    import pyarrow.compute as pc
+
+    last = (None, None)
+    for whole in batches:
+        size = np.cumsum(pc.binary_length(whole.column("tb")).to_numpy()) // most
+        edges = np.flatnonzero(np.concatenate([[True], size[1:] != size[:-1], [True]])) if len(size) else []
+        for at, end in zip(edges, edges[1:]):
+            b = whole.slice(int(at), int(end - at))
+            first = []
+            for i, node in enumerate(b.column("a").to_pylist()):
+                if last[0] != node:
+                    last = (node, shingle_sets([b.column("ta")[i].as_py()], opt)[0])
+                first.append(last[1])
+            yield b, first, shingle_sets(b.column("tb").to_pylist(), opt)
+
+
+def verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame, opt: Options) -> DataFrame:
+    """The pairs of nodes whose whole sets link."""
 
     def run(batches):
-        last = (None, None)  # pairs of one hub often follow each other
-        for b in batches:
-            keep, ids = [], b.column("a").to_pylist()
-            second = shingle_sets(b.column("tb").to_pylist(), opt)
-            for i, (node, t) in enumerate(zip(ids, b.column("ta").to_pylist())):
-                if last[0] != node:
-                    last = (node, shingle_sets([t], opt)[0])
-                keep.append(linked(last[1], second[i], opt))
-            yield b.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+        for b, xs, ys in _sets_of_pairs(batches, opt):
+            yield b.select(["a", "b"]).filter(pa.array([linked(x, y, opt) for x, y in zip(xs, ys)], pa.bool_()))
 
-    one, two = (texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}")) for c in "ab")
-    full = pairs.join(two, "b").join(one, "a").select("a", "b", "ta", "tb")
+    full, texts = with_texts(pairs, docs, sets)
     out = written(full.mapInArrow(run, "a long, b long"), "links")
     discard(texts)
-    discard(named)
-    release(spark)
+    release(docs.sparkSession)
     return out
 
 
-def _by_class(shared: DataFrame, classes: DataFrame) -> DataFrame:
-    """Rows of long postings that hold more than one class."""
-    own = shared.join(classes.select(F.col("id").alias("node"), "component_id"), "node", "left").withColumn("c", F.coalesce("component_id", "node"))
+def beyond_hub(apart: DataFrame, docs: DataFrame, sets: DataFrame, order: Order, opt: Options) -> DataFrame:
+    """(hub, node, c, n, i, rest) for ``apart(hub, node, c)``: set size, size of the intersection
+    with the hub, and the prefix of what lies outside the hub."""
+    held = docs.sparkSession.sparkContext.broadcast((order.frequent, order.counts))
+
+    def run(batches):
+        arrange = Order(*held.value)
+        for b, hubs, ys in _sets_of_pairs(batches, opt):
+            inside = [np.isin(y, x, assume_unique=True) for x, y in zip(hubs, ys)]
+            rest = [arrange(y[~k])[: prefix_length(len(y), opt)].view(np.int64) for y, k in zip(ys, inside)]
+            at = np.cumsum([0, *map(len, rest)])
+            lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(np.concatenate([*rest, np.zeros(0, np.int64)]), pa.int64()))
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array([len(y) for y in ys], pa.int64()), pa.array([int(k.sum()) for k in inside], pa.int64()), lists], ["hub", "node", "n", "i", "rest"])
+
+    full, texts = with_texts(apart.select(F.col("hub").alias("a"), F.col("node").alias("b")), docs, sets)
+    rows = written(full.mapInArrow(run, "hub long, node long, n long, i long, rest array<long>"), "beyond")
+    discard(texts)
+    release(docs.sparkSession)
+    return rows.join(apart, ["hub", "node"])
+
+
+def still_apart(hubs: DataFrame, found: DataFrame) -> DataFrame:
+    """(hub, node, c) for the sets of long postings that hold several classes. The hub is now the
+    most linked set of the posting's most linked class, which lies nearer to what they share."""
+    comp = components(found).select(F.col("id").alias("node"), F.col("component_id").alias("c"))
+    ends = found.select(F.col("a").alias("node")).unionByName(found.select(F.col("b").alias("node"))).groupBy("node").agg(F.count(F.lit(1)).alias("degree"))
+    top = comp.join(ends, "node").groupBy("c").agg(F.max(F.struct("degree", "node")).alias("top"))
     w = W.partitionBy("h")
-    return own.withColumn("c0", F.min("c").over(w)).withColumn("c1", F.max("c").over(w)).where("c0 <> c1").select("h", "node", "meta", "c")
+    own = hubs.join(comp, "node", "left").withColumn("c", F.coalesce("c", "node"))
+    own = own.withColumn("c0", F.min("c").over(w)).withColumn("c1", F.max("c").over(w)).where("c0 <> c1").join(top, "c", "left")
+    near = F.max("top").over(w)["node"]
+    return own.select("node", "c", F.coalesce(near, F.col("hub.node")).alias("hub")).select("hub", "node", "c").distinct()
+
+
+def better_hubs(rows: DataFrame) -> DataFrame:
+    """(hub, old, node, n, hub_n): each hub's sets under the one of them that holds most of what
+    they share: shingles of the old hub, and shingles outside it that over half of them hold."""
+    size = rows.groupBy("hub").agg(F.count(F.lit(1)).alias("size"))
+    each = rows.select("hub", "node", F.explode("rest").alias("s"))
+    often = each.groupBy("hub", "s").agg(F.count(F.lit(1)).alias("m")).join(size, "hub").where("2 * m > size").select("hub", "s")
+    bonus = each.join(often, ["hub", "s"]).groupBy("hub", "node").agg(F.count(F.lit(1)).alias("bonus"))
+    own = F.col("node") == F.col("hub")  # of the hub itself counts what another set confirms
+    other = rows.where(~own).groupBy("hub").agg(F.max("i").alias("seen"))
+    holds = F.when(own, F.coalesce("seen", "i")).otherwise(F.col("i") + F.coalesce("bonus", F.lit(0)))
+    each = rows.join(bonus, ["hub", "node"], "left").join(other, "hub", "left")
+    best = each.groupBy("hub").agg(F.max(F.struct(holds.alias("holds"), own.cast("int").alias("own"), (-F.col("n")).alias("size"), "node", "n")).alias("b"))
+    return rows.select(F.col("hub").alias("old"), "node", "n").join(best.select(F.col("hub").alias("old"), F.col("b.node").alias("hub"), F.col("b.n").alias("hub_n")), "old")
+
+
+def pairs_beyond(rows: DataFrame, opt: Options) -> DataFrame:
+    """Pairs of sets of different classes that may still link, by the two cases of the hub's bound."""
+    size = lambda x, y: opt.den * F.least(x["n"], y["n"]) >= opt.num * F.greatest(x["n"], y["n"])
+    need = lambda x, y: opt.num * (x["n"] + y["n"])
+    item = F.struct("node", "n", "i", "c")
+    # what both share with the hub may suffice: each lies in the hub for the most part
+    most = rows.where(F.col("i") * opt.den >= F.col("n") * opt.num).select("hub", item.alias("x"))
+    x, y = most, most.withColumnRenamed("x", "y")
+    both = x.join(y, "hub").where((F.col("x.node") < F.col("y.node")) & (F.col("x.c") != F.col("y.c")))
+    both = both.where((opt.num + opt.den) * F.least("x.i", "y.i") >= need(F.col("x"), F.col("y"))).select(*_pairs(F.col("x.node"), F.col("y.node")))
+    # else they share something outside it
+    out = rows.select("hub", item.alias("v"), F.explode("rest").alias("s"))
+    out = out.withColumn("m", F.count(F.lit(1)).over(W.partitionBy("hub", "s"))).where("m > 1")
+    may = lambda x, y: (x["c"] != y["c"]) & size(x, y)
+    short = out.where(F.col("m") <= opt.short_posting).groupBy("hub", "s").agg(F.collect_list("v").alias("s_"))
+    near = _all_pairs(short.select(F.col("s_").alias("s")), may)
+    x, y = (out.where(F.col("m") > opt.short_posting).select("hub", "s", F.col("v").alias(c)) for c in "xy")
+    far = x.join(y, ["hub", "s"]).where((F.col("x.node") < F.col("y.node")) & may(F.col("x"), F.col("y"))).select(*_pairs(F.col("x.node"), F.col("y.node")))
+    return both.unionByName(near).unionByName(far).distinct()
 
 
 def links(docs: DataFrame, opt: Options = Options()) -> tuple[DataFrame, DataFrame]:
@@ -236,33 +332,39 @@ def links(docs: DataFrame, opt: Options = Options()) -> tuple[DataFrame, DataFra
     sets = written(described(docs, opt), "sets")
     order = _frequent(docs, opt)
     release(spark)
-    w = W.partitionBy("h")
     rows = postings(docs, order, opt).repartition("h").groupBy("h", "node").agg(F.first("meta").alias("meta"))
-    one = F.struct("node", "meta")
-    shared = written(rows.withColumn("m", F.count(F.lit(1)).over(w)).withColumn("lo", F.min(one).over(w)).withColumn("hi", F.max(one).over(w)).where("m > 1"), "shared")
+    shared = written(rows.withColumn("m", F.count(F.lit(1)).over(W.partitionBy("h"))).where("m > 1"), "shared")
     release(spark)
-    tried = written(first_pairs(shared, opt), "pairs")
-    found = verified(tried, docs, sets, opt)
-    long = shared.where(F.col("m") > opt.short_posting)
-    for turn in range(1, opt.hub_rounds + 1):
-        if not long.head(1):
-            break
-        apart = _by_class(long, components(found))
-        if turn < opt.hub_rounds:  # another hub, chosen anew for each posting from each of two classes
-            at = F.xxhash64("node", F.lit(turn))
-            hub = F.first(F.struct("node", "meta", "c")).over(w.orderBy(at).rowsBetween(W.unboundedPreceding, W.unboundedFollowing))
-            more = apart.withColumn("hub", hub).where("hub.c <> c").where(_may_link(F.col("meta"), F.col("hub.meta"), opt)).select(*_pairs(F.col("node"), F.col("hub.node")))
-        else:
-            x, y = (apart.select("h", *(F.col(c).alias(f"{c}{i}") for c in ("node", "meta", "c"))) for i in "xy")
-            more = x.join(y, "h").where("nodex < nodey AND cx <> cy").where(_may_link(F.col("metax"), F.col("metay"), opt)).select(*_pairs(F.col("nodex"), F.col("nodey")))
-        more = written(more.distinct().join(tried, ["a", "b"], "left_anti"), "pairs")
-        if not more.head(1):
-            if turn == opt.hub_rounds:
-                break
-            continue
-        extra = verified(more, docs, sets, opt)
-        tried, found = written(tried.unionByName(more), "pairs"), written(found.unionByName(extra), "links")
+    hubs = written(with_hub(shared.where(F.col("m") > opt.short_posting)), "hubs")
+    tried = written(first_pairs(shared, hubs, opt), "pairs")
     discard(shared)
+    release(spark)
+    found = verified(tried, docs, sets, opt)
+    apart = still_apart(hubs, found)
+    apart = written(apart, "apart")
+    discard(hubs)
+    if apart.head(1):
+        rows = written(beyond_hub(apart, docs, sets, order, opt), "beyond")
+        moved = written(better_hubs(rows), "moved")
+        star = moved.where("hub <> old").where(opt.den * F.least("n", "hub_n") >= opt.num * F.greatest("n", "hub_n")).select(*_pairs(F.col("node"), F.col("hub"))).where("a <> b").distinct()
+        star = written(star.join(tried, ["a", "b"], "left_anti"), "pairs")
+        if star.head(1):
+            found = written(found.unionByName(verified(star, docs, sets, opt)), "links")
+            tried = written(tried.unionByName(star), "pairs")
+        comp = components(found).select(F.col("id").alias("node"), F.col("component_id").alias("c"))
+        w = W.partitionBy("hub")
+        left = moved.select("hub", "old", "node").join(comp, "node", "left").withColumn("c", F.coalesce("c", "node"))
+        left = written(left.withColumn("c0", F.min("c").over(w)).withColumn("c1", F.max("c").over(w)).where("c0 <> c1").select("hub", "old", "node", "c"), "apart")
+        stay = left.where("hub = old").select("hub", "node", "c").join(rows.drop("c"), ["hub", "node"])
+        went = left.where("hub <> old").select("hub", "node", "c").distinct()
+        again = stay.unionByName(beyond_hub(went, docs, sets, order, opt).select(*stay.columns)) if went.head(1) else stay
+        more = written(pairs_beyond(written(again, "beyond"), opt).join(tried, ["a", "b"], "left_anti"), "pairs")
+        release(spark)
+        if more.head(1):
+            found = written(found.unionByName(verified(more, docs, sets, opt)), "links")
+        for table in (rows, moved, left):
+            discard(table)
+    discard(tried)
     return sets, found
 
 

@@ -54,7 +54,7 @@ def texts_with_copies(seed, n=150):
 
 
 def test_query_equals_brute_force(spark):
-    for seed, opt in ((1, jx.Options(frequent=4, short_posting=3)), (2, jx.Options(frequent=2, max_frequent=10, short_posting=2, hub_rounds=1)), (3, jx.Options())):
+    for seed, opt in ((1, jx.Options(frequent=4, short_posting=3)), (2, jx.Options(frequent=2, max_frequent=10, short_posting=2)), (3, jx.Options())):
         texts = texts_with_copies(seed)
         ids = random.Random(seed).sample(range(10_000), len(texts))
         df = spark.createDataFrame(list(zip(ids, ids, texts)), "row_key long, doc_id long, text string")
@@ -62,6 +62,24 @@ def test_query_equals_brute_force(spark):
         assert got == plain_classes(ids, plain_sets(texts))
 
 
+def test_large_near_copy_group(spark):
+    for seed, base_in in ((7, True), (8, False)):
+        rnd = random.Random(seed)
+        vocab = [f"v{i}" for i in range(500)]
+        base = rnd.choices(vocab, k=120)
+        texts = [" ".join(base)] if base_in else []
+        for i in range(140):
+            t = list(base) if i % 4 else texts[rnd.randrange(len(texts))].split() if texts else list(base)
+            for _ in range(rnd.randint(1, 6)):
+                t[rnd.randrange(len(t))] = rnd.choice(vocab)
+            texts.append(" ".join(t))
+        texts += [" ".join(rnd.choices(vocab, k=40)) + " " + " ".join(base[:14]) for _ in range(40)]
+        ids = list(range(len(texts)))
+        df = spark.createDataFrame(list(zip(ids, ids, texts)), "row_key long, doc_id long, text string")
+        got = {r.doc_id: (r.n_shingles, r.component_id) for r in jx.classes(df).collect()}
+        assert got == plain_classes(ids, plain_sets(texts))
+
+
 def test_keep_one(spark):
     rows = [(3, "a b c d e f"), (3, "a b c d e f"), (None, "A b c d e f"), (9, None), (9, ""), (4, "other words are here now"), (5, "other words are here now")]
     df = spark.createDataFrame([(a, b, "n", 1) for a, b in rows], "doc_id long, text string, node string, n long")
