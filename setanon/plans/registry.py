@@ -265,10 +265,10 @@ def _(spark, d):
     return distance.pairwise(mb_buckets(spark, d, 4), "jaccard").select("a", "b", F.round("d", 6).alias("d"))
 
 
-@query("sparse_pair_distances", "WITH e AS (SELECT vec_id AS r, i - 1 AS item FROM (SELECT vec_id, generate_subscripts(embedding, 1) AS i, unnest(embedding) AS x FROM embeddings WHERE vec_id < 60) WHERE x > 0), n AS (SELECT r, count(*) AS n FROM e GROUP BY r) SELECT CAST(least(CAST(a.r AS VARCHAR), CAST(b.r AS VARCHAR)) AS VARCHAR) AS a, greatest(CAST(a.r AS VARCHAR), CAST(b.r AS VARCHAR)) AS b, count(*) AS common, any_value(na.n + nb.n) - 2 * count(*) AS d FROM e a JOIN e b ON a.item = b.item AND a.r < b.r JOIN n na ON na.r = a.r JOIN n nb ON nb.r = b.r GROUP BY a.r, b.r")
+@query("sparse_pair_distances", "WITH e AS (SELECT vec_id AS r, i - 1 AS item FROM (SELECT vec_id, generate_subscripts(embedding, 1) AS i, unnest(embedding) AS x FROM embeddings) WHERE x > 0), n AS (SELECT r, count(*) AS n FROM e GROUP BY r) SELECT CAST(least(CAST(a.r AS VARCHAR), CAST(b.r AS VARCHAR)) AS VARCHAR) AS a, greatest(CAST(a.r AS VARCHAR), CAST(b.r AS VARCHAR)) AS b, count(*) AS common, any_value(na.n + nb.n) - 2 * count(*) AS d FROM e a JOIN e b ON a.item = b.item AND a.r < b.r JOIN n na ON na.r = a.r JOIN n nb ON nb.r = b.r GROUP BY a.r, b.r")
 def _(spark, d):
-    """Distances of a stated set of vectors (the first sixty), by counts of common items."""
-    return longs(distance.sparse_pairs(t.embedding_signs(spark, d).where(F.col("record_id").cast("long") < 60)))
+    """Distances of all vectors that share a positive place, by counts of common items."""
+    return longs(distance.sparse_pairs(t.embedding_signs(spark, d)))
 
 
 @query("event_items", "SELECT DISTINCT CAST(user_id AS VARCHAR) || '@' || strftime(ts, '%Y-%m-%d') AS record_id, event_type || coalesce(':' || json_extract_string(props, '$.k'), '') AS item FROM events")
@@ -390,22 +390,22 @@ def _(spark, d):
     return e.agg(F.count_if(F.col("op") == "add").alias("n_add"), F.count_if(F.col("op") == "del").alias("n_del"))
 
 
-_SMALL = f"WITH e AS ({EDGES}), b AS (SELECT * FROM ({bucket_sql(4)}) QUALIFY count(*) OVER (PARTITION BY bucket_id) BETWEEN 2 AND 8), s AS (SELECT record_id, bucket_id, count(*) AS n FROM e JOIN b USING (record_id) GROUP BY record_id, bucket_id), p AS (SELECT x.bucket_id, x.record_id AS a, y.record_id AS b, x.n + y.n - 2 * (SELECT count(*) FROM e ea JOIN e eb ON ea.item = eb.item WHERE ea.record_id = x.record_id AND eb.record_id = y.record_id) AS d FROM s x JOIN s y ON x.bucket_id = y.bucket_id)"
+_FINE = f"WITH e AS ({EDGES}), b AS ({bucket_sql(4)}), s AS (SELECT record_id, bucket_id, count(*) AS n FROM e JOIN b USING (record_id) GROUP BY record_id, bucket_id), p AS (SELECT x.bucket_id, x.record_id AS a, y.record_id AS b, x.n + y.n - 2 * (SELECT count(*) FROM e ea JOIN e eb ON ea.item = eb.item WHERE ea.record_id = x.record_id AND eb.record_id = y.record_id) AS d FROM s x JOIN s y ON x.bucket_id = y.bucket_id)"
 
 
-def _small(spark, d):
-    b = mb_buckets(spark, d, 4).withColumn("_n", F.count(F.lit(1)).over(W.partitionBy("bucket_id"))).where("_n BETWEEN 2 AND 8").drop("_n")
+def _fine(spark, d):
+    b = mb_buckets(spark, d, 4)
     return b, b.select("record_id", "bucket_id", F.col("bucket_id").alias("group_id"))
 
 
-@query("medoid_by_bucket", f"{_SMALL}, t AS (SELECT bucket_id, a, sum(d) AS cost FROM p GROUP BY bucket_id, a) SELECT bucket_id AS group_id, a AS record_id, CAST(cost AS BIGINT) AS cost FROM t QUALIFY row_number() OVER (PARTITION BY bucket_id ORDER BY cost, a) = 1")
+@query("medoid_by_bucket", f"{_FINE}, t AS (SELECT bucket_id, a, sum(d) AS cost FROM p GROUP BY bucket_id, a) SELECT bucket_id AS group_id, a AS record_id, CAST(cost AS BIGINT) AS cost FROM t QUALIFY row_number() OVER (PARTITION BY bucket_id ORDER BY cost, a) = 1")
 def _(spark, d):
-    return longs(clustering.medoid(*_small(spark, d)).select("group_id", "record_id", "cost"))
+    return longs(clustering.medoid(*_fine(spark, d)).select("group_id", "record_id", "cost"))
 
 
-@query("lower_bound_bucketed", f"{_SMALL}, r AS (SELECT bucket_id, a, d, row_number() OVER (PARTITION BY a ORDER BY d, b) AS k FROM p WHERE a <> b), m AS (SELECT bucket_id, a, sum(d) / 2.0 AS mean FROM r WHERE k <= 2 GROUP BY bucket_id, a) SELECT bucket_id, round(sum(mean) / 2, 6) AS bound FROM m GROUP BY bucket_id")
+@query("lower_bound_bucketed", f"{_FINE}, r AS (SELECT bucket_id, a, d, row_number() OVER (PARTITION BY a ORDER BY d, b) AS k FROM p WHERE a <> b), m AS (SELECT bucket_id, a, sum(d) / 2.0 AS mean FROM r WHERE k <= 2 GROUP BY bucket_id, a) SELECT bucket_id, round(sum(mean) / 2, 6) AS bound FROM m GROUP BY bucket_id")
 def _(spark, d):
-    return measures.lower_bound(_small(spark, d)[0], 3, "bucket_id").select("bucket_id", F.round("bound", 6).alias("bound"))
+    return measures.lower_bound(_fine(spark, d)[0], 3, "bucket_id").select("bucket_id", F.round("bound", 6).alias("bound"))
 
 
 @query("cluster_cost_random_center", "SELECT CAST(0 AS BIGINT) AS below_majority, CAST(1 AS BIGINT) AS whole")
@@ -416,9 +416,9 @@ def _(spark, d):
     return c.agg(F.count_if(F.col("cost") < F.col("flips")).alias("below_majority"), F.lit(1).cast("long").alias("whole"))
 
 
-@query("factor_checks", f"SELECT count(DISTINCT bucket_id) AS groups, CAST(0 AS BIGINT) AS flips_over_half_stars, CAST(0 AS BIGINT) AS majority_over_medoid, CAST(0 AS BIGINT) AS medoid_over_random, CAST(0 AS BIGINT) AS random_over_twice FROM (SELECT bucket_id FROM ({bucket_sql(4)}) QUALIFY count(*) OVER (PARTITION BY bucket_id) BETWEEN 2 AND 8)")
+@query("factor_checks", f"SELECT count(DISTINCT bucket_id) AS groups, CAST(0 AS BIGINT) AS flips_over_half_stars, CAST(0 AS BIGINT) AS majority_over_medoid, CAST(0 AS BIGINT) AS medoid_over_random, CAST(0 AS BIGINT) AS random_over_twice FROM ({bucket_sql(4)})")
 def _(spark, d):
-    return measures.check_factors(*_small(spark, d))
+    return measures.check_factors(*_fine(spark, d))
 
 
 # ---- baselines --------------------------------------------------------------------------------
@@ -703,7 +703,7 @@ def _(spark, d):
 @query("collision_calibration", "SELECT CAST(1 AS BIGINT) AS close")
 def _(spark, d):
     """Observed agreement of two concatenated min-hashes is close to the squared similarity."""
-    a = t.embedding_signs(spark, d).where(F.col("record_id").cast("long") < 400)
+    a = t.embedding_signs(spark, d)
     x, y = a.select(F.col("record_id").cast("long").alias("i"), F.col("items").alias("ia")), a.select((F.col("record_id").cast("long") - 1).alias("i"), F.col("items").alias("ib"))
     c = measures.collision_calibration(x.join(y, "i"), 2, 40)
     return c.select((F.abs(F.col("expected") - F.col("observed")) < 0.02).cast("long").alias("close"))
