@@ -97,6 +97,20 @@ def with_slot(df: DataFrame, key: str, bits: int = 24) -> DataFrame:
     return df.withColumn("_slot", F.pmod(F.xxhash64(key), F.lit(1 << bits)))
 
 
+def tidy() -> None:
+    """Give a worker's freed memory back to the system: workers live on after their tasks, and what
+    they keep counts against their executor."""
+    import ctypes
+
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        pass  # another C library
+
+
 def crc_mod3(doc_id: Column) -> Column:
     """crc32 of the id as text, modulo 3."""
     return F.crc32(doc_id.cast("string").cast("binary")) % 3

@@ -21,8 +21,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_text, empty
-from .words import WordHasher, mix
+from .common import doc_text, empty, tidy
+from .words import WordHasher, blocks, mix
 
 #: Kept (1) and ignored (0) word positions. Fixed values.
 MASKS = ("111111", "11011011", "1110010111", "11001101011")
@@ -104,7 +104,17 @@ def leaks_in(words: np.ndarray, bounds: np.ndarray, index: SeedIndex, opt: Optio
     return [(d, i, *v) for (d, i), v in sorted(best.items())]
 
 
-def blocks(benchmark: DataFrame, size: int):
+def leaks_of(texts: list[bytes], hasher: WordHasher, index: SeedIndex, opt: Options):
+    """As ``leaks_in`` for many texts, a few megabytes at a time."""
+    first = 0
+    for block in blocks(texts):
+        words, at = hasher.texts(block)
+        for d, *v in leaks_in(words, at, index, opt):
+            yield (first + d, *v)
+        first += len(block)
+
+
+def item_blocks(benchmark: DataFrame, size: int):
     """The benchmark in blocks on the driver, one after the other."""
     held = []
     rows = benchmark.select(F.col("item_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit("")))
@@ -121,7 +131,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, opt: Options = Options()) -> Da
     """One row for each document and benchmark item of which it holds a stretch."""
     spark = docs.sparkSession
     out = None
-    for block in blocks(benchmark, opt.block_items):
+    for block in item_blocks(benchmark, opt.block_items):
         held = spark.sparkContext.broadcast(block)
 
         def run(batches, held=held):
@@ -129,8 +139,8 @@ def leaks(docs: DataFrame, benchmark: DataFrame, opt: Options = Options()) -> Da
             schema = pa.schema([(c.split()[0], pa.int64()) for c in LEAKS.split(", ")])
             for batch in batches:
                 ids = batch.column(0).to_pylist()
-                words, at = hasher.texts([t.encode() for t in batch.column(1).to_pylist()])
-                found = [(ids[d], index.ids[i], *v) for d, i, *v in leaks_in(words, at, index, opt)]
+                texts = [t.encode() for t in batch.column(1).to_pylist()]
+                found = [(ids[d], index.ids[i], *v) for d, i, *v in leaks_of(texts, hasher, index, opt)]
                 if found:
                     yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in zip(*found)], schema=schema)
 
@@ -143,7 +153,7 @@ def clean(docs: DataFrame, benchmark: DataFrame, opt: Options = Options()) -> Da
     """The documents, columns as they came, that hold no stretch of any item."""
     spark = docs.sparkSession
     out = docs
-    for block in blocks(benchmark, opt.block_items):
+    for block in item_blocks(benchmark, opt.block_items):
         held = spark.sparkContext.broadcast(block)
 
         leaky = F.pandas_udf(_leaky_in(held, opt), "boolean")
@@ -159,10 +169,12 @@ def _leaky_in(held, opt: Options):
     def leaky(series):
         index, hasher = SeedIndex(*map(list, zip(*held.value)), opt.masks), WordHasher(punctuation_is_space=True)
         for texts in series:
-            words, at = hasher.texts([(t or "").encode() for t in texts])
             bad = np.zeros(len(texts), bool)
-            bad[[d for d, *_ in leaks_in(words, at, index, opt)]] = True
+            for i in range(0, len(texts), 1000):
+                part = [(t or "").encode() for t in texts.iloc[i : i + 1000]]
+                bad[[i + d for d, *_ in leaks_of(part, hasher, index, opt)]] = True
             yield pd.Series(bad)
+        tidy()
 
     leaky.__annotations__ = {"series": Iterator[pd.Series], "return": Iterator[pd.Series]}
     return leaky

@@ -54,7 +54,7 @@ class PieceEncoder:
     otherwise white space is dropped and letters are lower-cased.
     """
 
-    def __init__(self, path: str, *, spaced: bool, memo_limit: int = 500_000):
+    def __init__(self, path: str, *, spaced: bool, memo_limit: int = 250_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 

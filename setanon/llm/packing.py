@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_text
+from .common import doc_text, tidy
 from .encoding import encoder
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -114,6 +114,7 @@ def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048
         cols = list(zip(*pack_shard(ids, window))) or [()] * 5
         name = table.column("doc_id").to_pylist()
         crc = [zlib.crc32(ids[d][s : s + k].tobytes()) for d, s, k in zip(*cols[:3])]
+        tidy()
         return pa.table(
             {
                 "doc_id": pa.array([name[d] for d in cols[0]], pa.int64()),

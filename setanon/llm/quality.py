@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import tidy
 from .words import WordHasher, blocks
 
 BITS = 22
@@ -37,7 +38,7 @@ PREFIXES = (4, 5)
 
 @dataclass(frozen=True)
 class Options:
-    max_rows: int = 12_000
+    max_rows: int = 8_000
     rounds: int = 150
     rate: float = 0.15
     ridge: float = 1.0  # penalty of a word bucket's weight; a shape's is a four-hundredth of it
@@ -191,8 +192,11 @@ def scored(docs: DataFrame, model: Model | None, opt: Options = Options()) -> Da
     def rate(series: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
         hasher = WordHasher(punctuation_is_space=True)
         for texts in series:
-            tail = held.value.tails(held.value.scores([(t or "").encode() for t in texts], hasher))
+            parts = (texts.iloc[i : i + 1000] for i in range(0, len(texts), 1000))
+            score = [held.value.scores([(t or "").encode() for t in part], hasher) for part in parts]
+            tail = held.value.tails(np.concatenate(score) if score else np.zeros(0))
             yield pd.DataFrame({"expected_grade": tail.sum(axis=1), "p_not_toxic": tail[:, 0], "p_good": tail[:, -1], "kept": tail[:, -1] >= opt.keep_tail})
+        tidy()
 
     rate.__annotations__ = {"series": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
     return docs.withColumn("_rated", F.pandas_udf(rate, kind)(F.coalesce(F.col("text"), F.lit(""))))
