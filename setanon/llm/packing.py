@@ -1,10 +1,12 @@
 """Lexical retrieval packing: windows filled with a seed text and its nearest unused texts.
 
-Documents are dealt to shards by a hash of id and text (a hot id or source is spread); the shard
-count follows the corpus size, so a shard fits a worker at every size. In a shard a BM25
-inverted index over token ids answers one query for each window: the weightiest tokens of the
-seed rank the unused documents, which fill the window in that order; the last one is cut and its
-rest seeds the next window. Windows are full; what is left at a shard's end is cut into windows
+Texts are encoded once; document count, mean length and document frequencies are those of the
+whole corpus, one number for each token of the vocabulary. Documents are dealt to shards by a hash
+of id and text (a hot id or source is spread); the shard count follows the corpus size, so a shard
+fits a worker at every size. In a shard a BM25 inverted index over token ids answers one query for
+each window: all tokens of the seed rank the unused documents of the shard (documents of other
+shards are not searched), which fill the window in that order; the last one is cut and its rest
+seeds the next window. Windows are full; what is left at a shard's end is cut into windows
 of power-of-two length, which need no padding.
 
 Defined results: null text is an empty text (the end id alone); rows that repeat an id are packed
@@ -15,13 +17,14 @@ from __future__ import annotations
 
 import math
 import zlib
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_text, tidy
+from .common import doc_text, tidy, written
 from .encoding import encoder
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
@@ -29,10 +32,25 @@ PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 SEQUENCE_BITS = 28
 
 
+#: Keys of the document count and the token count beside the tokens' own, which are from 0.
+N_DOCS, N_TOKENS = -1, -2
+TOKENS = "shard long, doc_id long, ids binary"
+
+
+@dataclass(frozen=True)
+class CorpusStats:
+    """What BM25 takes from the corpus: documents, their mean length, and for each token the number
+    of documents that hold it."""
+
+    n: int
+    mean: float
+    df: np.ndarray
+
+
 class ShardIndex:
-    """BM25 over the token ids of one shard's documents."""
+    """BM25 over the token ids of one shard's documents. Without ``stats`` they are the corpus."""
 
-    def __init__(self, docs: list[np.ndarray], *, k1: float = 1.2, b: float = 0.75, query_terms: int = 16):
+    def __init__(self, docs: list[np.ndarray], *, k1: float = 1.2, b: float = 0.75, query_terms: int | None = None, stats: CorpusStats | None = None):
         self.n, self.query_terms = len(docs), query_terms
         size = np.fromiter(map(len, docs), np.int64, self.n)
         flat = np.concatenate(docs).astype(np.int64) if self.n else np.zeros(0, np.int64)
@@ -44,8 +62,9 @@ class ShardIndex:
         edge = np.flatnonzero(np.r_[True, token[1:] != token[:-1]]) if len(token) else np.zeros(0, np.int64)
         self.at = np.r_[edge, len(token)]
         df = np.diff(self.at)
-        idf = np.log1p((self.n - df + 0.5) / (df + 0.5))
-        norm = k1 * (1 - b + b * size / max(1.0, size.mean() if self.n else 1.0))
+        n, mean, held = (self.n, size.mean() if self.n else 1.0, df) if stats is None else (stats.n, stats.mean, stats.df[token[edge]])
+        idf = np.log1p((n - held + 0.5) / (held + 0.5))
+        norm = k1 * (1 - b + b * size / max(1.0, mean))
         self.weight = (np.repeat(idf, df) * tf * (k1 + 1) / (tf + norm[self.doc])).astype(np.float32)
         # forward lists: the weightiest terms of each document, by term rank
         term = np.repeat(np.arange(len(df), dtype=np.int32), df)
@@ -55,17 +74,17 @@ class ShardIndex:
         self.own = np.searchsorted(doc, np.arange(self.n + 1))
 
     def scores(self, doc: int) -> np.ndarray:
-        """BM25 of every document of the shard for the seed's weightiest terms."""
-        terms = self.term[self.own[doc] : min(self.own[doc + 1], self.own[doc] + self.query_terms)]
+        """BM25 of every document of the shard for the seed's terms, or its weightiest ``query_terms``."""
+        terms = self.term[self.own[doc] : self.own[doc + 1]][: self.query_terms]
         if not len(terms):
             return np.zeros(self.n, np.float32)
         spans = [slice(self.at[t], self.at[t + 1]) for t in terms]
         return np.bincount(np.concatenate([self.doc[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.n)
 
 
-def pack_shard(docs: list[np.ndarray], window: int = 2048) -> list[tuple[int, int, int, int, int]]:
+def pack_shard(docs: list[np.ndarray], window: int = 2048, stats: CorpusStats | None = None) -> list[tuple[int, int, int, int, int]]:
     """Pieces (document, start, length, window number, offset) that cover all ids of the shard."""
-    n, index, out = len(docs), ShardIndex(docs), []
+    n, index, out = len(docs), ShardIndex(docs, stats=stats), []
     used = np.zeros(n, bool)
     left = sum(map(len, docs))
     order, nxt, seq = np.argsort([-len(d) for d in docs], kind="stable"), 0, 0
@@ -97,21 +116,59 @@ def pack_shard(docs: list[np.ndarray], window: int = 2048) -> list[tuple[int, in
     return out
 
 
+def encoded(dealt: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
+    """``dealt(shard, doc_id, text)`` with the token ids, closed by the end id, for the text."""
+
+    def run(batches):
+        encode = encoder(tokenizer, False).encode
+        for batch in batches:
+            shard, doc_id, texts = batch.columns
+            end = np.uint32(end_id).astype("<u4").tobytes()
+            ids = [bytes(d) + end for d in encode(texts.to_pylist())]
+            yield pa.RecordBatch.from_arrays([shard, doc_id, pa.array(ids, pa.binary())], names=["shard", "doc_id", "ids"])
+        tidy()
+
+    return dealt.select("shard", "doc_id", "text").mapInArrow(run, TOKENS)
+
+
+def corpus_stats(tokens: DataFrame) -> CorpusStats:
+    """Counts over ``tokens(ids)``, added up in two steps; the driver gets one row for each token."""
+
+    def run(batches):
+        df, n, total = np.zeros(0, np.int64), 0, 0
+        for batch in batches:
+            for ids in batch.column(0):
+                ids = np.frombuffer(ids.as_buffer(), "<u4")
+                here = np.unique(ids)
+                if len(here) and here[-1] >= len(df):
+                    df = np.append(df, np.zeros(int(here[-1]) + 1 - len(df), np.int64))
+                df[here] += 1
+                n, total = n + 1, total + len(ids)
+        seen = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array(np.r_[N_DOCS, N_TOKENS, seen]), pa.array(np.r_[n, total, df[seen]])], names=["token", "n"])
+
+    rows = tokens.select("ids").mapInArrow(run, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).toArrow()
+    token, count = (rows.column(c).to_numpy() for c in ("token", "n"))
+    df = np.zeros(int(token.max(initial=0)) + 1, np.int64)
+    df[token[token >= 0]] = count[token >= 0]
+    n, total = (int(count[token == k].sum()) for k in (N_DOCS, N_TOKENS))
+    return CorpusStats(n, total / max(1, n), df)
+
+
 def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048, shard_bytes: int = 3 << 20) -> DataFrame:
     """One row per piece."""
     slim = doc_text(docs)
     total = slim.agg(F.sum(F.octet_length("text") + 4)).first()[0] or 0
     shards = max(1, math.ceil(total / shard_bytes))
     dealt = slim.withColumn("shard", F.pmod(F.xxhash64("doc_id", "text"), F.lit(shards)))
+    tokens = written(encoded(dealt, tokenizer, end_id), "tokens")
+    stats = docs.sparkSession.sparkContext.broadcast(corpus_stats(tokens))
 
     def run(key, table):
         shard = key[0].as_py()
         table = table.sort_by([("doc_id", "ascending")])
-        texts = table.column("text").to_pylist()
-        ids = [np.frombuffer(d, "<u4") for d in encoder(tokenizer, False).encode(texts)]
-        ids = [np.append(x, np.uint32(end_id)).astype("<u4") for x in ids]
-        del texts
-        cols = list(zip(*pack_shard(ids, window))) or [()] * 5
+        ids = [np.frombuffer(d, "<u4") for d in table.column("ids").to_pylist()]
+        cols = list(zip(*pack_shard(ids, window, stats.value))) or [()] * 5
         name = table.column("doc_id").to_pylist()
         crc = [zlib.crc32(ids[d][s : s + k].tobytes()) for d, s, k in zip(*cols[:3])]
         tidy()
@@ -127,7 +184,7 @@ def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048
             }
         )
 
-    return dealt.groupBy("shard").applyInArrow(run, PIECES)
+    return tokens.groupBy("shard").applyInArrow(run, PIECES)
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

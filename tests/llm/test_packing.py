@@ -78,3 +78,23 @@ def test_query_is_whole(spark):
         assert all(zlib.crc32(np.asarray(ids[s : s + n], "<u4").tobytes()) == c for s, n, c in got[(k, len(ids))])
         assert sum(n for _, n, _ in got[(k, len(ids))]) == len(ids)
     assert packing.pack(df.where("doc_id > 99"), tokenizer=PATH).count() == 0
+
+
+def test_a_shard_scores_as_the_whole_corpus(spark):
+    rnd = np.random.default_rng(2)
+    docs = [(rnd.zipf(1.3, rnd.integers(20, 90)) % 50).astype("<u4") for _ in range(40)]
+    tokens = spark.createDataFrame([(bytearray(d.tobytes()),) for d in docs], "ids binary").repartition(3)
+    stats = packing.corpus_stats(tokens)
+    assert stats.n == 40 and np.isclose(stats.mean, np.mean([len(d) for d in docs]))
+    assert {t: c for t, c in enumerate(stats.df.tolist()) if c} == {t: c for t in range(50) if (c := sum(t in d for d in docs))}
+    part, whole = packing.ShardIndex(docs[:15], stats=stats), packing.ShardIndex(docs)
+    for q in range(15):
+        got, want = part.scores(q), whole.scores(q)[:15]
+        other = np.arange(15) != q
+        assert np.allclose(got[other], want[other], atol=1e-3)
+
+
+def test_all_terms_of_a_seed_are_asked():
+    seed = np.arange(40, dtype=np.uint32)
+    near = [np.asarray([t, 1000 + t], np.uint32) for t in range(40)]
+    assert (packing.ShardIndex([seed, *near]).scores(0) > 0).all()
