@@ -3,7 +3,8 @@
 A mask keeps some of the word positions in a short stretch and ignores the rest, so a hash over
 the kept words survives substitutions at the others. Hashes of the benchmark are looked up among
 the hashes of every text; around each hit the two word sequences are laid side by side and the
-best stretch is accepted only if it is long and nearly equal.
+best stretch is accepted only if it is long and nearly equal; where the highest score is not, every
+other stretch is tried.
 
 The benchmark goes to the executors in blocks of a fixed number of items, so what is sent does not
 grow with either table; each block is a pass over the texts. No row is shuffled.
@@ -87,6 +88,27 @@ def best_stretch(equal: np.ndarray) -> tuple[int, int, int]:
     return start, end - start, int(equal[start:end].sum())
 
 
+def accepted(equal: np.ndarray, need: float, share: float) -> tuple[int, int, int] | None:
+    """As ``best_stretch`` if that is long and equal enough; else, of all the stretches that are and
+    that begin and end with equal words, the first with the most equal words; None if there is none."""
+    start, n, same = best_stretch(equal)
+    if n >= need and same >= share * n:
+        return start, n, same
+    at = np.flatnonzero(equal)
+    if len(at) < share * need:
+        return None
+    total = np.concatenate([[0.0], np.cumsum(np.where(equal, 1 - share, -share))])
+    # for each last word, the earliest first word from which the share is reached
+    low = np.minimum.accumulate(total[at])
+    first = np.searchsorted(-low, -(total[at + 1] + 1e-9), "left")
+    size, count = at + 1 - at[np.minimum(first, len(at) - 1)], np.arange(len(at)) + 1 - first
+    count[size < need] = 0
+    last = int(np.argmax(count))
+    if count[last] <= 0:
+        return None
+    return int(at[first[last]]), int(size[last]), int(count[last])
+
+
 def leaks_in(words: np.ndarray, bounds: np.ndarray, index: SeedIndex, opt: Options):
     """(text, item, start, length, equal), the best stretch for each pair, over a batch."""
     tried, best = set(), {}
@@ -98,8 +120,9 @@ def leaks_in(words: np.ndarray, bounds: np.ndarray, index: SeedIndex, opt: Optio
         tried.add((doc, item, start))
         mine = index.words[item]
         lo, hi = max(start, int(bounds[doc])), min(start + len(mine), int(bounds[doc + 1]))
-        s, n, same = best_stretch(words[lo:hi] == mine[lo - start : hi - start])
-        if n >= min(opt.min_words, 0.8 * len(mine)) and same >= opt.min_equal * n and same > best.get((doc, item), (0, 0, 0))[2]:
+        found = accepted(words[lo:hi] == mine[lo - start : hi - start], min(opt.min_words, 0.8 * len(mine)), opt.min_equal)
+        if found and found[2] > best.get((doc, item), (0, 0, 0))[2]:
+            s, n, same = found
             best[(doc, item)] = (lo + s - int(bounds[doc]), n, same)
     return [(d, i, *v) for (d, i), v in sorted(best.items())]
 

@@ -68,3 +68,26 @@ def test_clean_texts_stay(spark):
     text = {r.item_id: r.text for r in bench.collect()}
     bad = {r.doc_id for r in docs.collect() if any(t in r.text for t in text.values())}
     assert bad <= {r.doc_id for r in dc.leaks(docs, bench).collect()}
+
+
+def test_spread_substitutions_do_not_hide_a_stretch():
+    item = np.arange(47, dtype=np.uint64) + np.uint64(1)
+    equal = np.arange(47) % 7 < 5
+    assert dc.best_stretch(equal)[1] == 47 and equal.sum() < 0.75 * 47
+    index = dc.SeedIndex([7], [" ".join(f"w{i}" for i in range(47))], dc.MASKS)
+    text = " ".join(f"w{i}" if e else "changed" for i, e in enumerate(equal)).encode()
+    (d, item, start, n, same), = dc.leaks_of([text], WordHasher(punctuation_is_space=True), index, dc.Options())
+    assert (d, item) == (0, 0) and n >= 12 and same >= 0.75 * n
+
+
+def test_accepted_finds_any_stretch():
+    rnd = np.random.default_rng(3)
+    for _ in range(400):
+        equal = rnd.random(rnd.integers(1, 60)) < rnd.choice([0.5, 0.65, 0.72, 0.8])
+        at = np.flatnonzero(equal)
+        fit = [int(equal[a : b + 1].sum()) for a in at for b in at if b - a + 1 >= 12 and equal[a : b + 1].sum() >= 0.75 * (b - a + 1)]
+        got = dc.accepted(equal, 12, 0.75)
+        assert (got is None) == (not fit)
+        if got:
+            s, n, same = got
+            assert n >= 12 and same == equal[s : s + n].sum() >= 0.75 * n
