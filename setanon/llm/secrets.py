@@ -3,7 +3,8 @@
 Weak candidates (a labelled identifier, a mixed-class run of characters, an address) mean little
 alone. Within a scope, the part of a text between blank lines, each candidate is joined with the
 nearest complementary part whose interval lies within ``reach``; only candidates that find their
-complement are reported. The join is a sweep over sorted intervals, never all pairs.
+complement are reported. Matches run to their natural end, whatever their length. An endpoint
+complements a linked part or a base secret; beside a weak secret alone it stays unreported. The join is a sweep over sorted intervals, never all pairs.
 
 Defined results: null text is an empty text; offsets are code points, end exclusive; base spans
 are never changed by linking; repeated rows and null ids are scanned row by row.
@@ -28,9 +29,9 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
 _HINT = re.compile(r"(?i:passw|secret|token|api_?key)", re.A)
 
-WEAK_ID = re.compile(r"""(?i:access_?key(?:_?id)?|key_?id|client_?id|account(?:_?id)?|user(?:name)?|login)["']?\x20*[:=]\x20*["']?([A-Za-z0-9._@+-]{4,64})""", re.A)
-WEAK_SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,128}(?![A-Za-z0-9+/_=-])")
-ENDPOINT = re.compile(r"(?:https?|wss?|jdbc:\w+|postgres|mysql|mongodb|redis|amqp|s3)://[^\s\"'<>]{4,200}|\b(?:\d{1,3}\.){3}\d{1,3}:\d{2,5}\b", re.A)
+WEAK_ID = re.compile(r"""(?i:access_?key(?:_?id)?|key_?id|client_?id|account(?:_?id)?|user(?:name)?|login)["']?\x20*[:=]\x20*["']?([A-Za-z0-9._@+-]{4,})""", re.A)
+WEAK_SECRET = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}(?![A-Za-z0-9+/_=-])")
+ENDPOINT = re.compile(r"(?:https?|wss?|jdbc:\w+|postgres|mysql|mongodb|redis|amqp|s3)://[^\s\"'<>]{4,}|\b(?:\d{1,3}\.){3}\d{1,3}:\d{2,5}\b", re.A)
 _SCOPE = re.compile(r"\n[ \t\r]*\n")
 
 #: In the order of the span lists.
@@ -77,8 +78,8 @@ def linked_spans(text: str, base: list[Span], reach: int = 200) -> list[Span]:
     strong_id = [(s.start, s.end) for s in base if s.kind == "access"]
     strong_secret = [(s.start, s.end) for s in base if s.kind != "access"]
     weak_id = [m.span() for m in WEAK_ID.finditer(text)]
-    if not (strong_id or weak_id):
-        return []  # without an identifier there is nothing to link to
+    if not (strong_id or weak_id or strong_secret):
+        return []  # a weak secret or an endpoint alone links to nothing
     taken = _Overlaps([(s.start, s.end) for s in base])
     weak_id = [s for s in weak_id if not taken.hit(*s)]
     taken_ids = _Overlaps(weak_id)
@@ -93,7 +94,7 @@ def linked_spans(text: str, base: list[Span], reach: int = 200) -> list[Span]:
     ids, secrets = _Parts(strong_id + weak_id), _Parts(strong_secret + weak_secret)
     out = [Span("linked_id", s, e) for s, e in weak_id if secrets.near(s, e, reach, scope(s))]
     out += [Span("linked_secret", s, e) for s, e in weak_secret if ids.near(s, e, reach, scope(s))]
-    linked = _Parts([(x.start, x.end) for x in out] + [(s, e) for s, e in strong_id if secrets.near(s, e, reach, scope(s))])
+    linked = _Parts([(x.start, x.end) for x in out] + strong_secret + [(s, e) for s, e in strong_id if secrets.near(s, e, reach, scope(s))])
     out += [Span("linked_endpoint", s, e) for s, e in points if linked.near(s, e, reach, scope(s))]
     return out
 
