@@ -41,15 +41,26 @@ def split_small(bucketed: DataFrame, k: int, unit: str = "record") -> tuple[Data
     return n.where(F.col("_n") >= k).drop("_n"), n.where(F.col("_n") < k).drop("_n")
 
 
-def refine(bucketed: DataFrame, max_bucket: int, p: int, fn: str = "xxhash64") -> DataFrame:
+def refine(bucketed: DataFrame, max_bucket: int, p: int, fn: str = "xxhash64", k: int = 1, unit: str = "record") -> DataFrame:
     """Cuts buckets above ``max_bucket`` into runs of at least that size, in the order of one more
-    min-hash and then of the sets, so that like records stay together and no part falls below k."""
+    min-hash and then of the sets, so that like records stay together and no part falls below k.
+
+    By user, the records of a user go where the first of them goes, and a run is made of whole
+    chunks of at least k users; a run then exceeds ``max_bucket`` by less than its last chunk."""
     w = W.partitionBy("bucket_id")
     more = minhash(F.col("items"), p + 7, fn).cast("string")
     n = bucketed.withColumn("_n", F.count(F.lit(1)).over(w))
     big = n.where(F.col("_n") > max_bucket).withColumn("_r", F.row_number().over(w.orderBy(more, F.concat_ws("|", "items"), "record_id")))
-    part = F.least(F.floor((F.col("_r") - 1) / max_bucket), F.floor(F.col("_n") / max_bucket) - 1)
-    big = big.withColumn("bucket_id", F.concat_ws("/", "bucket_id", part.cast("string"))).drop("_n", "_r")
+    if unit == "record":
+        part = F.least(F.floor((F.col("_r") - 1) / max_bucket), F.floor(F.col("_n") / max_bucket) - 1)
+    else:
+        big = big.withColumn("_first", F.min("_r").over(W.partitionBy("bucket_id", "user_id")))
+        big = big.withColumn("_u", F.dense_rank().over(w.orderBy("_first")))
+        chunks = F.greatest(F.floor(F.max("_u").over(w) / k), F.lit(1))  # the last takes what is over
+        big = big.withColumn("_c", F.least(F.floor((F.col("_u") - 1) / k), chunks - 1))
+        big = big.withColumn("_before", F.count(F.lit(1)).over(w.orderBy("_c").rangeBetween(W.unboundedPreceding, -1)))
+        part = F.floor(F.col("_before") / max_bucket)
+    big = big.withColumn("bucket_id", F.concat_ws("/", "bucket_id", part.cast("string"))).drop("_n", "_r", "_first", "_u", "_c", "_before")
     return n.where(F.col("_n") <= max_bucket).drop("_n").unionByName(big)
 
 

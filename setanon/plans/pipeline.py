@@ -47,6 +47,10 @@ class AnonResult:
     dropped: DataFrame
     options: AnonOptions
     k: int
+    held: DataFrame | None = None  # what is persisted, where it is not ``solved`` itself
+
+    def unpersist(self) -> None:
+        (self.solved if self.held is None else self.held).unpersist()
 
     @property
     def records(self) -> DataFrame:
@@ -110,7 +114,7 @@ def anonymize(recs: DataFrame, k: int, o: AnonOptions = AnonOptions()) -> AnonRe
         done = b.select("record_id", "user_id", "bucket_id", F.col("record_id").alias("group_id"), "items", F.col("items").alias("target"))
         return AnonResult(done, b.where("false").select("record_id", F.size("items").alias("n_items")), o, k)
     kept, small = lsh.split_small(b, k, o.unit)
-    kept = lsh.refine(kept, max(o.max_bucket, k), o.p, o.hash)
+    kept = lsh.refine(kept, max(o.max_bucket, k), o.p, o.hash, k, o.unit)
     native = kept.where("false").select("record_id", "user_id", "bucket_id", F.lit("").alias("group_id"), "items", F.col("items").alias("target"))
     if o.popular_first and o.solver == "suppress" and o.unit == "record" and not o.improve:
         w, same = W.partitionBy("bucket_id"), W.partitionBy("bucket_id", F.concat_ws("\x1f", "items"))
@@ -127,13 +131,16 @@ def anonymize(recs: DataFrame, k: int, o: AnonOptions = AnonOptions()) -> AnonRe
         ids, users, sets = (table.column(c).to_pylist() for c in ("record_id", "user_id", "items"))
         by = dict(zip(ids, zip(users, sets)))
         rows = [(i, by[i][0], bucket, f"{bucket}#{g}", by[i][1], t) for i, g, t in kernel.solve(ids, users, sets, opt)]
+        left = by.keys() - {r[0] for r in rows}  # what the kernel refuses has no group
+        rows += [(i, by[i][0], bucket, None, by[i][1], None) for i in sorted(left)]
         text, items = pa.string(), pa.list_(pa.string())
         schema = pa.schema([("record_id", text), ("user_id", text), ("bucket_id", text), ("group_id", text), ("items", items), ("target", items)])
         return pa.table([pa.array(c, f.type) for c, f in zip(list(zip(*rows)) or [()] * 6, schema)], schema=schema)
 
     solved = native.unionByName(kept.select("record_id", "user_id", "bucket_id", "items").groupBy("bucket_id").applyInArrow(run, SOLVED))
     solved = solved.persist(StorageLevel.DISK_ONLY)  # several tables read it; kernels run once
-    return AnonResult(solved, small.select("record_id", F.size("items").alias("n_items")), o, k)
+    dropped = small.select("record_id", "items").unionByName(solved.where("group_id IS NULL").select("record_id", "items"))
+    return AnonResult(solved.where("group_id IS NOT NULL"), dropped.select("record_id", F.size("items").alias("n_items")), o, k, solved)
 
 
 def suppress_rounds(recs: DataFrame, k: int, max_rounds: int = 200) -> DataFrame:

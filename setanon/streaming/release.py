@@ -124,6 +124,6 @@ def batch_release(k: int, sink: Callable[[DataFrame, int], None], o: AnonOptions
         if audit(r.records, k, o.unit).first().violations:
             raise RuntimeError(f"batch {number} is not {k}-anonymous")
         sink(r.records, number)
-        r.solved.unpersist()
+        r.unpersist()
 
     return run

@@ -23,7 +23,7 @@ def replay_batches(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
         r = anonymize(recs, k, AnonOptions(p=1))
         n = r.groups.select("record_id").unionByName(r.dropped.select("record_id")).agg(F.count(F.lit(1)).alias("records"))
         found.append(reliable(audit(r.records, k).select(F.col("violations").cast("long").alias("violations")).join(n)))
-        r.solved.unpersist()
+        r.unpersist()
 
     stream = spark.readStream.schema(schema).format("parquet").option("pathGlobFilter", "*.parquet").load(f"{sf_dir}/events.parquet*")
     stream.writeStream.trigger(availableNow=True).foreachBatch(each).start().awaitTermination()

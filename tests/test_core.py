@@ -244,3 +244,19 @@ def test_exact_guards():
     with pytest.raises(ValueError):
         kernel.exact_groups(np.zeros((15, 2), np.float32), 2)
     assert len(list(itertools.combinations(range(4), 2))) == 6
+
+
+def test_runs_by_user_lose_no_record(spark):
+    """One user owns most records of a bucket that is cut: runs by record count hold that user alone."""
+    data = [(f"r{i:03}", "heavy", ["a", "b"]) for i in range(60)] + [(f"s{i:03}", f"u{i}", ["a", "b" if i % 2 else "c"]) for i in range(12)]
+    recs = spark.createDataFrame(data, "record_id string, user_id string, items array<string>")
+    r = anonymize(recs, 3, AnonOptions(p=0, unit="user", max_bucket=10))
+    solved = r.solved.collect()
+    assert sorted([x.record_id for x in solved] + [x.record_id for x in r.dropped.collect()]) == [x[0] for x in data]
+    assert len(solved) == len(data)
+    users = {}
+    for x in solved:
+        users.setdefault(x.group_id, set()).add(x.user_id)
+    assert min(map(len, users.values())) >= 3
+    sizes = {tuple(x) for x in r.solved.groupBy("bucket_id").agg(F.count_distinct("user_id")).collect()}
+    assert len(sizes) > 1 and min(n for _, n in sizes) >= 3
