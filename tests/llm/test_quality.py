@@ -57,3 +57,7 @@ def test_edges(spark):
     assert {(r.doc_id, r.grade) for r in q.graded(odd).collect()} == {(1, 2), (2, 0)}
     assert q.scored(docs, q.train(docs, odd)).count() == 4
     assert q.select_good(docs.limit(0), odd).count() == 0
+
+
+def test_fit_sample_is_not_cut_for_memory():
+    assert q.Options().max_rows == 12_000
