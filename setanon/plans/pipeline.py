@@ -148,6 +148,7 @@ def suppress_rounds(recs: DataFrame, k: int, max_rounds: int = 200) -> DataFrame
     those that are the cheapest for each of their records commit. Returns (record_id, group_id).
 
     Candidates are the balls of a record and its nearest ones among records that share an item.
+    Records that no candidate holds any more are one group; rounds that run out are an error.
     """
     from ..operators.distance import knn
     from ..operators.graph import reliable
@@ -167,6 +168,8 @@ def suppress_rounds(recs: DataFrame, k: int, max_rounds: int = 200) -> DataFrame
             break
         out = new if out is None else reliable(out.unionByName(new))
         left = reliable(left.join(new, "record_id", "left_anti"))
+    else:
+        raise RuntimeError(f"cover did not settle in {max_rounds} rounds")
     rest = left.select("record_id", F.lit("rest").alias("group_id"))
     n = left.limit(k).count()
     if out is None or n >= k:

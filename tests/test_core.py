@@ -260,3 +260,9 @@ def test_runs_by_user_lose_no_record(spark):
     assert min(map(len, users.values())) >= 3
     sizes = {tuple(x) for x in r.solved.groupBy("bucket_id").agg(F.count_distinct("user_id")).collect()}
     assert len(sizes) > 1 and min(n for _, n in sizes) >= 3
+
+
+def test_cover_rounds_that_run_out_are_an_error(spark):
+    data = {str(i): s for i, s in enumerate(["ab", "ab", "abc", "cd", "cd", "cde"])}
+    with pytest.raises(RuntimeError):
+        suppress_rounds(frame(spark, data), 3, max_rounds=1)
