@@ -469,6 +469,9 @@ def _(spark, d):
     return g.agg(F.sum("n").alias("records"), F.min((F.col("n") >= 3).cast("long")).alias("of_three"))
 
 
+#: Queries are similar by edit distance or by the overlap of their results.
+EITHER = threads.ThreadOptions(similarity="any")
+
 # ---- threads ----------------------------------------------------------------------------------
 
 _LOG = "SELECT CAST(o_custkey AS VARCHAR) AS user_id, o_orderdate AS ts, l_orderkey * 100 + l_linenumber AS seq, p_name AS query FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey"
@@ -489,7 +492,7 @@ def _(spark, d):
 
 @query("thread_stats", f"SELECT count(DISTINCT user_id) AS users, count(*) AS queries, CAST(1 AS BIGINT) AS fewer_threads FROM ({_LOG})")
 def _(spark, d):
-    s = threads.thread_sets(threads.relabel(threads.assign_threads(t.order_log(spark, d)), "k"))
+    s = threads.thread_sets(threads.relabel(threads.assign_threads(t.order_log(spark, d), EITHER, t.corpus(spark, d)), "k"))
     st = measures.thread_stats(s)
     return st.select("users", F.col("queries").cast("long").alias("queries"), (F.col("threads") < F.col("queries")).cast("long").alias("fewer_threads"))
 
@@ -629,7 +632,7 @@ def _(spark, d):
 @query("anonymize_log_k3", f"SELECT CAST(0 AS BIGINT) AS violations, count(*) AS queries FROM ({_LOG})")
 def _(spark, d):
     log = t.order_log(spark, d)
-    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k"))
+    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", EITHER), t.corpus(spark, d))
     bad = measures.audit(r.result.records, 3).select(F.col("violations").cast("long").alias("violations"))
     return bad.join(r.threads.agg(F.sum(F.size("queries")).cast("long").alias("queries")))
 
@@ -650,7 +653,7 @@ def _(spark, d):
 def _(spark, d):
     """Before and after of the least user id of the conversation log: (seq, before, after, deleted, inserted)."""
     log = t.conversation_log(spark, d)
-    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", anon=AnonOptions(p=1)))
+    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", EITHER, anon=AnonOptions(p=1)), t.corpus(spark, d, "documents"))
     user = log.agg(F.min("user_id")).first()[0]
     v = querylog.explain_user(r, user)
     return v.select("seq", "before", "after", sx.joined("deleted").alias("deleted"), sx.joined("inserted").alias("inserted"))
@@ -658,7 +661,7 @@ def _(spark, d):
 
 @query("stitch_risk")
 def _(spark, d):
-    s = threads.thread_sets(threads.relabel(threads.assign_threads(t.conversation_log(spark, d)), "k"))
+    s = threads.thread_sets(threads.relabel(threads.assign_threads(t.conversation_log(spark, d), EITHER, t.corpus(spark, d, "documents")), "k"))
     return attacks.stitch_risk(s.select(F.col("thread_id").alias("record_id"), "user_id", "items"))
 
 

@@ -8,6 +8,7 @@ from setanon.operators import attacks, baselines, lsh, measures, threads, utilit
 from setanon.operators.searchsim import overlapping, top_results
 from setanon.plans.pipeline import AnonOptions
 from setanon.plans.querylog import LogOptions, anonymize_log, explain_user
+from setanon.plans.registry import QUERIES
 from setanon.sources import tables
 
 DIR = "/root/testdata/sf0.001"
@@ -191,3 +192,20 @@ def test_placement(spark):
     after = spark.createDataFrame([("a b", ["b"]), ("a z", ["z"])], "after string, inserted array<string>")
     r = measures.placement_loss(before, after).first()
     assert r.placed == 2 and r.loss == 0.5
+
+
+@pytest.mark.parametrize("name", ["thread_stats", "stitch_risk", "anonymize_log_k3", "case_view"])
+def test_registered_log_queries_take_either_similarity(spark, monkeypatch, name):
+    seen = []
+
+    class Enough(Exception):
+        pass
+
+    def stop(log, o=threads.ThreadOptions(), corpus=None):
+        seen.append((o.similarity, corpus is not None))
+        raise Enough
+
+    monkeypatch.setattr(threads, "assign_threads", stop)
+    with pytest.raises(Enough):
+        QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert seen == [("any", True)]
