@@ -38,6 +38,8 @@ def components(edges: DataFrame, max_rounds: int = 50) -> DataFrame:
         if not jump.where("l <> n").head(1):
             break
         label = jump.select("a", F.col("n").alias("l"))
+    else:
+        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
     return label.select(F.col("a").alias("id"), F.col("l").alias("component_id"))
 
 

@@ -413,7 +413,7 @@ def itemset_groups(m: np.ndarray, k: int) -> list[tuple[int, ...]]:
     """Candidate groups from frequent itemsets: for each closed set of items with support of k or
     more, the supporters nearest in size to it, k to 2k-1 of them."""
     seen, out, todo = set(), set(), [tuple()]
-    while todo and len(seen) < 5000:
+    while todo:
         base = todo.pop()
         have = m[:, list(base)].all(axis=1) if base else np.ones(len(m), bool)
         rows = np.flatnonzero(have)

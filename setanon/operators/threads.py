@@ -25,7 +25,6 @@ class ThreadOptions:
     top: int = 50
     min_overlap: int = 20
     similarity: str = "edit"  # edit, results or any
-    collapse_rounds: int = 10
 
 
 def sim_edit(a: Column, b: Column, threshold: int) -> Column:
@@ -74,10 +73,10 @@ def first_pass(log: DataFrame, similar: DataFrame) -> DataFrame:
     return p.withColumn("node", name("at")).join(r, "node").select("user_id", "at", "ts", "seq", "query", F.substring_index("root", "\x1f", -1).cast("int").alias("root"))
 
 
-def collapse(threads: DataFrame, similar: DataFrame, max_rounds: int = 10) -> DataFrame:
+def collapse(threads: DataFrame, similar: DataFrame) -> DataFrame:
     """Merges runs of consecutive threads of a user that hold a similar pair, to a fixpoint."""
     now = reliable(threads)
-    for _ in range(max_rounds):
+    while True:  # each round leaves fewer threads
         first = now.select("user_id", "root").distinct().withColumn("before", F.lag("root").over(W.partitionBy("user_id").orderBy("root")))
         q = now.select("user_id", "root", "query").distinct()
         near = (
@@ -99,10 +98,10 @@ def collapse(threads: DataFrame, similar: DataFrame, max_rounds: int = 10) -> Da
 
 def assign_threads(log: DataFrame, o: ThreadOptions = ThreadOptions(), corpus: DataFrame | None = None) -> DataFrame:
     similar = reliable(similar_queries(log, o, corpus))
-    return collapse(first_pass(log, similar), similar, o.collapse_rounds)
+    return collapse(first_pass(log, similar), similar)
 
 
-def assign_threads_kernel(log: DataFrame, similar: DataFrame, max_rounds: int = 10) -> DataFrame:
+def assign_threads_kernel(log: DataFrame, similar: DataFrame) -> DataFrame:
     """The same threads by one Arrow kernel for each user; for users of bounded size."""
     near = similar.groupBy("user_id", "qa").agg(F.collect_list("qb").alias("near")).withColumnRenamed("qa", "query")
     rows = _numbered(log).join(near, ["user_id", "query"]).select("user_id", "at", "ts", "seq", "query", "near")
@@ -115,7 +114,7 @@ def assign_threads_kernel(log: DataFrame, similar: DataFrame, max_rounds: int =
             seen = [last[x] for x in near[i] if x in last]
             root.append(root[max(seen)] if seen else i + 1)
             last[q] = i
-        for _ in range(max_rounds):
+        while True:  # each round leaves fewer threads
             members: dict[int, list[int]] = {}
             for i, r in enumerate(root):
                 members.setdefault(r, []).append(i)

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from setanon.functions import hashing, sets
 from setanon.operators import clustering, kernel, majority, records, relational
+from setanon.operators.graph import components
 from setanon.operators.kernel import Bucket, FacilityOptions, SolveOptions
 from setanon.plans.pipeline import AnonOptions, anonymize, suppress_rounds
 from setanon.schema import InvalidRecords, validate
@@ -266,3 +267,15 @@ def test_cover_rounds_that_run_out_are_an_error(spark):
     data = {str(i): s for i, s in enumerate(["ab", "ab", "abc", "cd", "cd", "cde"])}
     with pytest.raises(RuntimeError):
         suppress_rounds(frame(spark, data), 3, max_rounds=1)
+
+
+def test_every_closed_itemset_is_a_candidate():
+    m = (1 - np.eye(13, dtype=np.int64))  # all subsets of up to 11 of 13 items are closed
+    missing = {frozenset(g) for g in itertools.combinations(range(13), 2)} - set(map(frozenset, kernel.itemset_groups(m, 2)))
+    assert not missing
+
+
+def test_components_that_do_not_settle_are_an_error(spark):
+    edges = spark.createDataFrame([(f"n{i:02}", f"n{i + 1:02}") for i in range(20)], "a string, b string")
+    with pytest.raises(RuntimeError):
+        components(edges, max_rounds=1)
