@@ -11,7 +11,6 @@ training text everything is ``und``; repeated rows are predicted row by row.
 
 from __future__ import annotations
 
-import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -21,7 +20,6 @@ from pyspark.sql import functions as F
 
 from .common import crc_mod3
 
-_LETTER = re.compile(r"[^\W\d_]")
 #: ASCII bytes that are not letters count as spaces.
 _FOLD = bytes(b if b > 127 or chr(b).isalpha() else 32 for b in range(256))
 
@@ -56,7 +54,7 @@ class Model:
 
     def mixture(self, text: str | None, opt: Options = Options()) -> list[tuple[str, float]]:
         """Languages of the text with their shares, the largest first."""
-        if not text or not self.langs or not _LETTER.search(text):
+        if not text or not self.langs or not any(map(str.isalpha, text)):
             return []
         grams = ngrams(text, opt)
         if len(grams) > 1 << opt.bits:

@@ -6,16 +6,19 @@ equal offsets. This synchronising sample plays the part of the difference cover
 deals all windows to buckets of one gram each, so that buckets can be sorted apart.
 
 1. Every run of windows with one sampled position becomes a context (all their bytes). Contexts are
-   named by hash; a context that occurs twice is repeated whole, and a gram with one context ends
-   here. What is left are the contexts around edges, one of each name.
+   named by 96 bits of hashes beside their gram's 64; a context that occurs twice is repeated whole,
+   and a gram with one context ends here. What is left are the contexts around edges, one of each
+   name.
 2. Bucket by bucket their suffixes are sorted by the difference-cover algorithm: triples at two of
    three positions are sorted and named, the names are sorted by recursion, the remaining suffixes
-   are merged in.
+   are merged in. Buckets that one task can hold are sorted there, several together; what lies in a
+   gram with more than ``bucket_contexts`` contexts is sorted by all tasks together, by the same
+   algorithm as a plan of range exchanges (``suffix_order``).
 3. Adjacent suffixes are compared over ``length`` bytes; windows of an equal pair are repeated.
 4. Repeated windows of a text are united and cut out.
 
-A gram with very many different contexts (more than ``bucket_contexts``) never meets in one task:
-its windows are counted by value instead, with partial aggregation.
+Counts per name and per gram are aggregates joined back, so no task gathers what copies of one text
+or users of one gram share.
 
 Defined results: null text is an empty text; a text under ``length`` bytes keeps everything;
 matches never cross texts; overlapping repeats count; repeated rows and null ids are rows of their
@@ -30,10 +33,10 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import discard, key_bitmap, keyed, release, with_slot, written
+from .common import discard, key_bitmap, keyed, release, tidy, with_slot, written
+from .suffix_order import repeated_windows, suffix_array
 from .words import WordHasher, mix
 
 
@@ -41,54 +44,13 @@ from .words import WordHasher, mix
 class Options:
     length: int = 200
     gram: int = 48
-    segment: int = 1 << 20  # a longer text is sampled in overlapping parts
-    bucket_contexts: int = 50_000
-    sort_bytes: int = 1 << 20  # contexts of several grams that are sorted together
-
-
-# ---- suffix sorting ---------------------------------------------------------------------------
-
-
-def suffix_array(s: np.ndarray) -> np.ndarray:
-    """Start positions of the suffixes of an array of positive integers, in order."""
-    n = len(s)
-    if n < 3:
-        return np.asarray(sorted(range(n), key=lambda i: s[i:].tolist()), np.int64)
-    t = np.concatenate([s.astype(np.int64), np.zeros(3, np.int64)])
-    # sample: positions 1 and 2 modulo 3 (with an empty one at n where n = 1 modulo 3)
-    one, two = np.arange(1, n + (n % 3 == 1), 3), np.arange(2, n, 3)
-    sample = np.concatenate([one, two])
-    width = int(t.max()) + 1
-    if width < 1 << 20:
-        key = (t[sample] * width + t[sample + 1]) * width + t[sample + 2]
-    else:
-        pair = np.unique(t[sample] * width + t[sample + 1], return_inverse=True)[1]
-        key = pair.astype(np.int64) * width + t[sample + 2]
-    order = np.argsort(key, kind="stable")
-    sorted_key = key[order]
-    name = np.cumsum(np.concatenate([[1], (sorted_key[1:] != sorted_key[:-1]).astype(np.int64)]))
-    names = np.empty(len(sample), np.int64)
-    names[order] = name
-    if name[-1] < len(sample):  # some triples are equal: sort their names' suffixes
-        order = suffix_array(names)
-    rank = np.zeros(n + 4, np.int64)
-    rank[sample[order]] = np.arange(1, len(sample) + 1)
-    ranked = sample[order]
-    ranked = ranked[ranked < n]
-    # the rest: position 0 modulo 3, by first symbol and the rank that follows
-    zero = np.arange(0, n, 3)
-    big = n + 4
-    key0 = t[zero] * big + rank[zero + 1]
-    at = np.argsort(key0, kind="stable")
-    zero, key0 = zero[at], key0[at]
-    r1, r2 = ranked[ranked % 3 == 1], ranked[ranked % 3 == 2]
-    less1 = np.searchsorted(t[r1] * big + rank[r1 + 1], key0)
-    head = np.unique(np.concatenate([t[zero] * width + t[zero + 1], t[r2] * width + t[r2 + 1]]), return_inverse=True)[1]
-    less2 = np.searchsorted(head[len(zero) :] * big + rank[r2 + 2], head[: len(zero)] * big + rank[zero + 2])
-    out = np.full(n, -1, np.int64)
-    out[np.arange(len(zero)) + less1 + less2] = zero
-    out[out < 0] = ranked
-    return out
+    segment: int = 1 << 18  # a longer text is sampled in overlapping parts
+    bucket_contexts: int = 4_000  # contexts of a gram that one task sorts; each is under 2 * length - gram bytes
+    sort_bytes: int = 1 << 18  # contexts of several grams that are sorted together
+    one_task: int = 1 << 20  # symbols that end the recursion of the sort by all tasks
+
+
+# ---- sorting in one task ----------------------------------------------------------------------
 
 
 def repeated_starts(data: bytes, starts: np.ndarray, length: int) -> np.ndarray:
@@ -122,25 +84,25 @@ class Sampler:
     """Contexts of the windows of texts."""
 
     def __init__(self, opt: Options):
-        self.opt, self.hash = opt, WordHasher(fold=False)
+        self.opt, self.hash, self.other = opt, WordHasher(fold=False), WordHasher(fold=False, seed=1)
 
-    def _totals(self, data: np.ndarray) -> np.ndarray:
-        self.hash._powers(len(data) + 1)
+    @staticmethod
+    def _totals(data: np.ndarray, hasher: WordHasher) -> np.ndarray:
+        hasher._powers(len(data) + 1)
         total = np.zeros(len(data) + 1, np.uint64)
-        np.cumsum(self.hash.values[data] * self.hash.up[: len(data)], out=total[1:])
+        np.cumsum(hasher.values[data] * hasher.up[: len(data)], out=total[1:])
         return total
 
-    def block(self, texts: list[bytes]):
-        """For a block of texts shorter than 2**21 bytes in all: gram, context name, text number,
-        first window, further windows, and the offset of the gram in the first window."""
-        o, size = self.opt, np.asarray([len(t) for t in texts], np.int64)
+    def block(self, data: np.ndarray, size: np.ndarray):
+        """For a block of texts of these sizes, under 2**21 bytes in all: gram, context name, its
+        further bits, text number, first window, further windows, offset of the gram in the first window."""
+        o = self.opt
         base = np.concatenate([[0], np.cumsum(size)])
         many = np.maximum(0, size - o.length + 1)
         n = int(many.sum())
         if not n:
-            return [np.zeros(0, np.int64)] * 6
-        data = np.frombuffer(b"".join(texts), np.uint8)
-        total = self._totals(data)
+            return [np.zeros(0, np.int64)] * 7
+        total = self._totals(data, self.hash)
         grams = mix((total[o.gram :] - total[: -o.gram]) * self.hash.down[: len(data) - o.gram + 1])
         least = (grams & ~_LOW) | (_LOW - np.arange(len(grams), dtype=np.uint64))
         width, have = o.length - o.gram + 1, 1
@@ -149,65 +111,81 @@ class Sampler:
             have *= 2
         if have < width:
             least = np.minimum(least[: have - width], least[width - have :])
-        doc = np.repeat(np.arange(len(texts)), many)
+        doc = np.repeat(np.arange(len(size), dtype=np.int32), many)
         start = np.arange(n) + (base[:-1] - np.concatenate([[0], np.cumsum(many)[:-1]]))[doc]
         pick = (_LOW - (least[start] & _LOW)).astype(np.int64)
+        del least
         cut = np.concatenate([[True], (pick[1:] != pick[:-1]) | (doc[1:] != doc[:-1])])
         first = np.flatnonzero(cut)
         last = np.concatenate([first[1:], [n]]) - 1
-        s, e, p = start[first], start[last], pick[first]
-        name = (total[e + o.length] - total[s]) * self.hash.down[s]
-        name = mix(name ^ ((p - s).astype(np.uint64) << np.uint64(32)) ^ (e - s).astype(np.uint64))
-        return grams[p].view(np.int64), name.view(np.int64), doc[first], s - base[doc[first]], e - s, p - s
-
-    def texts(self, texts: list[bytes]):
-        """As ``block`` for any texts; long ones are cut into overlapping segments."""
-        o, held, origin, size = self.opt, [], [], 0
-        for i, t in enumerate(texts):
-            for at in range(0, max(1, len(t) - o.length + 1), o.segment):
-                part = t[at : at + o.segment + o.length - 1]
-                if size + len(part) > o.segment and held:
-                    yield self._named(held, origin)
-                    held, origin, size = [], [], 0
-                held.append(part)
-                origin.append((i, at))
-                size += len(part)
-        if held:
-            yield self._named(held, origin)
-
-    def _named(self, held, origin):
-        gram, name, doc, s, more, back = self.block(held)
-        where = np.asarray(origin, np.int64)
-        return gram, name, where[doc, 0], s + where[doc, 1], more, back
+        s, e, p, doc = start[first], start[last], pick[first], doc[first]
+        grams = grams[p]
+        del start, pick, cut
+        shape = ((p - s).astype(np.uint64) << np.uint64(32)) ^ (e - s).astype(np.uint64)
+        name = mix((total[e + o.length] - total[s]) * self.hash.down[s] ^ shape)
+        total = self._totals(data, self.other)
+        bits = mix((total[e + o.length] - total[s]) * self.other.down[s] ^ shape) >> np.uint64(32)
+        return grams.view(np.int64), name.view(np.int64), bits.astype(np.uint32).view(np.int32), doc, s - base[doc], e - s, p - s
+
+    def texts(self, data: np.ndarray, at: np.ndarray):
+        """As ``block`` for the texts that begin at ``at`` (one more entry than texts); long ones are
+        cut into overlapping segments."""
+        o, n, i = self.opt, len(at) - 1, 0
+        while i < n:
+            if at[i + 1] - at[i] > o.segment:
+                for x in range(int(at[i]), int(at[i + 1]) - o.length + 1, o.segment):
+                    y = min(x + o.segment + o.length - 1, int(at[i + 1]))
+                    gram, name, bits, doc, s, more, back = self.block(data[x:y], np.asarray([y - x]))
+                    yield gram, name, bits, doc + i, s + (x - at[i]), more, back
+                i += 1
+                continue
+            j = max(i + 1, int(np.searchsorted(at, at[i] + o.segment, "right")) - 1)
+            gram, name, bits, doc, s, more, back = self.block(data[at[i] : at[j]], np.diff(at[i : j + 1]))
+            yield gram, name, bits, doc + i, s, more, back
+            i = j
 
 
 # ---- the operator -----------------------------------------------------------------------------
 
 
+def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """The bytes of a column of texts, one after the other, and where each begins, without a copy."""
+    column = column.cast(pa.large_string())
+    _, offsets, data = column.buffers()
+    at = np.frombuffer(offsets, np.int64)[column.offset : column.offset + len(column) + 1] if len(column) else np.zeros(1, np.int64)
+    return (np.frombuffer(data, np.uint8) if data is not None and data.size else np.zeros(0, np.uint8)), at
+
+
 def contexts(docs: DataFrame, opt: Options) -> DataFrame:
-    """(gram, name, row_key, s, more, back): windows s to s+more of a text share a sampled gram."""
+    """(gram, name, bits, row_key, s, more, back): windows s to s+more of a text share a sampled gram."""
 
     def run(batches):
         sampler = Sampler(opt)
         for b in batches:
             keys = b.column(0).to_numpy()
-            for gram, name, doc, s, more, back in sampler.texts([t.encode() for t in b.column(1).to_pylist()]):
+            for gram, name, bits, doc, s, more, back in sampler.texts(*text_bytes(b.column(1))):
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(gram), pa.array(name), pa.array(keys[doc]), pa.array(s), pa.array(more.astype(np.int16)), pa.array(back.astype(np.int16))],
-                    ["gram", "name", "row_key", "s", "more", "back"],
+                    [pa.array(gram), pa.array(name), pa.array(bits.astype(np.int32)), pa.array(keys[doc]), pa.array(s), pa.array(more.astype(np.int16)), pa.array(back.astype(np.int16))],
+                    ["gram", "name", "bits", "row_key", "s", "more", "back"],
                 )
+            tidy()
+
+    return docs.select("row_key", "text").mapInArrow(run, "gram long, name long, bits int, row_key long, s long, more short, back short")
 
-    return docs.select("row_key", "text").mapInArrow(run, "gram long, name long, row_key long, s long, more short, back short")
 
+NAME = ["gram", "name", "bits"]
 
-def marked(docs: DataFrame, opt: Options) -> DataFrame:
-    """Contexts that are repeated whole (n2 > 1), or are the one of their name in a bucket with
-    several names (lead); ``names`` counts these."""
-    by, own = W.partitionBy("gram"), W.partitionBy("gram", "name")
-    c = contexts(docs, opt).withColumn("n", F.count(F.lit(1)).over(by)).where("n > 1")
-    c = c.withColumn("n2", F.count(F.lit(1)).over(own)).withColumn("lead", F.row_number().over(own.orderBy("row_key", "s")) == 1)
-    c = c.withColumn("names", F.sum(F.col("lead").cast("long")).over(by)).withColumn("lead", F.col("lead") & (F.col("names") > 1))
-    return c.where("n2 > 1 OR lead").select("gram", "row_key", "s", "more", "back", (F.col("n2") == 1).alias("alone"), "lead", "names")
+
+def named(found: DataFrame) -> DataFrame:
+    """(gram, name, bits, n2, names, row_key, s, more, back): for each context that occurs twice or
+    shares its gram with another name, how often it occurs, its gram's names, and its first place."""
+    own = found.groupBy(*NAME).agg(F.count(F.lit(1)).alias("n2"), F.min(F.struct("row_key", "s", "more", "back")).alias("lead"))
+    own = written(own, "own")
+    often = own.groupBy("gram").agg(F.count(F.lit(1)).alias("names"), F.sum("n2").alias("n")).where("n > 1").select("gram", "names")
+    out = written(own.join(often, "gram").select(*NAME, "n2", "names", "lead.*"), "names")
+    discard(own)
+    release(found.sparkSession)
+    return out
 
 
 def _only_keys(docs: DataFrame, keys: DataFrame, inside: bool = True) -> DataFrame:
@@ -234,21 +212,25 @@ def _span_batch(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
 
 def sliced(docs: DataFrame, leads: DataFrame, opt: Options) -> DataFrame:
     """(gram, row_key, s, more, alone, many, data) for each leading context."""
-    lists = leads.groupBy("row_key").agg(F.collect_list(F.struct("gram", "s", "more", "back", "alone", (F.col("names") > opt.bucket_contexts).alias("many"))).alias("c"))
+    lists = leads.groupBy("row_key").agg(F.collect_list(F.struct("gram", "s", "more", (F.col("n2") == 1).alias("alone"), (F.col("names") > opt.bucket_contexts).alias("many"))).alias("c"))
     both = _only_keys(docs.select("row_key", "text"), leads.select("row_key")).join(lists, "row_key")
 
     def run(batches):
-        for b in batches:
-            for key, text, listed in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
-                t, c = text.encode(), listed.values.flatten()
-                gram, s, more, back, alone, many = c
-                at, end = s.to_pylist(), (s.to_numpy() + more.to_numpy() + opt.length).tolist()
-                yield pa.RecordBatch.from_arrays(
-                    [gram, pa.array(np.full(len(at), key, np.int64)), s, more, back, alone, many, pa.array([t[x:y] for x, y in zip(at, end)], pa.binary())],
-                    ["gram", "row_key", "s", "more", "back", "alone", "many", "data"],
-                )
-
-    return both.mapInArrow(run, "gram long, row_key long, s long, more short, back short, alone boolean, many boolean, data binary")
+        for whole in batches:
+            for first in range(0, whole.num_rows, 500):
+                b = whole.slice(first, 500)
+                data, at = text_bytes(b.column(1))
+                for i, (key, listed) in enumerate(zip(b.column(0).to_pylist(), b.column(2))):
+                    gram, s, more, alone, many = listed.values.flatten()
+                    begin = (s.to_numpy() + at[i]).tolist()
+                    end = (s.to_numpy() + more.to_numpy() + (at[i] + opt.length)).tolist()
+                    yield pa.RecordBatch.from_arrays(
+                        [gram, pa.array(np.full(len(begin), key, np.int64)), s, more, alone, many, pa.array([data[x:y].tobytes() for x, y in zip(begin, end)], pa.binary())],
+                        ["gram", "row_key", "s", "more", "alone", "many", "data"],
+                    )
+            tidy()
+
+    return both.mapInArrow(run, "gram long, row_key long, s long, more short, alone boolean, many boolean, data binary")
 
 
 def sorted_spans(parts: DataFrame, opt: Options) -> DataFrame:
@@ -283,63 +265,60 @@ def sorted_spans(parts: DataFrame, opt: Options) -> DataFrame:
                 size += len(r[4])
         if held:
             yield _span_batch(solve(held))
+        tidy()
 
     few = parts.where("NOT many").select("gram", "row_key", "s", "more", "alone", "data")
     return few.repartition("gram").sortWithinPartitions("gram").mapInArrow(run, SPANS)
 
 
-def counted_spans(parts: DataFrame, opt: Options) -> DataFrame:
-    """The same for grams with very many contexts: every window by its value."""
-
-    def run(batches):
-        for b in batches:
-            for gram, key, s, back, alone, data in zip(*(b.column(i).to_pylist() for i in range(6))):
-                n = len(data) - opt.length + 1
-                v = [hashlib.blake2b(data[i : i + opt.length], digest_size=16).digest() for i in range(n)]
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([gram] * n, pa.int64()), pa.array(np.full(n, back) - np.arange(n)), pa.array(v, pa.binary()), pa.array([key] * n, pa.int64()), pa.array(s + np.arange(n)), pa.array([alone] * n)],
-                    ["gram", "off", "v", "row_key", "a", "alone"],
-                )
-
-    rows = parts.where("many").select("gram", "row_key", "s", "back", "alone", "data").mapInArrow(run, "gram long, off long, v binary, row_key long, a long, alone boolean")
-    twice = rows.groupBy("gram", "off", "v").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return rows.where("alone").join(twice, ["gram", "off", "v"], "left_semi").select("row_key", "a", (F.col("a") + opt.length).alias("b"))
+def ranked_spans(parts: DataFrame, opt: Options) -> DataFrame:
+    """The same for grams with very many contexts, whose suffixes all tasks sort together."""
+    big = parts.where("many").select("row_key", "s", "alone", "data")
+    if not big.head(1):
+        return big.select("row_key", F.col("s").alias("a"), F.col("s").alias("b"))
+    strings = written(big.withColumn("t", F.monotonically_increasing_id()), "strings")
+    tasks = int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    twice = repeated_windows(strings, opt.length, tasks, opt.one_task)
+    out = strings.where("alone").select("t", "row_key", "s").join(twice, "t")
+    return out.select("row_key", (F.col("s") + F.col("i")).alias("a"), (F.col("s") + F.col("i") + opt.length).alias("b"))
 
 
 def spans(docs: DataFrame, opt: Options = Options()) -> DataFrame:
     """(row_key, a, b): byte ranges, possibly overlapping, whose union is to be removed."""
-    found = written(marked(docs, opt), "marked")
-    release(docs.sparkSession)
-    whole = found.where("NOT alone").select("row_key", F.col("s").alias("a"), (F.col("s") + F.col("more") + opt.length).alias("b"))
-    leads = found.where("lead")
+    spark = docs.sparkSession
+    found = written(contexts(docs, opt), "contexts")
+    names = named(found)
+    leads = names.where("names > 1")
     parts = written(sliced(docs, leads, opt), "parts")
-    out = written(whole.unionByName(sorted_spans(parts, opt)).unionByName(counted_spans(parts, opt)), "spans")
-    discard(parts)
-    discard(found)
-    release(docs.sparkSession)
+    release(spark)
+    twice = names.where("n2 > 1").select(*NAME)
+    whole = found.join(twice, NAME).select("row_key", F.col("s").alias("a"), (F.col("s") + F.col("more") + opt.length).alias("b"))
+    out = written(whole.unionByName(sorted_spans(parts, opt)).unionByName(ranked_spans(parts, opt)), "spans")
+    for table in (parts, names, found):
+        discard(table)
+    release(spark)
     return out
 
 
 KEPT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
-def united(pieces: list[tuple[int, int]]) -> list[tuple[int, int]]:
+def united(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
     """Maximal ranges covered by the given ones."""
-    out: list[list[int]] = []
-    for a, b in sorted(pieces):
-        if out and a <= out[-1][1]:
-            out[-1][1] = max(out[-1][1], b)
-        else:
-            out.append([a, b])
-    return [tuple(x) for x in out]
+    order = np.argsort(a, kind="stable")
+    a, b = a[order], np.maximum.accumulate(b[order])
+    new = np.concatenate([[True], a[1:] > b[:-1]])
+    return list(zip(a[new].tolist(), b[np.concatenate([new[1:], [True]])].tolist()))
 
 
-def cut_out(data: bytes, pieces: list[tuple[int, int]]) -> bytes:
-    out, at = [], 0
+def cut_out(data: np.ndarray, pieces: list[tuple[int, int]]):
+    """Hash of what is left."""
+    left, at = hashlib.sha256(), 0
     for a, b in pieces:
-        out.append(data[at:a])
+        left.update(data[at:a])
         at = b
-    return b"".join([*out, data[at:]])
+    left.update(data[at:])
+    return left
 
 
 def removed(docs: DataFrame, opt: Options = Options()) -> DataFrame:
@@ -348,17 +327,19 @@ def removed(docs: DataFrame, opt: Options = Options()) -> DataFrame:
     lists = found.groupBy("row_key").agg(F.collect_list(F.struct("a", "b")).alias("c"))
 
     def run(batches):
-        for b in batches:
-            rows = []
-            listed = b.column(2)
-            for i, (doc_id, text) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist())):
-                data = text.encode()
-                got = listed[i]
-                pieces = united([(x["a"], x["b"]) for x in got.as_py()]) if got.is_valid else []
-                rows.append((doc_id, len(data), sum(y - x for x, y in pieces), len(pieces), hashlib.sha256(cut_out(data, pieces)).hexdigest()))
-            cols = list(zip(*rows)) or [()] * 5
-            kinds = [pa.int64()] * 4 + [pa.string()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+        for whole in batches:
+            for first in range(0, whole.num_rows, 500):
+                b = whole.slice(first, 500)
+                data, at = text_bytes(b.column(1))
+                rows = []
+                for i, (doc_id, listed) in enumerate(zip(b.column(0).to_pylist(), b.column(2))):
+                    own = data[at[i] : at[i + 1]]
+                    pieces = united(listed.values.field(0).to_numpy(), listed.values.field(1).to_numpy()) if listed.is_valid else []
+                    rows.append((doc_id, len(own), sum(y - x for x, y in pieces), len(pieces), cut_out(own, pieces).hexdigest()))
+                cols = list(zip(*rows)) or [()] * 5
+                kinds = [pa.int64()] * 4 + [pa.string()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+            tidy()
 
     keys = found.select("row_key")
     slim = docs.select("row_key", "doc_id", "text")

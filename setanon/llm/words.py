@@ -10,7 +10,6 @@ import numpy as np
 
 _MASK = (1 << 64) - 1
 _C = 0x9E3779B97F4A7C15 | 1
-_C_INV = pow(_C, -1, 1 << 64)
 SPACES = (0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D)
 
 
@@ -30,10 +29,13 @@ _LOWER[65:91] += 32
 
 
 class WordHasher:
-    """``fold``: A-Z count as a-z. ``punctuation_is_space``: ASCII punctuation separates words."""
+    """``fold``: A-Z count as a-z. ``punctuation_is_space``: ASCII punctuation separates words.
+    Hashes of different seeds are independent."""
 
-    def __init__(self, *, fold: bool = True, punctuation_is_space: bool = False):
-        self.values = _VALUES[_LOWER] if fold else _VALUES
+    def __init__(self, *, fold: bool = True, punctuation_is_space: bool = False, seed: int = 0):
+        values = _VALUES if not seed else mix(_VALUES + np.uint64(0xA0761D6478BD642F) * np.uint64(seed))
+        self.values = values[_LOWER] if fold else values
+        self.base = (_C + 8 * seed * 0x632BE59BD9B4E019) & _MASK
         self.is_space = np.zeros(256, bool)
         self.is_space[list(SPACES)] = True
         if punctuation_is_space:
@@ -43,10 +45,10 @@ class WordHasher:
 
     def _powers(self, n: int) -> None:
         if len(self.up) < n:
-            n = max(n, 1 << 20)
+            n = 1 << max(18, (n - 1).bit_length())
             with np.errstate(over="ignore"):
-                self.up = np.cumprod(np.full(n, _C, np.uint64))
-                self.down = np.cumprod(np.full(n, _C_INV, np.uint64))
+                self.up = np.cumprod(np.full(n, self.base, np.uint64))
+                self.down = np.cumprod(np.full(n, pow(self.base, -1, 1 << 64), np.uint64))
 
     def _block(self, data: np.ndarray, prefixes: tuple[int, ...]) -> tuple[list[np.ndarray], np.ndarray]:
         """Hashes of the words of a block that starts and ends with a space; where they start."""

@@ -6,6 +6,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from setanon.llm import suffix as sx
+from setanon.llm import suffix_order as so
 
 
 @settings(max_examples=300, deadline=None)
@@ -65,3 +66,34 @@ def test_given_documents_and_repeated_rows(spark):
     two = spark.createDataFrame([(1, "q" * 150 + "r" * 150), (1, "q" * 150 + "r" * 150), (None, "short")], "doc_id long, text string")
     assert sorted((r.n_bytes, r.n_removed, r.n_spans) for r in sx.removed(keyed(two)).collect()) == [(5, 0, 0), (300, 300, 1), (300, 300, 1)]
     assert sx.removed(keyed(two.limit(0))).count() == 0
+
+
+def test_sort_by_all_tasks_equals_one_task(spark):
+    rnd = random.Random(4)
+    strings = [[rnd.randint(1, 3) for _ in range(rnd.choice([1, 2, 3, 7, 20, 41]))] for _ in range(60)]
+    strings += [strings[0], [1] * 30, [1] * 29]
+    df = spark.createDataFrame(list(enumerate(strings)), "t long, s array<long>")
+    for one_task in (0,):
+        got = sorted((r, strings[x.t][i:]) for x in so.suffix_ranks(df, 3, one_task).collect() for i, r in enumerate(x.r))
+        assert [s for _, s in got] == sorted(s[i:] for s in strings for i in range(len(s)))
+
+
+def test_hot_gram_is_sorted_by_all_tasks(spark):
+    rnd = random.Random(9)
+    passage = "".join(rnd.choices("abcd", k=60))
+    texts = ["".join(rnd.choices("efgh", k=30)) + passage + "".join(rnd.choices("ijkl", k=30)) for _ in range(30)]
+    texts += [texts[0][:70] + "m" + texts[1][70:], texts[2], "x" + passage[5:50], None, ""]
+    df = spark.createDataFrame([(i, i, t or "") for i, t in enumerate(texts)], "row_key long, doc_id long, text string")
+    for opt in (sx.Options(length=40, gram=10, bucket_contexts=3, one_task=2000),):
+        assert {r.doc_id: tuple(r)[1:] for r in sx.removed(df, opt).collect()} == dict(enumerate(brute(texts, 40)))
+
+
+def test_long_text_beside_short_ones_and_clashing_names(spark):
+    rnd = random.Random(2)
+    long = "".join(rnd.choices("abcdefgh ", k=900))
+    texts = ["short", long, long[100:700] + "tail", "é" * 300, ""]
+    df = spark.createDataFrame([(i, t, "g", 1, 2) for i, t in enumerate(texts)], "doc_id long, text string, gram string, s int, names int")
+    from setanon.llm.common import keyed
+
+    got = {r.doc_id: tuple(r)[1:] for r in sx.removed(keyed(df), sx.Options(segment=300)).collect()}
+    assert got == dict(enumerate(brute(texts, 200)))
