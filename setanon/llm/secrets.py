@@ -2,9 +2,10 @@
 
 Weak candidates (a labelled identifier, a mixed-class run of characters, an address) mean little
 alone. Within a scope, the part of a text between blank lines, each candidate is joined with the
-nearest complementary part whose interval lies within ``reach``; only candidates that find their
-complement are reported. Matches run to their natural end, whatever their length. An endpoint
-complements a linked part or a base secret; beside a weak secret alone it stays unreported. The join is a sweep over sorted intervals, never all pairs.
+complementary parts whose intervals lie within ``reach`` before or behind it; only candidates that
+find a complement are reported. Matches run to their natural end, whatever their length. An endpoint
+complements a linked part or a base secret; beside a weak
+secret alone it stays unreported. The join looks intervals up by their sorted starts and ends, never all pairs.
 
 Defined results: null text is an empty text; offsets are code points, end exclusive; base spans
 are never changed by linking; repeated rows and null ids are scanned row by row.
@@ -61,16 +62,19 @@ def _mixed(run: str) -> bool:
 
 
 class _Parts:
-    """Intervals of one part kind, for a nearest-neighbour join."""
+    """Intervals of one part kind, which may overlap, by start and by end."""
 
     def __init__(self, spans: list[tuple[int, int]]):
-        self.spans = sorted(spans)
-        self.starts = [s for s, _ in self.spans]
+        self.by_start = sorted(spans)
+        self.by_end = sorted(spans, key=lambda x: (x[1], x[0]))
+        self.starts, self.ends = [s for s, _ in self.by_start], [e for _, e in self.by_end]
 
     def near(self, start: int, end: int, reach: int, scope: tuple[int, int]) -> bool:
-        i = bisect.bisect_left(self.starts, start)
-        around = self.spans[max(0, i - 1) : i] + self.spans[i : i + 1]
-        return any(scope[0] <= s and e <= scope[1] and s - end <= reach and start - e <= reach and (e <= start or s >= end) for s, e in around)
+        """Is there a part of the scope that ends at most ``reach`` before the interval, or starts at
+        most so far behind it? All parts within reach are looked at."""
+        before = self.by_end[bisect.bisect_left(self.ends, start - reach) : bisect.bisect_right(self.ends, start)]
+        behind = self.by_start[bisect.bisect_left(self.starts, end) : bisect.bisect_right(self.starts, end + reach)]
+        return any(scope[0] <= s for s, _ in before) or any(e <= scope[1] for _, e in behind)
 
 
 def linked_spans(text: str, base: list[Span], reach: int = 200) -> list[Span]:
