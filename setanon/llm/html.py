@@ -4,13 +4,17 @@ A page is cut into leaf blocks, each with its path of tags and class words. A bi
 numpy reads the whole sequence of blocks, as hashed path and word vectors, and labels each as
 content or not, so a block is judged with its page around it.
 
-Pages carry no labels. The fit reads at most about ``max_pages`` pages, labels their blocks by the
-elements that name their role (article, navigation, footer, ...), and adds variants of them with
-further kinds of furniture and other names for the article, so that the net must learn the words
-of the paths and their surroundings. All pages are then labelled by the net alone.
+Pages carry no labels. The fit reads at most ``max_pages`` distinct pages, those of least hash, and
+labels their blocks by the elements that name their role (article, navigation, footer, ...). Names
+alone would teach a word list, so most of what the net sees is made from these pages: variants with
+further furniture and other names for the article, and disguised ones, where roles have no names or
+misleading ones (plain and table layouts, articles whose classes hold words of furniture) and a
+block keeps the label that it had. There the net has to go by links, shape, place and neighbours. All
+pages are then labelled by the net alone.
 
 Defined results: null html gives an empty text; a page without content blocks gives an empty text;
-an unclosed script or comment runs to the page's end; repeated rows are extracted row by row; an
+an unclosed script or comment runs to the page's end; quotes count only as the start of an
+attribute's value; repeated rows are extracted row by row; an
 empty table gives an empty result and nothing is fitted.
 """
 
@@ -20,13 +24,14 @@ import html as entities
 import random
 import re
 import zlib
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import tidy
 from .words import WordHasher
 
 PATHS, WORDS, NUMBERS = 256, 32, 6
@@ -36,21 +41,23 @@ WIDTH = PATHS + WORDS + NUMBERS
 @dataclass(frozen=True)
 class Options:
     max_pages: int = 240
-    hidden: int = 16
-    epochs: int = 14
-    batch: int = 32
+    hidden: int = 24
+    epochs: int = 12
+    batch: int = 48
+    steps: int = 400  # a longer page is fitted in parts of so many blocks
     rate: float = 0.015
     seed: int = 7
 
 
 # ---- blocks -----------------------------------------------------------------------------------
 
+_ATTRS = r"""(?:=\s*"[^"]*"|=\s*'[^']*'|[^>])*+"""
 _TOKEN = re.compile(
-    r"<!--.*?(?:-->|\Z)|<(?P<raw>script|style|noscript|template|svg|iframe|textarea)\b(?:[^>\"']|\"[^\"]*\"|'[^']*')*>.*?(?:</(?P=raw)\s*>|\Z)"
-    r"|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>(?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>|(?P<text>[^<]+|<)",
+    rf"<!--.*?(?:-->|\Z)|<(?P<raw>script|style|noscript|template|svg|iframe|textarea)\b{_ATTRS}>.*?(?:</(?P=raw)\s*>|\Z)"
+    rf"|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>{_ATTRS})>|<[!?][^>]*>|(?P<text>[^<]+|<)",
     re.S | re.I,
 )
-_NAMED = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"']+))", re.I)
+_NAMED = re.compile(r"(?<![\w-])(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>\"'][^\s>]*))", re.I)
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 BLOCK = frozenset(
     "address article aside blockquote body button caption center dd details dialog dir div dl dt fieldset figcaption figure footer form"
@@ -330,15 +337,95 @@ def variant(page: str, rnd: random.Random) -> str:
     return f"{head}{add(3)}{wrap[0]}{add(1)}<{tag}{mark}>{body}</{tag}>{add(2)}{wrap[1]}{add(2)}{tail}"
 
 
+#: Marks that stand before a made text and fix its label. Private code points.
+KEEP, DROP = "\ue001", "\ue000"
+
+
+def labelled_blocks(page: str) -> tuple[list[Block], np.ndarray]:
+    """Blocks with their labels: that of a mark, else what the names say."""
+    out, y = [], []
+    for b in blocks(page):
+        y.append(KEEP in b.text or DROP not in b.text and taught(b))
+        text = b.text.replace(KEEP, "").replace(DROP, "").strip()
+        out.append(replace(b, text=text, linked=min(b.linked, len(text))) if text else b)
+    return out, np.asarray(y, np.float32)
+
+
+def _name(rnd: random.Random) -> str:
+    """A class word that says nothing."""
+    return rnd.choice(["c", "x", "box", "col", "wrap", "inner", "row", "left", "right", "block", "s", "z"]) + rnd.choice(["", "1", "2", "-3", str(rnd.randint(1, 999))])
+
+
+_SIGNS = ("© {} {}", "{} {} · {}", "Terms Privacy Contact {}", "{} | {} | {}", "Updated {} {}")
+
+
+def disguised(page: str, rnd: random.Random) -> str:
+    """The page's texts in a layout without names of roles, or with misleading ones; marks hold the
+    labels."""
+    items, y = labelled_blocks(page)
+    texts = [b.text for b in items] or ["text"]
+    short = lambda: entities.escape(" ".join(rnd.choice(texts).split()[: rnd.randint(1, 4)]))
+    runs: list[tuple[bool, list[Block]]] = []
+    for b, label in zip(items, y):
+        if b.path[-1:] == ("title",):
+            continue
+        if runs and runs[-1][0] == bool(label) and (label or runs[-1][1][-1].path[:-1] == b.path[:-1]):
+            runs[-1][1].append(b)
+        else:
+            runs.append((bool(label), [b]))
+    menu = lambda: (False, [Block((), short(), 99) for _ in range(rnd.randint(2, 9))])
+    signs = lambda: (False, [Block((), rnd.choice(_SIGNS).format(short(), short(), short()), 0) for _ in range(rnd.randint(1, 2))])
+    # a notice of plain sentences can't be told from an article without its name
+    runs = [r for r in runs if r[0] or all(b.linked * 2 > len(b.text) for b in r[1]) or len(r[1]) == 1 and len(r[1][0].text) < 60]
+    if not any(not k for k, _ in runs) or rnd.random() < 0.5:
+        runs.insert(0, menu())
+    if rnd.random() < 0.4:
+        runs.append(menu())
+    if rnd.random() < 0.7:
+        runs.append(signs())
+    misled = rnd.random() < 0.3
+
+    def attr() -> str:
+        c = _name(rnd)
+        return rnd.choice(["", f' class="{c}"', f" class={c}", f" id='{c}'", f' class="{c} {_name(rnd)}"'])
+
+    def shown(b: Block, keep: bool) -> str:
+        text = (KEEP if keep else DROP) + entities.escape(b.text)
+        if b.linked * 2 > len(b.text):
+            link = f'<a href="/{rnd.randint(1, 99)}">{text}</a>'
+            return rnd.choice([f"<li>{link}</li>", f"<div>{link}</div>", f"<p>{link}</p>", f"<td>{link}</td>"])
+        head = b.path[-1:] and b.path[-1].split(".")[0] in ("h1", "h2", "h3")
+        tag = rnd.choice([b.path[-1].split(".")[0], "h2", "div"]) if head else rnd.choice(["p", "p", "p", "div", "font", "blockquote"])
+        own = attr() if rnd.random() < 0.2 else ""
+        if misled and keep and rnd.random() < 0.5:
+            tag, own = "div", f' class="{rnd.choice(FURNITURE)}-{rnd.choice(["price", "report", "story", "of", "market", "law", "news", "art", _name(rnd)])}"'
+        return f"<{tag}{own}>{text}</{tag}>" if tag != "font" else f"<div><font size=2>{text}</font></div>"
+
+    parts = []
+    for keep, held in runs:
+        inner = "".join(shown(b, keep) for b in held)
+        deep = rnd.randint(1, 3)
+        parts.append((keep, "".join(f"<div{attr()}>" for _ in range(deep)) + inner + "</div>" * deep))
+    title = f"<head><title>{DROP}{short()}</title></head>" if rnd.random() < 0.8 else ""
+    kind = rnd.randrange(4)
+    if kind == 0:  # cells of a table, as in old pages
+        body = "<table><tr>" + "".join(f"<td{attr()}>{x}</td>" + rnd.choice(["", "</tr><tr>"]) for _, x in parts) + "</tr></table>"
+    elif kind == 1 and misled:
+        body = "".join(f"<article>{x}</article>" if k else x for k, x in parts)
+    else:
+        body = "".join(x for _, x in parts)
+    return f"<html>{title}<body{attr()}>{body}</body></html>"
+
+
 def fit(pages: list[str], opt: Options = Options()) -> Net | None:
-    """Adam on batches of pages and their variants."""
+    """Adam on batches of pages, their variants and their disguised forms."""
     rnd, vectors = random.Random(opt.seed), Vectors()
     data = []
     for page in pages:
-        for p in (page, variant(page, rnd), variant(page, rnd), variant(page, rnd)):
-            b = blocks(p)[:200]
-            if b:
-                data.append((vectors(b), np.asarray([taught(x) for x in b], np.float32)))
+        for p in (page, variant(page, rnd), variant(page, rnd), variant(page, rnd), disguised(page, rnd), disguised(page, rnd), disguised(variant(page, rnd), rnd)):
+            b, y = labelled_blocks(p)
+            for i in range(0, len(b), opt.steps):
+                data.append((vectors(b[i : i + opt.steps]), y[i : i + opt.steps]))
     if not data:
         return None
     net = Net(opt.hidden, opt.seed)
@@ -390,11 +477,13 @@ def main_text(items: list[Block], keep: np.ndarray) -> str:
 
 
 def train(pages: DataFrame, opt: Options = Options()) -> Net | None:
-    """Fit on a sample of pages, chosen by the hash of their html, of at most about ``max_pages``."""
-    n = pages.count()
-    part = min(1.0, opt.max_pages / max(1, n))
-    chosen = pages.where(F.pmod(F.xxhash64("html"), F.lit(1 << 20)) < int(part * (1 << 20)) + 1).where("html IS NOT NULL")
-    return fit(sorted(r.html for r in chosen.select("html").collect()), opt)
+    """Fit on the ``max_pages`` distinct pages whose html has the least hashes."""
+    held = pages.where("html IS NOT NULL").select("html", F.xxhash64("html").alias("h"))
+    least = [r.h for r in held.select("h").distinct().orderBy("h").limit(opt.max_pages).collect()]
+    if not least:
+        return None
+    chosen = held.where((F.col("h") <= least[-1]) & F.col("h").isin(least)).groupBy("h").agg(F.min("html").alias("html"))
+    return fit(sorted(r.html for r in chosen.collect()), opt)
 
 
 EXTRACTED = "page_id long, url string, text string, n_chars long"
@@ -412,6 +501,7 @@ def extract(pages: DataFrame, net: Net | None) -> DataFrame:
                 keep = labelled(held.value, cut, vectors) if held.value is not None else [np.zeros(len(c), bool) for c in cut]
                 texts = [main_text(c, k) for c, k in zip(cut, keep)]
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], ["page_id", "url", "text", "n_chars"])
+        tidy()
 
     slim = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     return slim.mapInArrow(run, EXTRACTED)
