@@ -97,6 +97,34 @@ def with_slot(df: DataFrame, key: str, bits: int = 24) -> DataFrame:
     return df.withColumn("_slot", F.pmod(F.xxhash64(key), F.lit(1 << bits)))
 
 
+def only_keys(df: DataFrame, keys: DataFrame, key: str = "row_key", inside: bool = True) -> DataFrame:
+    """Rows whose key is (isn't) in a bitmap of the keys; it may let a few others in."""
+    import pyarrow as pa
+
+    held = df.sparkSession.sparkContext.broadcast(key_bitmap(keys))  # of fixed size
+    plain = df.columns
+
+    def pick(batches):
+        bits = held.value
+        for b in batches:
+            slot = b.column("_slot").to_numpy()
+            hit = (bits[slot >> 6] >> (slot & 63).astype("uint64")) & 1 == 1
+            yield b.select(plain).filter(pa.array(hit == inside))
+
+    return with_slot(df, key).mapInArrow(pick, df.schema)
+
+
+def with_row_key(docs: DataFrame) -> tuple[DataFrame, str]:
+    """The documents, and the column that tells their rows apart: doc_id if it is a key, else a
+    new one of a name that no column has, written down once."""
+    if ids_are_keys(docs):
+        return docs, "doc_id"
+    key = "_row_key"
+    while key in docs.columns:
+        key += "_"
+    return written(docs.withColumn(key, F.monotonically_increasing_id()), "numbered"), key
+
+
 def tidy() -> None:
     """Give a worker's freed memory back to the system: workers live on after their tasks, and what
     they keep counts against their executor."""

@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import components, discard, ids_are_keys, key_bitmap, keyed, release, tidy, with_slot, written
+from .common import components, discard, keyed, only_keys, release, tidy, with_row_key, written
 from .words import WordHasher, blocks, windows
 
 
@@ -208,18 +208,9 @@ def linked(x: np.ndarray, y: np.ndarray, opt: Options) -> bool:
 
 def with_texts(pairs: DataFrame, docs: DataFrame, sets: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(a, b, ta, tb), and the table of texts behind it. Only texts that a pair names are shuffled."""
-    spark = docs.sparkSession
     nodes = pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()
     named = written(sets.where("n > 0").groupBy("node").agg(F.min("row_key").alias("row_key")).join(nodes, "node", "left_semi"), "named")
-    held = spark.sparkContext.broadcast(key_bitmap(named.select("row_key")))  # of fixed size
-
-    def pick(batches):
-        bits = held.value
-        for b in batches:
-            slot = b.column("_slot").to_numpy()
-            yield b.select(["row_key", "text"]).filter(pa.array((bits[slot >> 6] >> (slot & 63).astype(np.uint64)) & np.uint64(1) == 1))
-
-    texts = with_slot(docs.select("row_key", "text"), "row_key").mapInArrow(pick, "row_key long, text string")
+    texts = only_keys(docs.select("row_key", "text"), named.select("row_key"))
     texts = written(texts.join(named, "row_key").select("node", "text"), "texts")
     discard(named)
     one, two = (texts.select(F.col("node").alias(c), F.col("text").alias(f"t{c}")) for c in "ab")
@@ -388,11 +379,7 @@ def classes(docs: DataFrame, opt: Options = Options()) -> DataFrame:
 
 def keep_one(docs: DataFrame, opt: Options = Options()) -> DataFrame:
     """The documents, columns as they came, without all but the first of each class."""
-    if ids_are_keys(docs):
-        key, base = "doc_id", docs
-    else:
-        key = "_row_key"
-        base = written(docs.withColumn(key, F.monotonically_increasing_id()), "numbered")
+    base, key = with_row_key(docs)
     slim = base.select(F.col(key).cast("long").alias("row_key"), F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
     gone = written(classes(slim, opt).where("row_key <> keeper").select(F.col("row_key").alias(key)), "gone")
     release(docs.sparkSession)

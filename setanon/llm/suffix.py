@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import discard, key_bitmap, keyed, release, tidy, with_slot, written
+from .common import discard, keyed, only_keys, release, tidy, written
 from .suffix_order import repeated_windows, suffix_array
 from .words import WordHasher, mix
 
@@ -188,21 +188,6 @@ def named(found: DataFrame) -> DataFrame:
     return out
 
 
-def _only_keys(docs: DataFrame, keys: DataFrame, inside: bool = True) -> DataFrame:
-    """Rows whose key is (isn't) in a bitmap of the keys; it may let a few others in."""
-    held = docs.sparkSession.sparkContext.broadcast(key_bitmap(keys))  # of fixed size
-    plain = docs.columns
-
-    def pick(batches):
-        bits = held.value
-        for b in batches:
-            slot = b.column("_slot").to_numpy()
-            hit = (bits[slot >> 6] >> (slot & 63).astype(np.uint64)) & np.uint64(1) == 1
-            yield b.select(plain).filter(pa.array(hit == inside))
-
-    return with_slot(docs, "row_key").mapInArrow(pick, docs.schema)
-
-
 SPANS = "row_key long, a long, b long"
 
 
@@ -213,7 +198,7 @@ def _span_batch(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
 def sliced(docs: DataFrame, leads: DataFrame, opt: Options) -> DataFrame:
     """(gram, row_key, s, more, alone, many, data) for each leading context."""
     lists = leads.groupBy("row_key").agg(F.collect_list(F.struct("gram", "s", "more", (F.col("n2") == 1).alias("alone"), (F.col("names") > opt.bucket_contexts).alias("many"))).alias("c"))
-    both = _only_keys(docs.select("row_key", "text"), leads.select("row_key")).join(lists, "row_key")
+    both = only_keys(docs.select("row_key", "text"), leads.select("row_key")).join(lists, "row_key")
 
     def run(batches):
         for whole in batches:
@@ -344,8 +329,8 @@ def removed(docs: DataFrame, opt: Options = Options()) -> DataFrame:
     keys = found.select("row_key")
     slim = docs.select("row_key", "doc_id", "text")
     none = F.lit(None).cast("array<struct<a:long,b:long>>").alias("c")
-    hit = _only_keys(slim, keys).join(lists, "row_key", "left").select("doc_id", "text", "c")
-    free = _only_keys(slim, keys, inside=False).select("doc_id", "text", none)
+    hit = only_keys(slim, keys).join(lists, "row_key", "left").select("doc_id", "text", "c")
+    free = only_keys(slim, keys, inside=False).select("doc_id", "text", none)
     return hit.unionByName(free).mapInArrow(run, KEPT)
 
 

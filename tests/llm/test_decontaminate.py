@@ -91,3 +91,50 @@ def test_accepted_finds_any_stretch():
         if got:
             s, n, same = got
             assert n >= 12 and same == equal[s : s + n].sum() >= 0.75 * n
+
+
+def made(seed, n=80):
+    rnd = random.Random(seed)
+    vocab = [f"w{i}" for i in range(60)]
+    items = [" ".join(rnd.choices(vocab, k=rnd.randint(6, 40))) for _ in range(8)]
+    items += [items[0], "tiny", "", None]
+    docs = []
+    for d in range(n):
+        words = rnd.choices(vocab, k=rnd.randint(0, 60))
+        for _ in range(rnd.randint(0, 2)):
+            part = [w if rnd.random() < 0.85 else "changed" for w in (items[rnd.randrange(8)]).split()]
+            at = rnd.randint(0, len(words))
+            words[at:at] = part
+        docs.append((d, " ".join(words)))
+    return items, docs
+
+
+def test_join_equals_one_process(spark):
+    items, docs = made(6)
+    docs += [(3, docs[3][1]), (None, None), (None, docs[5][1])]
+    index, hasher = dc.SeedIndex(list(range(len(items))), [t or "" for t in items], dc.MASKS), WordHasher(punctuation_is_space=True)
+    want = sorted((str(docs[d][0]), i, *v) for d, i, *v in dc.leaks_of([(t or "").encode() for _, t in docs], hasher, index, dc.Options()))
+    df = spark.createDataFrame([(a, b, 1, 2, 3) for a, b in docs], "doc_id long, text string, h int, row_key int, salt int")
+    bench = spark.createDataFrame([(i, t, "z") for i, t in enumerate(items)], "item_id long, text string, words string")
+    assert want
+    for opt in (dc.Options(), dc.Options(hot_seed=2, filter_bits=16, block_items=3)):
+        assert sorted((str(r.doc_id), *tuple(r)[1:]) for r in dc.leaks(df, bench, opt).collect()) == want
+    kept = dc.clean(df, bench)
+    assert kept.columns == df.columns
+    assert kept.count() == len(docs) - len({d for d, *_ in dc.leaks_of([(t or "").encode() for _, t in docs], hasher, index, dc.Options())})
+
+
+def test_first_of_equal_stretches(spark):
+    item = " ".join(f"a{i}" for i in range(14))
+    df = spark.createDataFrame([(1, f"x {item} y {item} z"), (2, "pad " * 200_000 + item)], "doc_id long, text string")
+    got = sorted(map(tuple, dc.leaks(df, spark.createDataFrame([(9, item)], "item_id long, text string")).collect()))
+    assert got == [(1, 9, 1, 14, 14), (2, 9, 200_000, 14, 14)]
+
+
+def test_a_hot_seed_is_dealt_over_salts(spark):
+    mine = spark.createDataFrame([(7, k, 0) for k in range(1000)] + [(8, 0, 0)], "h long, row_key long, at int")
+    seeds = spark.createDataFrame([(7, 1, 0), (8, 1, 3)], "h long, item long, pos int")
+    dealt, spread = dc.salted(mine, seeds, dc.Options(hot_seed=100))
+    share = [r["count"] for r in dealt.where("h = 7").groupBy("salt").count().collect()]
+    assert len(share) == 10 and max(share) < 200
+    assert dealt.join(spread, ["h", "salt"]).count() == 1001
