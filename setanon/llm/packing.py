@@ -1,16 +1,19 @@
 """Lexical retrieval packing: windows filled with a seed text and its nearest unused texts.
 
 Texts are encoded once; document count, mean length and document frequencies are those of the
-whole corpus, one number for each token of the vocabulary. Documents are dealt to shards by a hash
-of id and text (a hot id or source is spread); the shard count follows the corpus size, so a shard
-fits a worker at every size. In a shard a BM25 inverted index over token ids answers one query for
-each window: all tokens of the seed rank the unused documents of the shard (documents of other
-shards are not searched), which fill the window in that order; the last one is cut and its rest
-seeds the next window. Windows are full; what is left at a shard's end is cut into windows
-of power-of-two length, which need no padding.
+whole corpus, one number for each token of the vocabulary. Documents are dealt to the shards of the
+index by content: the shards follow each other along the rarest tokens, so texts whose rarest shared
+token is the same lie in one shard, whatever the size of the corpus. A token whose texts need
+several shards deals them by their next rarest tokens. In a shard a BM25 inverted index over token
+ids answers one query for each window: all tokens of the seed rank the unused documents of the
+shard, which fill the window in that order; the last one is cut and its rest seeds the next window.
+Documents of other shards are not asked: a seed misses neighbours that share only more frequent
+tokens with it (the README gives the share found). Windows are full; what is left at a shard's end is
+cut into windows of power-of-two length, which need no padding.
 
 Defined results: null text is an empty text (the end id alone); rows that repeat an id are packed
-one by one; an empty table packs to nothing; a text longer than a window runs over several.
+one by one, in the order of their id and tokens; an empty table packs to nothing; a text longer
+than a window runs over several.
 """
 
 from __future__ import annotations
@@ -34,7 +37,7 @@ SEQUENCE_BITS = 28
 
 #: Keys of the document count and the token count beside the tokens' own, which are from 0.
 N_DOCS, N_TOKENS = -1, -2
-TOKENS = "shard long, doc_id long, ids binary"
+TOKENS = "doc_id long, ids binary"
 
 
 @dataclass(frozen=True)
@@ -116,19 +119,82 @@ def pack_shard(docs: list[np.ndarray], window: int = 2048, stats: CorpusStats |
     return out
 
 
-def encoded(dealt: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
-    """``dealt(shard, doc_id, text)`` with the token ids, closed by the end id, for the text."""
+def encoded(docs: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
+    """``docs(doc_id, text)`` with the token ids, closed by the end id, for the text."""
 
     def run(batches):
         encode = encoder(tokenizer, False).encode
         for batch in batches:
-            shard, doc_id, texts = batch.columns
             end = np.uint32(end_id).astype("<u4").tobytes()
-            ids = [bytes(d) + end for d in encode(texts.to_pylist())]
-            yield pa.RecordBatch.from_arrays([shard, doc_id, pa.array(ids, pa.binary())], names=["shard", "doc_id", "ids"])
+            ids = [bytes(d) + end for d in encode(batch.column(1).to_pylist())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["doc_id", "ids"])
         tidy()
 
-    return dealt.select("shard", "doc_id", "text").mapInArrow(run, TOKENS)
+    return docs.select("doc_id", "text").mapInArrow(run, TOKENS)
+
+
+#: Rarest tokens of a text that say where it goes.
+ROUTE = 4
+
+
+def by_rareness(df: np.ndarray) -> np.ndarray:
+    """For each token its place among those that several texts hold, rare ones first, ties by token;
+    the others are at the end, all at one place."""
+    several = int((df > 1).sum())
+    place = np.full(len(df), several, np.int64)
+    place[np.lexsort((np.arange(len(df)), np.where(df > 1, df, np.iinfo(np.int64).max)))[:several]] = np.arange(several)
+    return place
+
+
+def rarest(ids: np.ndarray, place: np.ndarray, several: int) -> list[int]:
+    """Places of the ``ROUTE`` rarest tokens of a text that other texts hold too."""
+    at, out = place[ids], []
+    while len(out) < ROUTE:
+        at = at[at > out[-1]] if out else at
+        least = int(at.min(initial=several))
+        if least >= several:
+            break
+        out.append(least)
+    return out
+
+
+def routed(tokens: DataFrame, df: np.ndarray) -> DataFrame:
+    """Adds to each text its route, the place of its rarest token (-1 if it has none), ``spread``, a
+    hash of the next ones, and its size in bytes."""
+    place = by_rareness(df)
+    held = tokens.sparkSession.sparkContext.broadcast((place, int((df > 1).sum())))  # a number for each token of the vocabulary
+
+    def run(batches):
+        place, several = held.value
+        for b in batches:
+            route, spread, size = [], [], []
+            for ids in b.column(1):
+                ids = np.frombuffer(ids.as_buffer(), "<u4")
+                way = rarest(ids, place, several)
+                route.append(way[0] if way else -1)
+                spread.append(zlib.crc32(np.asarray(way[1:], "<i8").tobytes() or ids.tobytes()))
+                size.append(4 * len(ids))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(route, pa.int64()), pa.array(spread, pa.int64()), pa.array(size, pa.int64())], ["doc_id", "ids", "route", "spread", "size"])
+
+    return tokens.mapInArrow(run, f"{TOKENS}, route long, spread long, size long")
+
+
+def shard_plan(sizes: list[tuple[int, int]], shard_bytes: int) -> dict[int, tuple[int, int]]:
+    """(first shard, shards) of each route, for (route, bytes) in order: small routes share a shard,
+    a large one has several of its own."""
+    plan, shard, held = {}, 0, 0
+    for route, size in sizes:
+        if size > shard_bytes:
+            shard += held > 0
+            many = math.ceil(size / shard_bytes)
+            plan[route] = (shard, many)
+            shard, held = shard + many, 0
+            continue
+        if held and held + size > shard_bytes:
+            shard, held = shard + 1, 0
+        plan[route] = (shard, 1)
+        held += size
+    return plan
 
 
 def corpus_stats(tokens: DataFrame) -> CorpusStats:
@@ -155,18 +221,26 @@ def corpus_stats(tokens: DataFrame) -> CorpusStats:
     return CorpusStats(n, total / max(1, n), df)
 
 
-def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048, shard_bytes: int = 3 << 20) -> DataFrame:
+def dealt(tokens: DataFrame, stats: CorpusStats, shard_bytes: int) -> DataFrame:
+    """(shard, doc_id, ids): the shards of about ``shard_bytes`` of ids that follow the routes."""
+    spark = tokens.sparkSession
+    away = routed(tokens, stats.df)
+    sizes = away.groupBy("route").agg(F.sum("size").alias("size")).orderBy("route").collect()  # as many at most
+    plan = shard_plan([tuple(r) for r in sizes], shard_bytes)
+    rows = [(route, first, many) for route, (first, many) in plan.items()]
+    ways = F.broadcast(spark.createDataFrame(rows, "route long, first long, shards long"))
+    return away.join(ways, "route").select((F.col("first") + F.pmod("spread", "shards")).alias("shard"), "doc_id", "ids")
+
+
+def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048, shard_bytes: int = 4 << 20) -> DataFrame:
     """One row per piece."""
-    slim = doc_text(docs)
-    total = slim.agg(F.sum(F.octet_length("text") + 4)).first()[0] or 0
-    shards = max(1, math.ceil(total / shard_bytes))
-    dealt = slim.withColumn("shard", F.pmod(F.xxhash64("doc_id", "text"), F.lit(shards)))
-    tokens = written(encoded(dealt, tokenizer, end_id), "tokens")
-    stats = docs.sparkSession.sparkContext.broadcast(corpus_stats(tokens))
+    tokens = written(encoded(doc_text(docs), tokenizer, end_id), "tokens")
+    counts = corpus_stats(tokens)
+    stats = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(key, table):
         shard = key[0].as_py()
-        table = table.sort_by([("doc_id", "ascending")])
+        table = table.sort_by([("doc_id", "ascending"), ("ids", "ascending")])
         ids = [np.frombuffer(d, "<u4") for d in table.column("ids").to_pylist()]
         cols = list(zip(*pack_shard(ids, window, stats.value))) or [()] * 5
         name = table.column("doc_id").to_pylist()
@@ -184,7 +258,7 @@ def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048
             }
         )
 
-    return tokens.groupBy("shard").applyInArrow(run, PIECES)
+    return dealt(tokens, counts, shard_bytes).groupBy("shard").applyInArrow(run, PIECES)
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

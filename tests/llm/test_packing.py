@@ -98,3 +98,31 @@ def test_all_terms_of_a_seed_are_asked():
     seed = np.arange(40, dtype=np.uint32)
     near = [np.asarray([t, 1000 + t], np.uint32) for t in range(40)]
     assert (packing.ShardIndex([seed, *near]).scores(0) > 0).all()
+
+
+def test_texts_go_where_their_rarest_token_goes(spark):
+    rnd = np.random.default_rng(5)
+    docs = [np.append(rnd.integers(100, 160, 40), [t + 200, 1]).astype("<u4") for t in range(10) for _ in range(6)]
+    docs += [docs[0], np.asarray([1], "<u4")]
+    tokens = spark.createDataFrame([(i, bytearray(d.tobytes())) for i, d in enumerate(docs)], "doc_id long, ids binary")
+    stats = packing.corpus_stats(tokens)
+    at = {r.doc_id: r.shard for r in packing.dealt(tokens, stats, 2000).collect()}
+    assert len(at) == len(docs) and len(set(at.values())) >= 5
+    assert all(len({at[6 * t + k] for k in range(6)}) == 1 for t in range(10)) and at[60] == at[0]
+    place = packing.by_rareness(stats.df)
+    several = int((stats.df > 1).sum())
+    for d in docs[:20]:
+        own = sorted({(int(stats.df[x]), x) for x in d.tolist() if stats.df[x] > 1})[: packing.ROUTE]
+        assert [int(np.flatnonzero(place == p)[0]) for p in packing.rarest(d, place, several)] == [x for _, x in own]
+
+
+def test_a_hot_route_has_shards_of_its_own():
+    assert packing.shard_plan([(1, 5), (2, 4), (3, 35), (4, 8), (5, 3)], 10) == {1: (0, 1), 2: (0, 1), 3: (1, 4), 4: (5, 1), 5: (6, 1)}
+    assert packing.shard_plan([], 10) == {}
+
+
+def test_ties_do_not_depend_on_the_order_of_rows(spark):
+    rows = [(7, "alpha beta gamma " * 30), (7, "delta epsilon " * 40), (7, "alpha delta " * 20), (None, "zeta"), (None, "eta theta")]
+    frame = lambda r: spark.createDataFrame(r, "doc_id long, text string")
+    got = [sorted(map(str, packing.pack(frame(r), tokenizer=PATH, window=64).collect())) for r in (rows, rows[::-1])]
+    assert got[0] == got[1]
