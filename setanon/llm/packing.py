@@ -61,14 +61,21 @@ class ShardIndex:
         key = np.sort((flat << 24) | owner)  # by token, then document
         first = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.zeros(0, np.int64)
         tf = np.diff(np.r_[first, len(key)])
-        token, self.doc = key[first] >> 24, (key[first] & 0xFFFFFF).astype(np.int32)
+        token, self.doc = key[first] >> 24, key[first] & 0xFFFFFF
         edge = np.flatnonzero(np.r_[True, token[1:] != token[:-1]]) if len(token) else np.zeros(0, np.int64)
         self.at = np.r_[edge, len(token)]
         df = np.diff(self.at)
         n, mean, held = (self.n, size.mean() if self.n else 1.0, df) if stats is None else (stats.n, stats.mean, stats.df[token[edge]])
         idf = np.log1p((n - held + 0.5) / (held + 0.5))
         norm = k1 * (1 - b + b * size / max(1.0, mean))
-        self.weight = (np.repeat(idf, df) * tf * (k1 + 1) / (tf + norm[self.doc])).astype(np.float32)
+        self.weight = (np.repeat(idf, df) * tf * (k1 + 1) / (tf + norm[self.doc])).astype(np.float32).astype(np.float64)  # as bincount wants them
+        # a row of all documents for each term that over a sixteenth of them hold: at most 16 cells for a posting
+        self.row = np.full(len(df), -1, np.int32)
+        wide = np.flatnonzero(df * 16 > self.n)
+        self.row[wide] = np.arange(len(wide), dtype=np.int32)
+        self.dense = np.zeros((len(wide), self.n), np.float32)
+        hot = np.repeat(self.row, df)
+        self.dense[hot[hot >= 0], self.doc[hot >= 0]] = self.weight[hot >= 0]
         # forward lists: the weightiest terms of each document, by term rank
         term = np.repeat(np.arange(len(df), dtype=np.int32), df)
         shared = np.repeat(df > 1, df)  # a term that no other document has retrieves nothing
@@ -81,8 +88,23 @@ class ShardIndex:
         terms = self.term[self.own[doc] : self.own[doc + 1]][: self.query_terms]
         if not len(terms):
             return np.zeros(self.n, np.float32)
-        spans = [slice(self.at[t], self.at[t + 1]) for t in terms]
-        return np.bincount(np.concatenate([self.doc[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.n)
+        row = self.row[terms]
+        total = self.dense[row[row >= 0]].sum(axis=0, dtype=np.float32)
+        spans = [slice(a, b) for a, b in zip(self.at[terms[row < 0]].tolist(), self.at[terms[row < 0] + 1].tolist())]
+        if spans:
+            total = total + np.bincount(np.concatenate([self.doc[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.n)
+        return total
+
+
+def ranked(score: np.ndarray, first: int = 16):
+    """Documents with a score, best first, ties by number; the first few before the rest is sorted."""
+    hits = np.flatnonzero(score > 0)
+    if len(hits) > 4 * first:
+        edge = np.partition(score[hits], len(hits) - first)[len(hits) - first]
+        top = hits[score[hits] >= edge]
+        yield from top[np.lexsort((top, -score[top]))].tolist()
+        hits = hits[score[hits] < edge]
+    yield from hits[np.lexsort((hits, -score[hits]))].tolist()
 
 
 def pack_shard(docs: list[np.ndarray], window: int = 2048, stats: CorpusStats | None = None) -> list[tuple[int, int, int, int, int]]:
@@ -100,8 +122,7 @@ def pack_shard(docs: list[np.ndarray], window: int = 2048, stats: CorpusStats |
                 if queue is None and seed is not None:
                     s = index.scores(seed)
                     s[used] = 0
-                    hits = np.flatnonzero(s > 0)
-                    queue = iter(hits[np.lexsort((hits, -s[hits]))]) if len(hits) else iter(())
+                    queue = ranked(s)
                 doc = next(queue, None) if queue is not None else None
                 if doc is None:  # no neighbour is left: the longest unused document
                     while used[order[nxt]]:
@@ -119,18 +140,74 @@ def pack_shard(docs: list[np.ndarray], window: int = 2048, stats: CorpusStats |
     return out
 
 
-def encoded(docs: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
-    """``docs(doc_id, text)`` with the token ids, closed by the end id, for the text."""
+class _Counts:
+    """Documents, tokens, and for each token the documents that hold it."""
+
+    def __init__(self):
+        self.df, self.n, self.total = np.zeros(0, np.int64), 0, 0
+
+    def add(self, ids: np.ndarray) -> None:
+        here = np.unique(ids)
+        if len(here) and here[-1] >= len(self.df):
+            self.df = np.append(self.df, np.zeros(int(here[-1]) + 1 - len(self.df), np.int64))
+        self.df[here] += 1
+        self.n, self.total = self.n + 1, self.total + len(ids)
+
+    def rows(self) -> tuple[np.ndarray, np.ndarray]:
+        seen = np.flatnonzero(self.df)
+        return np.r_[N_DOCS, N_TOKENS, seen], np.r_[self.n, self.total, self.df[seen]]
+
+
+def id_type(tokenizer: str, end_id: int) -> str:
+    """The narrowest type that holds the ids."""
+    from tokenizers import Tokenizer
+
+    most = max(Tokenizer.from_file(tokenizer).get_vocab(True).values(), default=0)
+    return "<u2" if max(most, end_id) < 1 << 16 else "<u4"
+
+
+def encoded(docs: DataFrame, tokenizer: str, end_id: int, kind: str = "<u4") -> DataFrame:
+    """``docs(doc_id, text)`` with the token ids, closed by the end id, for the text. Each partition
+    ends with a row of its counts, where ``token`` and ``count`` are not null."""
 
     def run(batches):
-        encode = encoder(tokenizer, False).encode
+        encode, counts = encoder(tokenizer, False).encode, _Counts()
+        none = pa.array([None], pa.list_(pa.int64()))
+        names = ["doc_id", "ids", "token", "count"]
         for batch in batches:
-            end = np.uint32(end_id).astype("<u4").tobytes()
-            ids = [bytes(d) + end for d in encode(batch.column(1).to_pylist())]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], names=["doc_id", "ids"])
+            ids = [np.append(np.frombuffer(d, "<u4"), end_id).astype(kind) for d in encode(batch.column(1).to_pylist())]
+            for x in ids:
+                counts.add(x)
+            gap = pa.nulls(len(ids), pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.tobytes() for x in ids], pa.binary()), gap, gap], names)
+        if counts.n:
+            yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([None], pa.binary()), *(pa.array([x.tolist()], none.type) for x in counts.rows())], names)
         tidy()
 
-    return docs.select("doc_id", "text").mapInArrow(run, TOKENS)
+    return docs.select("doc_id", "text").mapInArrow(run, f"{TOKENS}, token array<long>, count array<long>")
+
+
+def corpus_stats(tokens: DataFrame, kind: str = "<u4") -> CorpusStats:
+    """Counts of ``tokens(ids)``, or those that ``encoded`` left with them, added up in two steps; the
+    driver gets one row for each token."""
+
+    def run(batches):
+        counts = _Counts()
+        for batch in batches:
+            for ids in batch.column(0):
+                counts.add(np.frombuffer(ids.as_buffer(), kind))
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in counts.rows()], names=["token", "n"])
+
+    if "count" in tokens.columns:
+        each = tokens.where("count IS NOT NULL").select(F.explode(F.arrays_zip("token", "count")).alias("x")).select("x.token", F.col("x.count").alias("n"))
+    else:
+        each = tokens.select("ids").mapInArrow(run, "token long, n long")
+    rows = each.groupBy("token").agg(F.sum("n").alias("n")).toArrow()
+    token, count = (rows.column(c).to_numpy() for c in ("token", "n"))
+    df = np.zeros(int(token.max(initial=0)) + 1, np.int64)
+    df[token[token >= 0]] = count[token >= 0]
+    n, total = (int(count[token == k].sum()) for k in (N_DOCS, N_TOKENS))
+    return CorpusStats(n, total / max(1, n), df)
 
 
 #: Rarest tokens of a text that say where it goes.
@@ -158,7 +235,7 @@ def rarest(ids: np.ndarray, place: np.ndarray, several: int) -> list[int]:
     return out
 
 
-def routed(tokens: DataFrame, df: np.ndarray) -> DataFrame:
+def routed(tokens: DataFrame, df: np.ndarray, kind: str) -> DataFrame:
     """Adds to each text its route, the place of its rarest token (-1 if it has none), ``spread``, a
     hash of the next ones, and its size in bytes."""
     place = by_rareness(df)
@@ -169,14 +246,14 @@ def routed(tokens: DataFrame, df: np.ndarray) -> DataFrame:
         for b in batches:
             route, spread, size = [], [], []
             for ids in b.column(1):
-                ids = np.frombuffer(ids.as_buffer(), "<u4")
+                ids = np.frombuffer(ids.as_buffer(), kind)
                 way = rarest(ids, place, several)
                 route.append(way[0] if way else -1)
                 spread.append(zlib.crc32(np.asarray(way[1:], "<i8").tobytes() or ids.tobytes()))
                 size.append(4 * len(ids))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(route, pa.int64()), pa.array(spread, pa.int64()), pa.array(size, pa.int64())], ["doc_id", "ids", "route", "spread", "size"])
 
-    return tokens.mapInArrow(run, f"{TOKENS}, route long, spread long, size long")
+    return tokens.select("doc_id", "ids").mapInArrow(run, f"{TOKENS}, route long, spread long, size long")
 
 
 def shard_plan(sizes: list[tuple[int, int]], shard_bytes: int) -> dict[int, tuple[int, int]]:
@@ -197,34 +274,10 @@ def shard_plan(sizes: list[tuple[int, int]], shard_bytes: int) -> dict[int, tupl
     return plan
 
 
-def corpus_stats(tokens: DataFrame) -> CorpusStats:
-    """Counts over ``tokens(ids)``, added up in two steps; the driver gets one row for each token."""
-
-    def run(batches):
-        df, n, total = np.zeros(0, np.int64), 0, 0
-        for batch in batches:
-            for ids in batch.column(0):
-                ids = np.frombuffer(ids.as_buffer(), "<u4")
-                here = np.unique(ids)
-                if len(here) and here[-1] >= len(df):
-                    df = np.append(df, np.zeros(int(here[-1]) + 1 - len(df), np.int64))
-                df[here] += 1
-                n, total = n + 1, total + len(ids)
-        seen = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array(np.r_[N_DOCS, N_TOKENS, seen]), pa.array(np.r_[n, total, df[seen]])], names=["token", "n"])
-
-    rows = tokens.select("ids").mapInArrow(run, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).toArrow()
-    token, count = (rows.column(c).to_numpy() for c in ("token", "n"))
-    df = np.zeros(int(token.max(initial=0)) + 1, np.int64)
-    df[token[token >= 0]] = count[token >= 0]
-    n, total = (int(count[token == k].sum()) for k in (N_DOCS, N_TOKENS))
-    return CorpusStats(n, total / max(1, n), df)
-
-
-def dealt(tokens: DataFrame, stats: CorpusStats, shard_bytes: int) -> DataFrame:
-    """(shard, doc_id, ids): the shards of about ``shard_bytes`` of ids that follow the routes."""
+def dealt(tokens: DataFrame, stats: CorpusStats, shard_bytes: int, kind: str = "<u4") -> DataFrame:
+    """(shard, doc_id, ids): the shards of about ``shard_bytes`` of 32-bit ids that follow the routes."""
     spark = tokens.sparkSession
-    away = routed(tokens, stats.df)
+    away = routed(tokens, stats.df, kind)
     sizes = away.groupBy("route").agg(F.sum("size").alias("size")).orderBy("route").collect()  # as many at most
     plan = shard_plan([tuple(r) for r in sizes], shard_bytes)
     rows = [(route, first, many) for route, (first, many) in plan.items()]
@@ -232,16 +285,18 @@ def dealt(tokens: DataFrame, stats: CorpusStats, shard_bytes: int) -> DataFrame:
     return away.join(ways, "route").select((F.col("first") + F.pmod("spread", "shards")).alias("shard"), "doc_id", "ids")
 
 
-def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048, shard_bytes: int = 4 << 20) -> DataFrame:
+def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048, shard_bytes: int = 3 << 20) -> DataFrame:
     """One row per piece."""
-    tokens = written(encoded(doc_text(docs), tokenizer, end_id), "tokens")
+    kind = id_type(tokenizer, end_id)
+    tokens = written(encoded(doc_text(docs), tokenizer, end_id, kind), "tokens")
     counts = corpus_stats(tokens)
+    tokens = tokens.where("count IS NULL")
     stats = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(key, table):
         shard = key[0].as_py()
         table = table.sort_by([("doc_id", "ascending"), ("ids", "ascending")])
-        ids = [np.frombuffer(d, "<u4") for d in table.column("ids").to_pylist()]
+        ids = [np.frombuffer(d, kind).astype("<u4") for d in table.column("ids").to_pylist()]
         cols = list(zip(*pack_shard(ids, window, stats.value))) or [()] * 5
         name = table.column("doc_id").to_pylist()
         crc = [zlib.crc32(ids[d][s : s + k].tobytes()) for d, s, k in zip(*cols[:3])]
@@ -258,7 +313,7 @@ def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048
             }
         )
 
-    return dealt(tokens, counts, shard_bytes).groupBy("shard").applyInArrow(run, PIECES)
+    return dealt(tokens, counts, shard_bytes, kind).groupBy("shard").applyInArrow(run, PIECES)
 
 
 def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
