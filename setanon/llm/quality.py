@@ -5,8 +5,7 @@ between the grades. P(grade <= j) is the logistic of threshold j minus the score
 the expected grade and every tail probability.
 
 Grades of the given labels: 0 toxic, 1 neither toxic nor good, 2 good. The fit reads a sample of
-labelled rows bounded by ``max_rows`` (each label's chance follows from the label count and the
-hash of its id); every other row is only scored. Weights are sparse over a fixed number of
+at most ``max_rows`` labelled documents (those whose ids have the least hashes); every other row is only scored. Weights are sparse over a fixed number of
 buckets, so what is broadcast does not grow with the corpus.
 
 Defined results: a null or blank text is scored by its (empty) features; labels with a null
@@ -153,11 +152,12 @@ def graded(labels: DataFrame) -> DataFrame:
 
 
 def sample(docs: DataFrame, ratings: DataFrame, opt: Options = Options()) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Features and grades of at most about ``max_rows`` labelled texts, on the driver."""
-    n = ratings.count()
-    part = min(1.0, opt.max_rows / max(1, n))
-    chosen = F.broadcast(ratings.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int(part * (1 << 20))))  # bounded above
+    """Features and grades of at most ``max_rows`` labelled texts, on the driver."""
+    # the labels of least hash are the sample; of rows with one id, the text of least hash is used
+    place = F.xxhash64("doc_id")
+    chosen = F.broadcast(ratings.orderBy(place, "doc_id").limit(opt.max_rows))  # bounded
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text")).join(chosen, "doc_id")
+    texts = texts.groupBy("doc_id", "grade").agg(F.min_by("text", F.struct(F.xxhash64("text"), "text")).alias("text"))
 
     def run(batches):
         hasher = WordHasher(punctuation_is_space=True)
@@ -182,11 +182,11 @@ def train(docs: DataFrame, labels: DataFrame, opt: Options = Options()) -> Model
     return fit(ids, at, grade, opt) if len(grade) else None
 
 
-def scored(docs: DataFrame, model: Model | None, opt: Options = Options()) -> DataFrame:
-    """Input columns plus ``_rated``: struct(expected_grade, p_good, p_not_toxic, kept)."""
+def scored(docs: DataFrame, model: Model | None, opt: Options = Options(), into: str = "_rated") -> DataFrame:
+    """Input columns plus ``into``: struct(expected_grade, p_not_toxic, p_good, kept)."""
     kind = "expected_grade double, p_not_toxic double, p_good double, kept boolean"
     if model is None:
-        return docs.withColumn("_rated", F.struct(*(F.lit(None).cast("double").alias(c) for c in ("expected_grade", "p_not_toxic", "p_good")), F.lit(True).alias("kept")))
+        return docs.withColumn(into, F.struct(*(F.lit(None).cast("double").alias(c) for c in ("expected_grade", "p_not_toxic", "p_good")), F.lit(True).alias("kept")))
     held = docs.sparkSession.sparkContext.broadcast(model)  # at most min_docs-th of the sample's features
 
     def rate(series: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
@@ -199,12 +199,15 @@ def scored(docs: DataFrame, model: Model | None, opt: Options = Options()) -> Da
         tidy()
 
     rate.__annotations__ = {"series": Iterator[pd.Series], "return": Iterator[pd.DataFrame]}
-    return docs.withColumn("_rated", F.pandas_udf(rate, kind)(F.coalesce(F.col("text"), F.lit(""))))
+    return docs.withColumn(into, F.pandas_udf(rate, kind)(F.coalesce(F.col("text"), F.lit(""))))
 
 
 def select_good(docs: DataFrame, labels: DataFrame, opt: Options = Options()) -> DataFrame:
     """The documents, columns as they came, that the model keeps."""
-    return scored(docs, train(docs, labels, opt), opt).where("_rated.kept").select(*docs.columns)
+    into = "_rated"
+    while into in docs.columns:
+        into += "_"
+    return scored(docs, train(docs, labels, opt), opt, into).where(F.col(into)["kept"]).select(*docs.columns)
 
 
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

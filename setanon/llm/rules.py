@@ -139,8 +139,8 @@ def estimate(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 50, stre
                     den_b[j] += (1 - q) * count
                     num_g[j] += q * count * (v > 0)
                     num_b[j] += (1 - q) * count * (v < 0)
-        p = min(0.99, max(0.5, (g + 8) / (n + 10)))
-        good = [min(0.995, max(0.55, a / b)) for a, b in zip(num_g, den_g)]
+        p = min(0.99, max(0.01, (g + 8) / (n + 10)))
+        good = [min(0.995, max(0.05, a / b)) for a, b in zip(num_g, den_g)]
         bad = [min(0.995, max(0.05, a / b)) for a, b in zip(num_b, den_b)]
     return Accuracies(
         math.log(p / (1 - p)),

@@ -61,3 +61,12 @@ def test_edges(spark):
 
 def test_fit_sample_is_not_cut_for_memory():
     assert q.Options().max_rows == 12_000
+
+
+def test_sample_is_bounded_and_ids_count_once(spark):
+    docs = spark.createDataFrame([(i % 50, f"text {i}", 1) for i in range(400)], "doc_id long, text string, grade int")
+    labels = spark.createDataFrame([(i, i % 2, 0) for i in range(50)], "doc_id long, quality int, toxic int")
+    assert [len(q.sample(docs, q.graded(labels), q.Options(max_rows=m))[2]) for m in (20, 500)] == [20, 50]
+    clash = docs.withColumn("_rated", F.lit("mine"))
+    out = q.select_good(clash, labels)
+    assert out.columns == clash.columns and {r["_rated"] for r in out.collect()} <= {"mine"}

@@ -64,3 +64,18 @@ def test_plan_has_no_python(spark):
     df = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     plan = rules.measured(df)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
+
+
+def test_em_learns_a_mostly_bad_corpus():
+    import random
+
+    rnd, counts = random.Random(4), {}
+    for _ in range(20000):
+        good = rnd.random() < 0.25
+        v = tuple((1 if good == (rnd.random() < 0.92) else -1) if rnd.random() < 0.9 else 0 for _ in range(7))
+        counts[v] = counts.get(v, 0) + 1
+    acc = rules.estimate(sorted(counts.items()))
+    import math
+
+    assert abs(1 / (1 + math.exp(-acc.prior)) - 0.25) < 0.03
+    assert all(abs(a - 0.92) < 0.03 for a in acc.right_on_good + acc.right_on_bad)
