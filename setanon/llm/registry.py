@@ -58,16 +58,16 @@ _ASSIGN = "(?:" + "|".join(map(any_case, ("password", "passwd", "secret", "token
 
 SQL = {
     "op3_suffix": """
-WITH b AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h FROM documents),
- w AS (SELECT doc_id, i, md5(substr(h, CAST(2 * i + 1 AS BIGINT), 400)) AS s FROM (SELECT doc_id, h, unnest(range(0, greatest(length(h) // 2 - 199, 0))) AS i FROM b)),
+WITH b AS (SELECT doc_id, encode(coalesce(text, '')) AS h FROM documents),
+ w AS (SELECT doc_id, i, md5(h[i + 1:i + 200]) AS s FROM (SELECT doc_id, h, unnest(range(0, greatest(octet_length(h) - 199, 0))) AS i FROM b)),
  often AS (SELECT s FROM w GROUP BY s HAVING count(*) > 1),
  r AS (SELECT doc_id, i, CASE WHEN i > lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 200 THEN 1 ELSE 0 END AS gap FROM w JOIN often USING (s)),
  g AS (SELECT doc_id, i, sum(gap) OVER (PARTITION BY doc_id ORDER BY i) AS run FROM r),
  runs AS (SELECT doc_id, min(i) AS a, max(i) + 200 AS z FROM g GROUP BY doc_id, run),
  cuts AS (SELECT doc_id, a, z, lag(z, 1, 0) OVER (PARTITION BY doc_id ORDER BY a) AS f FROM runs),
- kept AS (SELECT c.doc_id, string_agg(substr(h, CAST(2 * f + 1 AS BIGINT), CAST(2 * (a - f) AS BIGINT)), '' ORDER BY a) AS k, max(z) AS last, sum(z - a) AS n_removed, count(*) AS n_spans FROM cuts c JOIN b ON b.doc_id = c.doc_id GROUP BY c.doc_id)
-SELECT b.doc_id, length(h) // 2 AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans,
- sha256(unhex(coalesce(k, '') || substr(h, CAST(2 * coalesce(last, 0) + 1 AS BIGINT)))) AS kept_sha256 FROM b LEFT JOIN kept ON kept.doc_id = b.doc_id""",
+ kept AS (SELECT c.doc_id, string_agg(hex(h[f + 1:a]), '' ORDER BY a) AS k, max(z) AS last, sum(z - a) AS n_removed, count(*) AS n_spans FROM cuts c JOIN b ON b.doc_id = c.doc_id GROUP BY c.doc_id)
+SELECT b.doc_id, octet_length(h) AS n_bytes, CAST(coalesce(n_removed, 0) AS BIGINT) AS n_removed, coalesce(n_spans, 0) AS n_spans,
+ sha256(unhex(coalesce(k, '') || hex(h[coalesce(last, 0) + 1:octet_length(h)]))) AS kept_sha256 FROM b LEFT JOIN kept ON kept.doc_id = b.doc_id""",
     "op5_jaccard": f"""
 WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all({_LOWER}, '{_WORD}') AS w FROM documents),
  s AS (SELECT DISTINCT doc_id, array_to_string(w[i:i + 4], ' ') AS x FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM d WHERE len(w) > 0)),
