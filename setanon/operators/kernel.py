@@ -3,6 +3,7 @@ user), folded to a 0/1 matrix over the bucket's own items. Every tie breaks by r
 
 from __future__ import annotations
 
+import heapq
 import itertools
 from dataclasses import dataclass, field
 
@@ -112,34 +113,47 @@ def candidate_groups(m: np.ndarray, k: int, kind: str) -> list[tuple[int, ...]]:
 
 
 def cover(m: np.ndarray, k: int, groups: list[tuple[int, ...]]) -> list[tuple[int, ...]]:
-    """Greedy set cover with overlap: least stars for each newly covered unit."""
+    """Greedy set cover with overlap: least stars for each newly covered unit. A group's price only
+    rises as units are covered, so it is priced anew only when it comes first."""
     cost = [stars(m[list(g)]) for g in groups]
+    heap = [(c / len(g), -len(g), g, c) for c, g in zip(cost, groups)]
+    heapq.heapify(heap)
     left, out = set(range(len(m))), []
     while left:
-        i = min((i for i in range(len(groups)) if left & set(groups[i])), key=lambda i: (cost[i] / len(left & set(groups[i])), -len(groups[i]), groups[i]))
-        out.append(groups[i])
-        left -= set(groups[i])
+        price, size, g, c = heapq.heappop(heap)
+        new = len(left.intersection(g))
+        if not new:
+            continue
+        if c / new > price:
+            heapq.heappush(heap, (c / new, size, g, c))
+            continue
+        out.append(g)
+        left -= set(g)
     return out
 
 
 def cover_to_partition(groups: list[tuple[int, ...]], k: int, m: np.ndarray | None = None) -> list[list[int]]:
     """Disjoint groups from overlapping ones: a shared unit leaves a group that has more than k,
     else the two merge; groups of 2k or more are split."""
-    parts = [set(g) for g in groups]
-    while True:
-        clash = next(((i, j) for i in range(len(parts)) for j in range(i) if parts[i] & parts[j]), None)
-        if clash is None:
-            break
-        i, j = clash
-        u = min(parts[i] & parts[j])
-        if len(parts[i]) > k:
-            parts[i].discard(u)
-        elif len(parts[j]) > k:
-            parts[j].discard(u)
-        else:
+    parts = {i: set(g) for i, g in enumerate(groups)}
+    held: dict[int, set[int]] = {}
+    for i, g in parts.items():
+        for u in g:
+            held.setdefault(u, set()).add(i)
+    for u in sorted(held):
+        while len(held[u]) > 1:
+            j, i = sorted(held[u])[:2]
+            if len(parts[i]) > k or len(parts[j]) > k:
+                shut = i if len(parts[i]) > k else j
+                parts[shut].discard(u)
+                held[u].discard(shut)
+                continue
+            for v in parts[i]:
+                held[v].discard(i)
+                held[v].add(j)
             parts[j] |= parts.pop(i)
     out = []
-    for p in (sorted(p) for p in parts):
+    for p in (sorted(p) for p in parts.values()):
         while len(p) >= 2 * k:
             if m is not None:  # a unit and its nearest k-1 stay together
                 d = distances(m[p])
@@ -306,41 +320,65 @@ def opening_price(d: np.ndarray, k: int, alpha: float) -> np.ndarray:
 
 def facility_greedy(d: np.ndarray, price: np.ndarray) -> np.ndarray:
     """Each point's facility: the facility with its nearest free points of least mean cost opens
-    first; one that is open costs nothing more."""
+    first; one that is open costs nothing more. A facility's mean only rises while points are taken,
+    so it is computed anew only when it comes first."""
     n, price = len(d), price.astype(float).copy()
     order, serve, free = np.argsort(d, axis=1, kind="stable"), np.full(n, -1), np.ones(n, bool)
+
+    def best(j: int) -> tuple[float, int]:
+        mine = order[j][free[order[j]]]
+        mean = (price[j] + np.cumsum(d[j, mine])) / np.arange(1, len(mine) + 1)
+        i = int(mean.argmin())
+        return float(mean[i]), i + 1
+
+    heap = [(best(j)[0], j) for j in range(n)]
+    heapq.heapify(heap)
     while free.any():
-        best = (np.inf, 0, 0)
-        for j in range(n):
-            mine = order[j][free[order[j]]]
-            mean = (price[j] + np.cumsum(d[j, mine])) / np.arange(1, len(mine) + 1)
-            i = int(mean.argmin())
-            if mean[i] < best[0] - 1e-12:
-                best = (float(mean[i]), j, i + 1)
-        _, j, size = best
+        _, j = heapq.heappop(heap)
+        now, size = best(j)
+        if heap and (now, j) > heap[0]:
+            heapq.heappush(heap, (now, j))
+            continue
         mine = order[j][free[order[j]]][:size]
         serve[mine], free[mine], price[j] = j, False, 0
+        if free.any():
+            heapq.heappush(heap, (best(j)[0], j))
     opened = np.unique(serve)  # a point goes to the nearest open facility
     return opened[d[:, opened].argmin(axis=1)]
 
 
-def facility_local_search(d: np.ndarray, price: np.ndarray, rounds: int = 100) -> np.ndarray:
-    """Facilities by adding, dropping and swapping while the total falls."""
-    n = len(d)
-    total = lambda o: price[o].sum() + d[:, o].min(axis=1).sum()
+def facility_local_search(d: np.ndarray, price: np.ndarray) -> np.ndarray:
+    """Facilities by adding, dropping and swapping while the total falls. All moves of a step are
+    priced together from each point's nearest and second nearest open facility."""
+    n, at = len(d), np.arange(len(d))
+    d = d.astype(float)
     opened = [int((price + d.sum(axis=0)).argmin())]
-    best = total(opened)
-    for _ in range(rounds):
-        moves = [opened + [j] for j in range(n) if j not in opened]
-        moves += [[o for o in opened if o != x] for x in opened if len(opened) > 1]
-        moves += [[o for o in opened if o != x] + [j] for x in opened for j in range(n) if j not in opened]
-        costs = [total(o) for o in moves]
-        i = int(np.argmin(costs)) if costs else 0
-        if not costs or costs[i] >= best - 1e-9:
+    while True:
+        o = np.asarray(opened)
+        near = np.argsort(d[:, o], axis=1, kind="stable")
+        own, first = near[:, 0], d[at, o[near[:, 0]]]
+        second = d[at, o[near[:, 1]]] if len(o) > 1 else np.full(n, np.inf)
+        shut = np.isin(at, o)
+        add = np.where(shut, np.inf, price + np.minimum(d - first[:, None], 0).sum(axis=0))
+        moves = [(float(add.min()), [*opened, int(add.argmin())])] if not shut.all() else []
+        if len(o) > 1:
+            drop = np.bincount(own, second - first, len(o)) - price[o]
+            x = int(drop.argmin())
+            moves.append((float(drop[x]), opened[:x] + opened[x + 1 :]))
+        if not shut.all():
+            # a point that loses its facility goes to its second nearest, or to the new one
+            more = np.minimum(d, second[:, None]) - np.minimum(d, first[:, None])
+            extra = np.zeros((len(o), n))
+            np.add.at(extra, own, more)
+            swap = extra + add[None, :] - price[o][:, None]
+            x, j = divmod(int(swap.argmin()), n)
+            moves.append((float(swap[x, j]), [*opened[:x], *opened[x + 1 :], j]))
+        gain, best = min(moves, key=lambda v: v[0], default=(0.0, opened))
+        if gain >= -1e-9:
             break
-        opened, best = moves[i], costs[i]
-    opened = np.asarray(sorted(opened))
-    return opened[d[:, opened].argmin(axis=1)]
+        opened = best
+    o = np.asarray(sorted(opened))
+    return o[d[:, o].argmin(axis=1)]
 
 
 def merge_underloaded(d: np.ndarray, serve: np.ndarray, bound: float) -> np.ndarray:
@@ -459,7 +497,7 @@ def grouped(bucket: Bucket, opt: SolveOptions) -> list[list[int]]:
             else:
                 kind = opt.candidates
                 if kind == "exhaustive" and len(rest) > opt.max_n:
-                    kind = "ball"
+                    raise ValueError(f"{len(rest)} units: exhaustive candidates stop at {opt.max_n}; use ball or itemset, or smaller buckets")
                 cands = itemset_groups(m, k) if kind == "itemset" else candidate_groups(m, k, kind)
                 if opt.overlap:
                     cands += [g for g in candidate_groups(m, k, "ball") if kind == "itemset"]

@@ -31,13 +31,10 @@ def bucket_sizes(bucketed: DataFrame, unit: str = "record") -> DataFrame:
 
 
 def split_small(bucketed: DataFrame, k: int, unit: str = "record") -> tuple[DataFrame, DataFrame]:
-    """(records of buckets that hold k units, the others). Counting by user aggregates first,
-    since windows do not count distinct values."""
-    if unit == "record":
-        n = bucketed.withColumn("_n", F.count(F.lit(1)).over(W.partitionBy("bucket_id")))
-    else:
-        seen = F.size(F.collect_set("user_id").over(W.partitionBy("bucket_id"))) if unit == "user-window" else None
-        n = bucketed.withColumn("_n", seen) if seen is not None else bucketed.join(bucket_sizes(bucketed, "user").withColumnRenamed("n", "_n"), "bucket_id")
+    """(records of buckets that hold k units, the others). Counts are aggregated before the exchange
+    and joined back, so a hot bucket can be split."""
+    n = bucketed.join(bucket_sizes(bucketed, unit).withColumnRenamed("n", "_n"), "bucket_id")
+    n = n.select(*bucketed.columns, "_n")
     return n.where(F.col("_n") >= k).drop("_n"), n.where(F.col("_n") < k).drop("_n")
 
 
@@ -49,7 +46,7 @@ def refine(bucketed: DataFrame, max_bucket: int, p: int, fn: str = "xxhash64", k
     chunks of at least k users; a run then exceeds ``max_bucket`` by less than its last chunk."""
     w = W.partitionBy("bucket_id")
     more = minhash(F.col("items"), p + 7, fn).cast("string")
-    n = bucketed.withColumn("_n", F.count(F.lit(1)).over(w))
+    n = bucketed.join(bucket_sizes(bucketed).withColumnRenamed("n", "_n"), "bucket_id").select(*bucketed.columns, "_n")
     big = n.where(F.col("_n") > max_bucket).withColumn("_r", F.row_number().over(w.orderBy(more, F.concat_ws("|", "items"), "record_id")))
     if unit == "record":
         part = F.least(F.floor((F.col("_r") - 1) / max_bucket), F.floor(F.col("_n") / max_bucket) - 1)
@@ -111,7 +108,8 @@ def precluster_mllib(recs: DataFrame, threshold: float, tables: int = 4, feature
     tf = HashingTF(inputCol="items", outputCol="v", numFeatures=features, binary=True)
     v = tf.transform(recs.where(F.size("items") > 0)).select("record_id", "v")
     model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=tables, seed=1).fit(v)
-    near = model.approxSimilarityJoin(v, v, 1 - threshold, "distance").select(F.col("datasetA.record_id").alias("a"), F.col("datasetB.record_id").alias("b")).where("a < b")
+    # the join keeps distances strictly below its own threshold
+    near = model.approxSimilarityJoin(v, v, 1 - threshold + 1e-6, "distance").where(F.col("distance") <= 1 - threshold + 1e-9).select(F.col("datasetA.record_id").alias("a"), F.col("datasetB.record_id").alias("b")).where("a < b")
     comp = components(near)
     return recs.join(comp.select(F.col("id").alias("record_id"), "component_id"), "record_id", "left").select("record_id", "user_id", "items", F.coalesce("component_id", "record_id").alias("bucket_id"))
 
