@@ -27,6 +27,11 @@ def item_of(col, ns: str) -> Column:
     return F.concat(F.lit(f"{ns}:"), F.col(col).cast("string") if isinstance(col, str) else col.cast("string"))
 
 
+def is_word(item) -> Column:
+    """A keyword; attribute items hold a colon after their namespace, which no word does."""
+    return ~F.contains(item, F.lit(":"))
+
+
 def words(text, pattern: str = r"[^\p{L}\p{N}]+") -> Column:
     """Lower-cased words, empty ones removed."""
     return F.filter(F.split(F.lower(text), pattern), lambda w: w != "")

@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.hashing import secret_id
+from .majority import group_counts
 from .records import to_edges
 
 
@@ -44,6 +45,14 @@ def drop_rare(recs: DataFrame, k: int) -> DataFrame:
     return _cost(m.agg(F.lit(0).alias("add"), F.coalesce(F.sum(F.size("items") * F.col("count")), F.lit(0)).alias("del")))
 
 
+def suppress_only(recs: DataFrame, groups: DataFrame) -> DataFrame:
+    """(group_id, items, stars): the suppression solution released as it is. Items that a group does
+    not share are stars for each of its records, and no majority decides them."""
+    c = group_counts(recs, groups)
+    same = F.col("c") == F.col("g")
+    return c.groupBy("group_id").agg(F.array_sort(F.collect_list(F.when(same, F.col("item")))).alias("items"), F.sum(F.when(~same, F.col("g")).otherwise(0)).alias("stars"))
+
+
 def sorted_chunks(recs: DataFrame, k: int, within: str | None = None) -> DataFrame:
     """(record_id, group_id): records in the order of their sets, cut into runs of k; the last run
     takes the rest. Without ``within`` the runs are per first item, so that no task sorts all."""

@@ -7,7 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.hashing import keyword_token, lsh_key, minhash
-from ..functions.sets import jaccard
+from ..functions.sets import is_word, jaccard
 from .graph import components
 
 
@@ -30,11 +30,13 @@ def bucket_sizes(bucketed: DataFrame, unit: str = "record") -> DataFrame:
     return bucketed.groupBy("bucket_id").agg(n.alias("n"))
 
 
-def split_small(bucketed: DataFrame, k: int, unit: str = "record") -> tuple[DataFrame, DataFrame]:
+def split_small(bucketed: DataFrame, k: int, unit: str = "record", keep_size: bool = False) -> tuple[DataFrame, DataFrame]:
     """(records of buckets that hold k units, the others). Counts are aggregated before the exchange
-    and joined back, so a hot bucket can be split."""
-    n = bucketed.join(bucket_sizes(bucketed, unit).withColumnRenamed("n", "_n"), "bucket_id")
-    n = n.select(*bucketed.columns, "_n")
+    and joined back, so a hot bucket can be split. ``keep_size`` leaves the count of records as
+    ``_records``."""
+    n = F.count(F.lit(1)) if unit == "record" else F.count_distinct("user_id")
+    sizes = bucketed.groupBy("bucket_id").agg(n.alias("_n"), F.count(F.lit(1)).alias("_records"))
+    n = bucketed.join(sizes, "bucket_id").select(*bucketed.columns, "_n", *(["_records"] if keep_size else []))
     return n.where(F.col("_n") >= k).drop("_n"), n.where(F.col("_n") < k).drop("_n")
 
 
@@ -46,7 +48,10 @@ def refine(bucketed: DataFrame, max_bucket: int, p: int, fn: str = "xxhash64", k
     chunks of at least k users; a run then exceeds ``max_bucket`` by less than its last chunk."""
     w = W.partitionBy("bucket_id")
     more = minhash(F.col("items"), p + 7, fn).cast("string")
-    n = bucketed.join(bucket_sizes(bucketed).withColumnRenamed("n", "_n"), "bucket_id").select(*bucketed.columns, "_n")
+    if "_records" in bucketed.columns:
+        n = bucketed.withColumnRenamed("_records", "_n")
+    else:
+        n = bucketed.join(bucket_sizes(bucketed).withColumnRenamed("n", "_n"), "bucket_id").select(*bucketed.columns, "_n")
     big = n.where(F.col("_n") > max_bucket).withColumn("_r", F.row_number().over(w.orderBy(more, F.concat_ws("|", "items"), "record_id")))
     if unit == "record":
         part = F.least(F.floor((F.col("_r") - 1) / max_bucket), F.floor(F.col("_n") / max_bucket) - 1)
@@ -63,9 +68,9 @@ def refine(bucketed: DataFrame, max_bucket: int, p: int, fn: str = "xxhash64", k
 
 def tokenize(recs: DataFrame, hashes: int = 2, fn: str = "xxhash64", small: int = 200_000) -> tuple[DataFrame, DataFrame]:
     """(records of keyword tokens, (keyword, token)). Tokens are made once for each distinct
-    keyword; the vocabulary is broadcast only if it has at most ``small`` words."""
+    keyword; an attribute item is its own token; the vocabulary is broadcast only if it has at most ``small`` words."""
     words = recs.select(F.explode("items").alias("keyword")).distinct()
-    tokens = words.select("keyword", keyword_token(F.col("keyword"), hashes, fn).alias("token"))
+    tokens = words.select("keyword", F.when(is_word(F.col("keyword")), keyword_token(F.col("keyword"), hashes, fn)).otherwise(F.col("keyword")).alias("token"))
     side = F.broadcast(tokens) if words.limit(small + 1).count() <= small else tokens
     edges = recs.select("record_id", "user_id", F.explode("items").alias("keyword")).join(side, "keyword")
     out = edges.groupBy("record_id", "user_id").agg(F.array_sort(F.collect_set("token")).alias("items"))

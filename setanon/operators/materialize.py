@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.sets import words
+from ..functions.sets import canonical, is_word, words
 
 
 def cluster_keywords(threads: DataFrame, buckets: DataFrame, tokens: DataFrame, pick: str = "mode") -> DataFrame:
@@ -30,9 +30,10 @@ def lift_edits(edits: DataFrame, threads: DataFrame, groups: DataFrame, tokens:
 
 def rewrite_queries(threads: DataFrame, edits: DataFrame, canon: DataFrame | None = None) -> DataFrame:
     """(thread_id, user_id, queries): every occurrence of a deleted keyword goes, inserted ones are
-    appended to the first query, queries without words vanish. ``canon(record_id, keyword, to)``
+    appended to the first query, queries without words vanish; attribute items never enter a text.
+    ``canon(record_id, keyword, to)``
     rewrites keywords to their cluster's common spelling."""
-    by = edits.groupBy("record_id").agg(F.collect_list(F.when(F.col("op") == "del", F.col("item"))).alias("gone"), F.array_sort(F.collect_list(F.when(F.col("op") == "add", F.col("item")))).alias("new"))
+    by = edits.where(is_word(F.col("item"))).groupBy("record_id").agg(F.collect_list(F.when(F.col("op") == "del", F.col("item"))).alias("gone"), F.array_sort(F.collect_list(F.when(F.col("op") == "add", F.col("item")))).alias("new"))
     none = F.array().cast("array<string>")
     t = threads.join(by.withColumnRenamed("record_id", "thread_id"), "thread_id", "left").withColumn("gone", F.coalesce("gone", none)).withColumn("new", F.coalesce("new", none))
     if canon is not None:
@@ -47,6 +48,18 @@ def rewrite_queries(threads: DataFrame, edits: DataFrame, canon: DataFrame | Non
     return t.select("thread_id", "user_id", F.filter(rewritten, lambda q: q["query"] != "").alias("queries"))
 
 
-def release(rewritten: DataFrame) -> DataFrame:
-    """(thread_id, seq, query): no user, no time; seq only orders a thread's queries."""
-    return rewritten.select("thread_id", F.posexplode("queries").alias("seq", "q")).select("thread_id", F.col("seq").cast("long").alias("seq"), F.col("q.query").alias("query"))
+def edited_attributes(threads: DataFrame, edits: DataFrame) -> DataFrame:
+    """(thread_id, attributes): a thread's attribute items after the edits."""
+    ours = edits.where(~is_word(F.col("item"))).groupBy(F.col("record_id").alias("thread_id"))
+    ours = ours.agg(F.collect_list(F.when(F.col("op") == "del", F.col("item"))).alias("gone"), F.collect_list(F.when(F.col("op") == "add", F.col("item"))).alias("new"))
+    none = F.array().cast("array<string>")
+    own = threads.select("thread_id", F.filter("items", lambda x: ~is_word(x)).alias("own")).join(ours, "thread_id", "left")
+    left = F.array_except("own", F.coalesce("gone", none))
+    return own.select("thread_id", canonical(F.concat(left, F.coalesce("new", none))).alias("attributes"))
+
+
+def release(rewritten: DataFrame, attributes: DataFrame | None = None) -> DataFrame:
+    """(thread_id, seq, query): no user, no time; seq only orders a thread's queries. With
+    ``attributes(thread_id, attributes)`` these are one more column."""
+    out = rewritten.select("thread_id", F.posexplode("queries").alias("seq", "q")).select("thread_id", F.col("seq").cast("long").alias("seq"), F.col("q.query").alias("query"))
+    return out if attributes is None else out.join(attributes, "thread_id").select("thread_id", "seq", "query", "attributes")

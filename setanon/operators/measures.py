@@ -49,6 +49,14 @@ def lower_bound(recs: DataFrame, k: int, within: str) -> DataFrame:
     return recs.select("record_id", within).join(mean, "record_id").groupBy(within).agg((F.sum("mean") / 2).alias("bound"))
 
 
+def ratio_to_bound(cost: DataFrame, bound: DataFrame, within: str) -> DataFrame:
+    """One row of ``cost(bucket, cost)`` over ``bound(bucket, bound)``: buckets, total cost, total
+    bound, and their ratio, which no solution's true ratio to the optimum exceeds."""
+    j = cost.join(bound, within)
+    total = j.agg(F.count(F.lit(1)).alias("buckets"), F.coalesce(F.sum("cost"), F.lit(0)).cast("double").alias("cost"), F.round(F.coalesce(F.sum("bound"), F.lit(0.0)), 4).alias("bound"))
+    return total.withColumn("ratio", F.round(F.col("cost") / F.greatest("bound", F.lit(1e-9)), 4))
+
+
 def ratio_exact(recs: DataFrame, k: int, within: str = "bucket_id", max_n: int = 10, objective: str = "flip") -> DataFrame:
     """(bucket, n, best): optimal cost of every bucket of k to max_n records, by exhaustive search."""
     import pyarrow as pa

@@ -47,10 +47,11 @@ class AnonResult:
     dropped: DataFrame
     options: AnonOptions
     k: int
-    held: DataFrame | None = None  # what is persisted, where it is not ``solved`` itself
+    held: tuple[DataFrame, ...] = ()  # what is persisted
 
     def unpersist(self) -> None:
-        (self.solved if self.held is None else self.held).unpersist()
+        for table in self.held:
+            table.unpersist()
 
     @property
     def records(self) -> DataFrame:
@@ -113,7 +114,8 @@ def anonymize(recs: DataFrame, k: int, o: AnonOptions = AnonOptions()) -> AnonRe
     if k == 1:
         done = b.select("record_id", "user_id", "bucket_id", F.col("record_id").alias("group_id"), "items", F.col("items").alias("target"))
         return AnonResult(done, b.where("false").select("record_id", F.size("items").alias("n_items")), o, k)
-    kept, small = lsh.split_small(b, k, o.unit)
+    b = b.persist(StorageLevel.DISK_ONLY)  # counted, then split
+    kept, small = lsh.split_small(b, k, o.unit, keep_size=True)
     kept = lsh.refine(kept, max(o.max_bucket, k), o.p, o.hash, k, o.unit)
     native = kept.where("false").select("record_id", "user_id", "bucket_id", F.lit("").alias("group_id"), "items", F.col("items").alias("target"))
     if o.popular_first and o.solver == "suppress" and o.unit == "record" and not o.improve:
@@ -140,7 +142,7 @@ def anonymize(recs: DataFrame, k: int, o: AnonOptions = AnonOptions()) -> AnonRe
     solved = native.unionByName(kept.select("record_id", "user_id", "bucket_id", "items").groupBy("bucket_id").applyInArrow(run, SOLVED))
     solved = solved.persist(StorageLevel.DISK_ONLY)  # several tables read it; kernels run once
     dropped = small.select("record_id", "items").unionByName(solved.where("group_id IS NULL").select("record_id", "items"))
-    return AnonResult(solved.where("group_id IS NOT NULL"), dropped.select("record_id", F.size("items").alias("n_items")), o, k, solved)
+    return AnonResult(solved.where("group_id IS NOT NULL"), dropped.select("record_id", F.size("items").alias("n_items")), o, k, (solved, b))
 
 
 def suppress_rounds(recs: DataFrame, k: int, max_rounds: int = 200) -> DataFrame:

@@ -8,7 +8,7 @@ from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.sets import canonical, item_of
+from ..functions.sets import canonical, is_word, item_of
 from ..operators import lsh, materialize, threads
 from ..operators.threads import ThreadOptions
 from .pipeline import AnonOptions, AnonResult, anonymize
@@ -18,7 +18,7 @@ from .pipeline import AnonOptions, AnonResult, anonymize
 class LogOptions:
     secret: str
     threads: ThreadOptions = field(default_factory=ThreadOptions)
-    anon: AnonOptions = field(default_factory=AnonOptions)
+    anon: AnonOptions = field(default_factory=lambda: AnonOptions(unit="user"))  # hidden among other users, not other threads
     split: str = "topics"  # topics, sessions, singletons, gap
     gap_seconds: int = 86_400
     identity: str = "token"  # or exact: keywords must be equal letter by letter
@@ -35,18 +35,33 @@ class LogResult:
     result: AnonResult
     edits: DataFrame  # on keywords
     rewritten: DataFrame
+    attributes: DataFrame | None = None  # (thread_id, attributes), where the options name some
 
     @property
     def released(self) -> DataFrame:
-        return materialize.release(self.rewritten)
+        return materialize.release(self.rewritten, self.attributes)
 
     @property
     def records(self) -> DataFrame:
-        """Released keyword sets."""
+        """Released keyword sets, as they can be read off the texts, and attributes."""
         from ..functions.sets import words
 
-        items = canonical(F.flatten(F.transform("queries", lambda q: words(q["query"]))))
-        return self.rewritten.select(F.col("thread_id").alias("record_id"), "user_id", items.alias("items"))
+        items = F.flatten(F.transform("queries", lambda q: words(q["query"])))
+        rows = self.rewritten
+        if self.attributes is not None:
+            rows, items = rows.join(self.attributes, "thread_id"), F.concat(items, "attributes")
+        return rows.select(F.col("thread_id").alias("record_id"), "user_id", canonical(items).alias("items"))
+
+    def audit_literal(self, k: int, unit: str = "record") -> DataFrame:
+        """The audit of what is published. Where identity is that of tokens, texts of one token's
+        keywords may differ, and records can lie below k here though their tokens do not."""
+        from ..operators.measures import audit
+
+        return audit(self.records.where(F.size("items") > 0), k, unit)
+
+    def unpersist(self) -> None:
+        self.result.unpersist()
+        self.threads.unpersist()
 
     @property
     def cost(self) -> DataFrame:
@@ -86,8 +101,10 @@ def anonymize_log(log: DataFrame, k: int, o: LogOptions, corpus: DataFrame | Non
     if o.canonicalize:
         stand = materialize.cluster_keywords(sets, result.groups, tokens, o.pick)
         own = kept.select(F.col("thread_id").alias("record_id"), F.explode("items").alias("keyword")).join(tokens, "keyword").join(result.groups.select("record_id", "bucket_id"), "record_id")
+        own = own.where(is_word(F.col("keyword")))
         canon = own.join(stand.withColumnRenamed("keyword", "to"), ["bucket_id", "token"]).select("record_id", "keyword", "to")
-    return LogResult(sets, result, edits, materialize.rewrite_queries(kept, edits, canon))
+    extra = materialize.edited_attributes(kept, edits) if o.attributes else None
+    return LogResult(sets, result, edits, materialize.rewrite_queries(kept, edits, canon), extra)
 
 
 def explain_user(r: LogResult, user_id: str) -> DataFrame:

@@ -72,12 +72,16 @@ def mb_groups(spark, d, p=2):
 
 # ---- scans and relational surface -------------------------------------------------------------
 
-_SCANS = {
-    "region": "r_regionkey, r_name", "nation": "n_nationkey, n_regionkey", "customer": "c_custkey, c_mktsegment", "supplier": "s_suppkey, s_name", "part": "p_partkey, p_name", "orders": "o_orderkey, o_custkey",
-    "lineitem": "l_orderkey, l_partkey, l_quantity", "events": "event_id, user_id, event_type", "documents": "doc_id, lang, source", "embeddings": "vec_id, label", "pages": "page_id, url", "benchmark": "item_id, text", "labels": "doc_id, quality, toxic", "conversations": "conv_id, turn, role",
-}
-for _name, _cols in _SCANS.items():
-    query(f"scan_{_name}", f"SELECT {_cols} FROM {_name}")(lambda spark, d, n=_name, c=_cols: t.load(spark, d, n, c.split(", ")))
+_TABLES = ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events", "documents", "pages", "benchmark", "labels", "conversations")
+for _name in _TABLES:
+    query(f"scan_{_name}", f"SELECT * FROM {_name}")(lambda spark, d, n=_name: t.load(spark, d, n))
+
+
+@query("scan_embeddings", "SELECT vec_id, label, array_to_string(list_transform(embedding, lambda x: CAST(round(CAST(x AS DOUBLE) * 1000000) AS BIGINT)), ',') AS embedding FROM embeddings")
+def _(spark, d):
+    """Vectors as strings of millionths, since engines print floats differently."""
+    millionths = F.transform("embedding", lambda x: F.round(x.cast("double") * 1000000).cast("long").cast("string"))
+    return t.load(spark, d, "embeddings").select("vec_id", "label", F.array_join(millionths, ",").alias("embedding"))
 
 
 @query("filter_user_turns", "SELECT conv_id, turn, text FROM conversations WHERE role = 'user' AND turn BETWEEN 0 AND 4 AND regexp_matches(text, '[a-z]')")
@@ -206,12 +210,13 @@ def _(spark, d):
     return baselines.generalize(t.customer_profiles(spark, d), [["n_name", "r_name"], ["c_mktsegment"]], 10)
 
 
-@query("binary_relation", "SELECT CAST(l_orderkey AS VARCHAR) AS record_id, " + ", ".join(f"CAST(max(CASE WHEN p_brand = 'Brand#1{i}' THEN 1 ELSE 0 END) AS INTEGER) AS b{i}" for i in range(1, 6)) + " FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_brand LIKE 'Brand#1%' GROUP BY l_orderkey")
+_BRANDS = [f"{i}{j}" for i in range(1, 6) for j in range(1, 6)]
+
+
+@query("binary_relation", "SELECT CAST(l_orderkey AS VARCHAR) AS record_id, " + ", ".join(f"CAST(max(CASE WHEN p_brand = 'Brand#{b}' THEN 1 ELSE 0 END) AS INTEGER) AS b{b}" for b in _BRANDS) + " FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY l_orderkey")
 def _(spark, d):
-    e = records.to_edges(mb(spark, d, "brand")).where(F.col("item").startswith("Brand#1"))
-    names = [f"Brand#1{i}" for i in range(1, 6)]
-    wide = relational.to_binary(e, names)
-    return wide.select("record_id", *(F.col(f"`{n}`").alias(f"b{i}") for i, n in enumerate(names, 1)))
+    wide = relational.to_binary(records.to_edges(mb(spark, d, "brand")), [f"Brand#{b}" for b in _BRANDS])
+    return wide.select("record_id", *(F.col(f"`Brand#{b}`").alias(f"b{b}") for b in _BRANDS))
 
 
 @query("unpivot_round_trip", "SELECT DISTINCT CAST(l_orderkey AS VARCHAR) AS record_id, p_brand AS item FROM lineitem JOIN part ON l_partkey = p_partkey")
@@ -408,6 +413,20 @@ def _(spark, d):
     return measures.lower_bound(_fine(spark, d)[0], 3, "bucket_id").select("bucket_id", F.round("bound", 6).alias("bound"))
 
 
+@query("baseline_suppress_only", f"{COUNTS} SELECT bucket_id AS group_id, coalesce(string_agg(item, '|' ORDER BY item) FILTER (WHERE c = g), '') AS items, CAST(sum(CASE WHEN c < g THEN g ELSE 0 END) AS BIGINT) AS stars FROM x GROUP BY bucket_id")
+def _(spark, d):
+    """Suppression with its stars kept: what a group shares, and the cells that are starred."""
+    return baselines.suppress_only(*mb_groups(spark, d)).select("group_id", sx.joined("items").alias("items"), "stars")
+
+
+@query("ratio_to_bound", f"{_FINE}, r AS (SELECT bucket_id, a, d, row_number() OVER (PARTITION BY a ORDER BY d, b) AS k FROM p WHERE a <> b), m AS (SELECT bucket_id, a, sum(d) / 2.0 AS mean FROM r WHERE k <= 2 GROUP BY bucket_id, a), lb AS (SELECT bucket_id, sum(mean) / 2 AS bound FROM m GROUP BY bucket_id), g AS (SELECT bucket_id, count(*) AS g FROM b GROUP BY bucket_id HAVING count(*) >= 3), c AS (SELECT bucket_id, item, count(*) AS c FROM e JOIN b USING (record_id) GROUP BY bucket_id, item), f AS (SELECT bucket_id, sum(least(c, g - c)) AS cost FROM c JOIN g USING (bucket_id) GROUP BY bucket_id), t AS (SELECT count(*) AS buckets, CAST(sum(cost) AS DOUBLE) AS cost, round(sum(bound), 4) AS bound FROM f JOIN lb USING (bucket_id)) SELECT buckets, cost, bound, round(cost / greatest(bound, 1e-9), 4) AS ratio FROM t")
+def _(spark, d):
+    """Cost of whole buckets as groups over the certificate that needs no optimum."""
+    b = lsh.split_small(mb_buckets(spark, d, 4), 3)[0]
+    cost = majority.flip_cost(b, b.select("record_id", "bucket_id", F.col("bucket_id").alias("group_id"))).select(F.col("group_id").alias("bucket_id"), F.col("flips").alias("cost"))
+    return measures.ratio_to_bound(cost, measures.lower_bound(b, 3, "bucket_id"), "bucket_id")
+
+
 @query("cluster_cost_random_center", "SELECT CAST(0 AS BIGINT) AS below_majority, CAST(1 AS BIGINT) AS whole")
 def _(spark, d):
     """A random member as centre never beats the majority (summed over buckets)."""
@@ -536,6 +555,15 @@ def _(spark, d):
     return attacks.attack_rate(r, r, 6, 8, 50)
 
 
+@query("attack_before_and_after", f"{_KNOWN} SELECT count(*) AS victims, count(*) FILTER (WHERE candidates = 1) AS unique_before, CAST(0 AS BIGINT) AS unique_after FROM c")
+def _(spark, d):
+    """The attack on everything a customer ordered, on the records as they are and as released at k = 3."""
+    r = t.customer_items(spark, d)
+    before = attacks.attack_rate(r, r, 6, 8, 50).select("victims", F.col("unique_matches").alias("unique_before"))
+    after = attacks.attack_rate(r, anonymize(r, 3, AnonOptions(p=1)).records, 6, 8, 50).select(F.col("unique_matches").alias("unique_after"))
+    return before.join(after)  # single rows
+
+
 @query("itemset_pairs_before", f"WITH e AS ({EDGES}) SELECT a.item AS x, b.item AS y, count(*) AS n FROM e a JOIN e b ON a.record_id = b.record_id AND a.item < b.item GROUP BY 1, 2 HAVING count(*) >= 5")
 def _(spark, d):
     return measures.itemset_pairs(mb(spark, d), 5)
@@ -572,11 +600,11 @@ def _anon(name: str, k: int, o: AnonOptions):
 
 _anon("anonymize_suppress_k3", 3, AnonOptions())
 _anon("anonymize_suppress_k5_users", 5, AnonOptions(p=2, unit="user"))
-_anon("anonymize_itemsets_k3", 3, AnonOptions(candidates="itemset", max_bucket=100))
-_anon("anonymize_cover_k3", 3, AnonOptions(overlap=True, max_bucket=200))
+_anon("anonymize_itemsets_k3", 3, AnonOptions(candidates="itemset"))
+_anon("anonymize_cover_k3", 3, AnonOptions(overlap=True))
 _anon("anonymize_improved_k3", 3, AnonOptions(improve=True))
-_anon("anonymize_facility_k3", 3, AnonOptions(solver="facility", max_bucket=100))
-_anon("anonymize_facility_inflated_k3", 3, AnonOptions(solver="facility", max_bucket=60, facility=FacilityOptions(load="inflate", solver="local")))
+_anon("anonymize_facility_k3", 3, AnonOptions(solver="facility"))
+_anon("anonymize_facility_inflated_k3", 3, AnonOptions(solver="facility", facility=FacilityOptions(load="inflate", solver="local")))
 _anon("anonymize_add_only_k3", 3, AnonOptions(ops="add"))
 _anon("anonymize_delete_only_k3", 3, AnonOptions(ops="del"))
 _anon("anonymize_chunks_k3", 3, AnonOptions(solver="chunks", p=2))
@@ -629,12 +657,128 @@ def _(spark, d):
     return out.select("solver", "metric", "value")
 
 
+def log_invariants(r, k: int, unit: str = "record") -> DataFrame:
+    """One row: threads that break k-anonymity, and the queries of threads that are released or dropped."""
+    bad = measures.audit(r.result.records, k, unit).select(F.col("violations").cast("long").alias("violations"))
+    ids = r.result.groups.select("record_id").unionByName(r.result.dropped.select("record_id"))
+    told = r.threads.join(ids.withColumnRenamed("record_id", "thread_id"), "thread_id").agg(F.sum(F.size("queries")).cast("long").alias("queries"))
+    return bad.join(told)  # single rows
+
+
+@query("anonymize_log_users_k3", f"SELECT CAST(0 AS BIGINT) AS violations, count(*) AS queries FROM ({_LOG})")
+def _(spark, d):
+    """Each released thread is shared by threads of k different users."""
+    return log_invariants(querylog.anonymize_log(t.order_log(spark, d), 3, querylog.LogOptions("k", EITHER), t.corpus(spark, d)), 3, "user")
+
+
+#: Threads that end at a pause of 30 days, as keyword sets of a session's queries; SQL can state these.
+_GAPS = rf"""l AS ({_LOG}), r AS (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, seq, query) AS place FROM l),
+ g AS (SELECT *, CASE WHEN place = 1 OR epoch(ts) - epoch(lag(ts) OVER (PARTITION BY user_id ORDER BY place)) > 2592000 THEN place END AS s FROM r),
+ th AS (SELECT user_id, query, user_id || '/' || CAST(max(s) OVER (PARTITION BY user_id ORDER BY place) AS VARCHAR) AS record_id FROM g),
+ e AS (SELECT DISTINCT record_id, user_id, w AS item FROM (SELECT record_id, user_id, unnest(regexp_split_to_array(lower(query), '[^\p{{L}}\p{{N}}]+')) AS w FROM th) WHERE w <> ''),
+ b AS (SELECT record_id, user_id, min(md5('0|' || item)) || '-' || min(md5('1|' || item)) AS bucket_id, string_agg(item, '|' ORDER BY item) AS items, count(*) AS n FROM e GROUP BY record_id, user_id)"""
+
+
+def gap_threads(spark, d) -> DataFrame:
+    """Records of keywords of the order log's threads by a pause of 30 days."""
+    return threads.thread_sets(threads.relabel(threads.threads_by_gap(t.order_log(spark, d), 30 * 86400), "k"))
+
+
+def gap_buckets(spark, d) -> DataFrame:
+    s = gap_threads(spark, d)
+    return lsh.precluster(s.select(F.col("thread_id").alias("record_id"), "user_id", "items"), 2, "md5")
+
+
+@query("thread_statistics", f"WITH {_GAPS} SELECT (SELECT count(DISTINCT user_id) FROM l) AS users, (SELECT count(*) FROM l) AS queries, count(*) AS threads, round(avg(n), 6) AS avg_keywords FROM b")
+def _(spark, d):
+    return longs(measures.thread_stats(gap_threads(spark, d)))
+
+
+@query("log_cluster_stats", f"WITH {_GAPS}, c AS (SELECT bucket_id, count(*) AS n, count(DISTINCT user_id) AS u FROM b GROUP BY bucket_id) SELECT count(*) AS clusters, round(avg(n), 6) AS avg_size, max(n) AS largest, count(*) FILTER (WHERE n >= 3) AS held_by_3, count(*) FILTER (WHERE u >= 3) AS held_by_3_users FROM c")
+def _(spark, d):
+    """Clusters of threads: how many, their mean and largest size, and those that three threads or three users hold."""
+    c = gap_buckets(spark, d).groupBy("bucket_id").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("user_id").alias("u"))
+    return c.agg(F.count(F.lit(1)).alias("clusters"), F.round(F.avg("n"), 6).alias("avg_size"), F.max("n").alias("largest"), F.count_if(F.col("n") >= 3).alias("held_by_3"), F.count_if(F.col("u") >= 3).alias("held_by_3_users"))
+
+
+def _log_cost_sql(k: int) -> str:
+    return f"""SELECT CAST({k} AS BIGINT) AS k, (SELECT CAST(coalesce(sum(CASE WHEN 2 * c > g THEN g - c ELSE 0 END), 0) AS BIGINT) FROM x{k}) AS n_add,
+ (SELECT CAST(coalesce(sum(CASE WHEN 2 * c > g THEN 0 ELSE c END), 0) AS BIGINT) FROM x{k}) AS del_in_group, (SELECT CAST(coalesce(sum(n), 0) AS BIGINT) FROM q WHERE z < {k}) AS del_small"""
+
+
+_KS = (2, 3, 5, 10, 20)
+_LOG_COST = f"WITH {_GAPS}, q AS (SELECT *, count(*) OVER (PARTITION BY bucket_id) AS z, row_number() OVER (PARTITION BY bucket_id ORDER BY items, record_id) AS r FROM b)" + "".join(
+    f""", g{k} AS (SELECT record_id, bucket_id || '#' || CAST(greatest(0, least((r - 1) // {k}, z // {k} - 1)) AS VARCHAR) AS group_id FROM q WHERE z >= {k}),
+ s{k} AS (SELECT group_id, count(*) AS g FROM g{k} GROUP BY group_id),
+ x{k} AS (SELECT c, g FROM (SELECT group_id, item, count(*) AS c FROM e JOIN g{k} USING (record_id) GROUP BY group_id, item) JOIN s{k} USING (group_id))"""
+    for k in _KS
+)
+
+
+@query("log_cost_curve", f"{_LOG_COST} " + " UNION ALL ".join(map(_log_cost_sql, _KS)))
+def _(spark, d):
+    """Edits on keywords of threads against k: insertions and deletions in groups, and deletions of
+    clusters under k. Groups are runs of k in each cluster's order of sets, which SQL can state too."""
+    b = gap_buckets(spark, d).persist()
+    out = None
+    for k in _KS:
+        kept, small = lsh.split_small(b, k)
+        g = baselines.sorted_chunks(kept, k, "bucket_id")
+        c = majority.group_counts(kept, g)
+        most = 2 * F.col("c") > F.col("g")
+        row = c.agg(F.coalesce(F.sum(F.when(most, F.col("g") - F.col("c"))), F.lit(0)).cast("long").alias("n_add"), F.coalesce(F.sum(F.when(~most, F.col("c"))), F.lit(0)).cast("long").alias("del_in_group"))
+        row = row.join(small.agg(F.coalesce(F.sum(F.size("items")), F.lit(0)).cast("long").alias("del_small"))).select(F.lit(k).cast("long").alias("k"), "n_add", "del_in_group", "del_small")  # single rows
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query("log_cost_trend", "SELECT CAST(1 AS BIGINT) AS total_rises, CAST(5 AS BIGINT) AS ks")
+def _(spark, d):
+    """Of the curve that the suppression solver gives on threads: the total never falls as k grows.
+    (The share of additions is in ``log_cost_values``; on this log it doesn't stay small.)"""
+    c = _log_cost_values(spark, d).groupBy("k").agg(F.max(F.when(F.col("metric") == "total", F.col("value"))).alias("total"))
+    rows = c.agg(F.array_sort(F.collect_list(F.struct("k", "total"))).alias("r"))  # a row for each k
+    rises = F.forall(F.sequence(F.lit(1), F.size("r") - 1), lambda i: F.get("r", i)["total"] >= F.get("r", i - 1)["total"])
+    return rows.select(rises.cast("long").alias("total_rises"), F.size("r").cast("long").alias("ks"))
+
+
+def _log_cost_values(spark, d) -> DataFrame:
+    return cost_curve(gap_buckets(spark, d), list(_KS), AnonOptions(bucketing="given"))
+
+
+@query("log_cost_values")
+def _(spark, d):
+    """The curve itself: additions and deletions of keywords of threads, and totals, against k."""
+    return _log_cost_values(spark, d).orderBy("k", "metric")
+
+
+@query("log_literal_audit", f"SELECT CAST(0 AS BIGINT) AS violations, CAST(0 AS BIGINT) AS named_attributes, count(DISTINCT user_id) AS users FROM ({_LOG})")
+def _(spark, d):
+    """What is published, read back from the texts, with one spelling for each token of a cluster and
+    the month as an attribute: records below k, texts that hold an attribute, and users in all."""
+    log = t.order_log(spark, d)
+    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", split="gap", gap_seconds=30 * 86400, anon=AnonOptions(p=2), canonicalize=True, attributes=(("month", F.date_format("ts", "yyyy-MM")),)))
+    bad = r.audit_literal(3).select(F.col("violations").cast("long").alias("violations"))
+    named = r.released.agg(F.count_if(F.contains("query", F.lit(":"))).alias("named_attributes"))
+    return bad.join(named).join(log.agg(F.count_distinct("user_id").alias("users")))  # single rows
+
+
+@query("log_literal_values")
+def _(spark, d):
+    """(canonical, least, violations, sets) of the published keyword sets, with and without one
+    spelling for each token: the token's identity alone may leave texts below k."""
+    out = None
+    for canonical in (False, True):
+        r = querylog.anonymize_log(t.order_log(spark, d), 3, querylog.LogOptions("k", split="gap", gap_seconds=30 * 86400, anon=AnonOptions(p=2), canonicalize=canonical))
+        part = longs(r.audit_literal(3)).withColumn("canonical", F.lit(canonical))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 @query("anonymize_log_k3", f"SELECT CAST(0 AS BIGINT) AS violations, count(*) AS queries FROM ({_LOG})")
 def _(spark, d):
     log = t.order_log(spark, d)
-    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", EITHER), t.corpus(spark, d))
-    bad = measures.audit(r.result.records, 3).select(F.col("violations").cast("long").alias("violations"))
-    return bad.join(r.threads.agg(F.sum(F.size("queries")).cast("long").alias("queries")))
+    return log_invariants(querylog.anonymize_log(log, 3, querylog.LogOptions("k", EITHER, anon=AnonOptions()), t.corpus(spark, d)), 3)
 
 
 @query("sessions_against_threads", "SELECT CAST(1 AS BIGINT) AS threads_cheaper")
@@ -690,7 +834,7 @@ def _(spark, d):
     """Accuracy of a quality classifier on word sets, before and after release."""
     r = t.document_words(spark, d)
     labels = t.load(spark, d, "labels").select(F.col("doc_id").cast("string").alias("record_id"), F.col("quality").alias("label"))
-    after = anonymize(r, 2, AnonOptions(p=1, max_bucket=100)).records
+    after = anonymize(r, 2, AnonOptions(p=1)).records
     return utility.label_utility(r, labels).withColumn("version", F.lit("before")).unionByName(utility.label_utility(after, labels).withColumn("version", F.lit("after")))
 
 
