@@ -174,12 +174,14 @@ def encoded(docs: DataFrame, tokenizer: str, end_id: int, kind: str = "<u4") ->
         encode, counts = encoder(tokenizer, False).encode, _Counts()
         none = pa.array([None], pa.list_(pa.int64()))
         names = ["doc_id", "ids", "token", "count"]
-        for batch in batches:
-            ids = [np.append(np.frombuffer(d, "<u4"), end_id).astype(kind) for d in encode(batch.column(1).to_pylist())]
-            for x in ids:
-                counts.add(x)
-            gap = pa.nulls(len(ids), pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.tobytes() for x in ids], pa.binary()), gap, gap], names)
+        for whole in batches:
+            for first in range(0, whole.num_rows, 500):
+                batch = whole.slice(first, 500)
+                ids = [np.append(np.frombuffer(d, "<u4"), end_id).astype(kind) for d in encode(batch.column(1).to_pylist())]
+                for x in ids:
+                    counts.add(x)
+                gap = pa.nulls(len(ids), pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x.tobytes() for x in ids], pa.binary()), gap, gap], names)
         if counts.n:
             yield pa.RecordBatch.from_arrays([pa.array([None], pa.int64()), pa.array([None], pa.binary()), *(pa.array([x.tolist()], none.type) for x in counts.rows())], names)
         tidy()

@@ -30,6 +30,7 @@ from .words import WordHasher, blocks
 BITS = 22
 #: Buckets above the hashed words, for the shape of a text.
 SHAPES = 128
+WIDTH = (1 << BITS) + SHAPES
 GRADES = 3
 #: First bytes of a word that are features too, so that inflected forms share weight.
 PREFIXES = (4, 5)
@@ -103,14 +104,30 @@ class Model:
 def fit(ids: np.ndarray, at: np.ndarray, grade: np.ndarray, opt: Options = Options(), grades: int = GRADES) -> Model:
     """Full-batch Adam on the negative log likelihood with a ridge penalty."""
     n = len(grade)
-    bucket, col = np.unique(ids, return_inverse=True)
-    df = np.bincount(col, minlength=len(bucket))
-    mean = np.bincount(col, grade[np.repeat(np.arange(n), np.diff(at))], len(bucket)) / np.maximum(df, 1)
-    z = (mean - grade.mean()) * np.sqrt(df) / max(grade.std(), 1e-9)
-    used = (df >= opt.min_docs) & (np.abs(z) >= opt.min_z) | (bucket >= 1 << BITS)
-    new = np.cumsum(used) - 1
-    row = np.repeat(np.arange(n), np.diff(at))[used[col]]
-    col, bucket = new[col[used[col]]], bucket[used]
+    # one number for each bucket there is; only ids of buckets that get a weight are gathered
+    df, total = np.zeros(WIDTH, np.int32), np.zeros(WIDTH, np.int32)
+    for i in range(0, n, 500):
+        j = min(i + 500, n)
+        part = ids[at[i] : at[j]]
+        df += np.bincount(part, minlength=WIDTH).astype(np.int32)
+        for g in range(1, grades):
+            mine = np.repeat(grade[i:j] == g, np.diff(at[i : j + 1]))
+            total += (g * np.bincount(part[mine], minlength=WIDTH)).astype(np.int32)
+    z = (total / np.maximum(df, 1) - grade.mean()) * np.sqrt(df) / max(grade.std(), 1e-9)
+    used = (df >= opt.min_docs) & (np.abs(z) >= opt.min_z)
+    used[1 << BITS :] |= df[1 << BITS :] > 0
+    del df, total, z
+    bucket = np.flatnonzero(used)
+    new = np.cumsum(used, dtype=np.int32) - 1
+    row, col = [], []
+    for i in range(0, n, 500):
+        j = min(i + 500, n)
+        part = ids[at[i] : at[j]]
+        hit = used[part]
+        row.append(np.repeat(np.arange(i, j), np.diff(at[i : j + 1]))[hit])
+        col.append(new[part[hit]].astype(np.int64))
+    row, col = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (row, col))
+    del new, used
     k = len(bucket)
     ridge = np.where(bucket >= 1 << BITS, opt.ridge / 400, opt.ridge)
     share = np.cumsum(np.bincount(grade, minlength=grades))[:-1]
@@ -170,16 +187,19 @@ def sample(docs: DataFrame, ratings: DataFrame, opt: Options = Options()) -> tup
                 first += len(block)
                 yield pa.RecordBatch.from_arrays([part.column(1), part.column(2), lists], ["doc_id", "grade", "ids"])
 
-    t = texts.select("text", "doc_id", "grade").mapInArrow(run, "doc_id long, grade int, ids array<int>").toArrow().sort_by("doc_id")
-    lists = t.column("ids").combine_chunks()
-    flat = lists.flatten().to_numpy() if len(t) else np.zeros(0, np.int32)
-    sizes = lists.value_lengths().to_numpy() if len(t) else np.zeros(0, np.int64)
+    t = texts.orderBy("doc_id").select("text", "doc_id", "grade").mapInArrow(run, "doc_id long, grade int, ids array<int>").toArrow()
+    lists = t.column("ids").chunks
+    flat = np.concatenate([np.zeros(0, np.int32), *(c.flatten().to_numpy() for c in lists)])
+    sizes = np.concatenate([np.zeros(0, np.int64), *(c.value_lengths().to_numpy() for c in lists)])
     return flat, np.concatenate([[0], np.cumsum(sizes)]).astype(np.int64), t.column("grade").to_numpy().astype(np.int64)
 
 
 def train(docs: DataFrame, labels: DataFrame, opt: Options = Options()) -> Model | None:
     ids, at, grade = sample(docs, graded(labels), opt)
-    return fit(ids, at, grade, opt) if len(grade) else None
+    model = fit(ids, at, grade, opt) if len(grade) else None
+    del ids, at, grade
+    tidy()
+    return model
 
 
 def scored(docs: DataFrame, model: Model | None, opt: Options = Options(), into: str = "_rated") -> DataFrame:
