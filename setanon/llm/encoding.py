@@ -116,3 +116,8 @@ def encoder(path: str, spaced: bool) -> PieceEncoder:
     if (path, spaced) not in _ENCODERS:
         _ENCODERS[(path, spaced)] = PieceEncoder(path, spaced=spaced)
     return _ENCODERS[(path, spaced)]
+
+
+def forget() -> None:
+    """Drops the encoders and their memos; for a worker whose stage has no text to encode."""
+    _ENCODERS.clear()

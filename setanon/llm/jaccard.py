@@ -55,6 +55,12 @@ def prefix_length(n, opt: Options):
 _HASHER = WordHasher()
 
 
+def _rest() -> None:
+    """A worker that has ended a task keeps nothing that grew in it."""
+    _HASHER.rest()
+    tidy()
+
+
 def shingle_sets(texts: list[str], opt: Options):
     """The sorted distinct shingle hashes of each text."""
     out = []
@@ -102,7 +108,7 @@ def described(docs: DataFrame, opt: Options) -> DataFrame:
                 [b.column("row_key"), b.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([x for x, _ in names], pa.int64()), pa.array([y for _, y in names], pa.int64())],
                 ["row_key", "doc_id", "n", "node", "mark"],
             )
-        tidy()
+        _rest()
 
     return docs.select("row_key", "doc_id", "text").mapInArrow(run, "row_key long, doc_id long, n long, node long, mark long")
 
@@ -115,7 +121,7 @@ def _frequent(docs: DataFrame, opt: Options) -> Order:
             sets = shingle_sets(b.column(0).to_pylist(), opt)
             h = np.concatenate([s[: prefix_length(len(s), opt)] for s in sets if len(s)] or [np.zeros(0, np.uint64)])
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64))], ["h"])
-        tidy()
+        _rest()
 
     counts = written(docs.select("text").mapInArrow(run, "h long").groupBy("h").count().where(F.col("count") >= opt.frequent), "frequent")
     level = F.floor(F.log2("count")).cast("int")
@@ -146,7 +152,7 @@ def postings(docs: DataFrame, order: Order, opt: Options) -> DataFrame:
             node = np.repeat(np.asarray([node_of(s)[0] for s in sets], np.int64), size)
             meta = np.repeat(np.asarray([len(s) for s in sets], np.int64) << 32, size) + (np.concatenate([np.arange(k) for k in size]) if size else 0)
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(node), pa.array(meta)], ["h", "node", "meta"])
-        tidy()
+        _rest()
 
     return docs.select("text").mapInArrow(run, "h long, node long, meta long")
 
@@ -242,7 +248,7 @@ def verified(pairs: DataFrame, docs: DataFrame, sets: DataFrame, opt: Options) -
     def run(batches):
         for b, xs, ys in _sets_of_pairs(batches, opt):
             yield b.select(["a", "b"]).filter(pa.array([linked(x, y, opt) for x, y in zip(xs, ys)], pa.bool_()))
-        tidy()
+        _rest()
 
     full, texts = with_texts(pairs, docs, sets)
     out = written(full.mapInArrow(run, "a long, b long"), "links")
@@ -264,7 +270,7 @@ def beyond_hub(apart: DataFrame, docs: DataFrame, sets: DataFrame, order: Order,
             at = np.cumsum([0, *map(len, rest)])
             lists = pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(np.concatenate([*rest, np.zeros(0, np.int64)]), pa.int64()))
             yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array([len(y) for y in ys], pa.int64()), pa.array([int(k.sum()) for k in inside], pa.int64()), lists], ["hub", "node", "n", "i", "rest"])
-        tidy()
+        _rest()
 
     full, texts = with_texts(apart.select(F.col("hub").alias("a"), F.col("node").alias("b")), docs, sets)
     rows = written(full.mapInArrow(run, "hub long, node long, n long, i long, rest array<long>"), "beyond")

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import doc_text, tidy, written
-from .encoding import encoder
+from .encoding import encoder, forget
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 #: Bits of a sequence id below the shard number.
@@ -244,6 +244,8 @@ def routed(tokens: DataFrame, df: np.ndarray, kind: str) -> DataFrame:
     held = tokens.sparkSession.sparkContext.broadcast((place, int((df > 1).sum())))  # a number for each token of the vocabulary
 
     def run(batches):
+        forget()  # all texts are encoded by now
+        tidy()
         place, several = held.value
         for b in batches:
             route, spread, size = [], [], []
@@ -296,6 +298,7 @@ def pack(docs: DataFrame, *, tokenizer: str, end_id: int = 1, window: int = 2048
     stats = docs.sparkSession.sparkContext.broadcast(counts)
 
     def run(key, table):
+        forget()
         shard = key[0].as_py()
         table = table.sort_by([("doc_id", "ascending"), ("ids", "ascending")])
         ids = [np.frombuffer(d, kind).astype("<u4") for d in table.column("ids").to_pylist()]

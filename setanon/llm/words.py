@@ -45,11 +45,15 @@ class WordHasher:
 
     def _powers(self, n: int) -> None:
         if len(self.up) < n:
-            n = 1 << max(18, (n - 1).bit_length())
+            n = (n + (1 << 18) - 1) >> 18 << 18
             with np.errstate(over="ignore"):
                 self.up = np.cumprod(np.full(n, self.base, np.uint64))
                 self.down = np.cumprod(np.full(n, pow(self.base, -1, 1 << 64), np.uint64))
 
+    def rest(self) -> None:
+        """Drops the tables that grew with the blocks."""
+        self.up = self.down = np.zeros(0, np.uint64)
+
     def _block(self, data: np.ndarray, prefixes: tuple[int, ...]) -> tuple[list[np.ndarray], np.ndarray]:
         """Hashes of the words of a block that starts and ends with a space; where they start."""
         self._powers(len(data))
