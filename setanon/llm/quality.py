@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import tidy
+from .common import small_batches, tidy
 from .words import WordHasher, blocks
 
 BITS = 22
@@ -170,6 +170,7 @@ def graded(labels: DataFrame) -> DataFrame:
 
 def sample(docs: DataFrame, ratings: DataFrame, opt: Options = Options()) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Features and grades of at most ``max_rows`` labelled texts, on the driver."""
+    small_batches(docs.sparkSession)
     # the labels of least hash are the sample; of rows with one id, the text of least hash is used
     place = F.xxhash64("doc_id")
     chosen = F.broadcast(ratings.orderBy(place, "doc_id").limit(opt.max_rows))  # bounded
@@ -207,6 +208,7 @@ def scored(docs: DataFrame, model: Model | None, opt: Options = Options(), into:
     kind = "expected_grade double, p_not_toxic double, p_good double, kept boolean"
     if model is None:
         return docs.withColumn(into, F.struct(*(F.lit(None).cast("double").alias(c) for c in ("expected_grade", "p_not_toxic", "p_good")), F.lit(True).alias("kept")))
+    small_batches(docs.sparkSession)
     held = docs.sparkSession.sparkContext.broadcast(model)  # at most min_docs-th of the sample's features
 
     def rate(series: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import doc_text
+from .common import doc_text, small_batches
 
 ASSIGN = re.compile(r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.A)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -160,6 +160,8 @@ def find(docs: DataFrame, reach: int = 200) -> DataFrame:
 
 def redact(docs: DataFrame) -> DataFrame:
     """The documents with secrets masked; n_chars follows the text where the column is there."""
+    small_batches(docs.sparkSession)
+
     @F.pandas_udf("string")
     def masked(texts: pd.Series) -> pd.Series:
         return pd.Series([redacted(t) for t in texts], dtype=object)
