@@ -63,6 +63,21 @@ def sorted_chunks(recs: DataFrame, k: int, within: str | None = None) -> DataFra
     return r.select("record_id", F.concat_ws("#", "_b", part.cast("string")).alias("group_id"), F.col("_n").alias("bucket_n"))
 
 
+def chunk_counts(sets: DataFrame, k: int, within: str) -> DataFrame:
+    """(group_id, item, c, g) of ``sorted_chunks`` on ``weighted`` sets, without the runs that hold
+    one set alone. Copies of a set follow each other, so a set takes part in at most two runs that
+    others share; the buckets must hold k records."""
+    w = W.partitionBy(within)
+    r = sets.withColumn("_n", F.sum("weight").over(w)).withColumn("_end", F.sum("weight").over(w.orderBy(F.concat_ws("|", F.array_sort("items")), "record_id").rowsBetween(W.unboundedPreceding, 0)))
+    r = r.withColumn("_last", F.greatest(F.lit(0), F.floor(F.col("_n") / k) - 1)).withColumn("_start", F.col("_end") - F.col("weight"))
+    run_of = lambda place: F.least(F.floor(place / k), F.col("_last"))
+    r = r.withColumn("_run", F.explode(F.array_distinct(F.array(run_of(F.col("_start")), run_of(F.col("_end") - 1)))))
+    low, high = F.col("_run") * k, F.when(F.col("_run") == F.col("_last"), F.col("_n")).otherwise((F.col("_run") + 1) * k)
+    r = r.withColumn("_g", high - low).withColumn("_m", F.least("_end", high) - F.greatest("_start", low)).where("_m < _g")
+    cells = r.select(F.concat_ws("#", within, F.col("_run").cast("string")).alias("group_id"), F.col("_g").alias("g"), "_m", F.explode("items").alias("item"))
+    return cells.groupBy("group_id", "item", "g").agg(F.sum("_m").alias("c")).select("group_id", "item", "c", "g")
+
+
 def random_groups(recs: DataFrame, k: int, seed: int = 0, buckets: int = 16) -> DataFrame:
     """The sanity floor: records in hash order, cut into runs of k."""
     w = W.partitionBy("_b")

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.sets import hamming
 from .majority import targets
+from .records import weight_of
 
 
 def cluster_cost(recs: DataFrame, groups: DataFrame, centers: DataFrame) -> DataFrame:
@@ -24,11 +25,17 @@ def best_center(recs: DataFrame, groups: DataFrame) -> DataFrame:
 
 
 def medoid(recs: DataFrame, groups: DataFrame) -> DataFrame:
-    """The member with the least sum of distances; for groups of bounded size."""
+    """The member with the least sum of distances, ties by id; records may be ``weighted``.
+
+    No pairs are made: with g members, s items in all and c members that hold an item, the distances
+    to a set a sum to g |a| + s - 2 * (sum of c over a)."""
     g = recs.join(groups.select("record_id", "group_id"), "record_id")
-    a = g.select("group_id", "record_id", F.col("items").alias("ia"))
-    b = g.select("group_id", F.col("items").alias("ib"))
-    total = a.join(b, "group_id").groupBy("group_id", "record_id").agg(F.sum(hamming(F.col("ia"), F.col("ib"))).alias("d"))
+    sets = g.groupBy("group_id", "items").agg(F.min("record_id").alias("record_id"), F.sum(weight_of(g)).alias("w"))
+    cells = sets.select("group_id", "record_id", "w", F.size("items").alias("n"), F.explode_outer("items").alias("item"))
+    held = cells.groupBy("group_id", "item").agg(F.sum("w").alias("c")).where("item IS NOT NULL")
+    near = cells.join(held, ["group_id", "item"], "left").groupBy("group_id", "record_id", "n").agg(F.coalesce(F.sum("c"), F.lit(0)).alias("shared"))
+    whole = sets.groupBy("group_id").agg(F.sum("w").alias("g"), F.sum(F.col("w") * F.size("items")).alias("s"))
+    total = near.join(whole, "group_id").select("group_id", "record_id", (F.col("g") * F.col("n") + F.col("s") - 2 * F.col("shared")).alias("d"))
     pick = total.groupBy("group_id").agg(F.min(F.struct("d", "record_id")).alias("m")).select("group_id", F.col("m.record_id").alias("record_id"), F.col("m.d").alias("cost"))
     return pick.join(recs.select("record_id", "items"), "record_id").select("group_id", "record_id", "items", "cost")
 

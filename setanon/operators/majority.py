@@ -13,8 +13,12 @@ from .records import diff, to_edges
 
 
 def group_counts(recs: DataFrame, groups: DataFrame) -> DataFrame:
-    """(group_id, item, c, g) for items that a group holds."""
+    """(group_id, item, c, g) for items that a group holds; records may be ``weighted``."""
     g = groups.select("record_id", "group_id")
+    if "weight" in recs.columns:
+        rows = recs.join(g, "record_id").select("group_id", "items", "weight")
+        held = rows.select("group_id", "weight", F.explode("items").alias("item")).groupBy("group_id", "item").agg(F.sum("weight").alias("c"))
+        return held.join(rows.groupBy("group_id").agg(F.sum("weight").alias("g")), "group_id")
     held = to_edges(recs).join(g, "record_id").groupBy("group_id", "item").agg(F.count(F.lit(1)).alias("c"))
     return held.join(g.groupBy("group_id").agg(F.count(F.lit(1)).alias("g")), "group_id")
 
