@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .records import to_edges
+from .records import to_edges, weighted
 
 
 def known_items(recs: DataFrame, known: int, of: int, exclude_top: int = 0, seed: int = 0) -> DataFrame:
@@ -22,10 +22,20 @@ def known_items(recs: DataFrame, known: int, of: int, exclude_top: int = 0, seed
 
 
 def candidates(facts: DataFrame, released: DataFrame, known: int) -> DataFrame:
-    """(victim, candidates): released records that hold all the known items, by an inverted index."""
-    hit = facts.join(to_edges(released), "item").groupBy("victim", "record_id").agg(F.count(F.lit(1)).alias("hits")).where(F.col("hits") == known)
-    n = hit.groupBy("victim").agg(F.count(F.lit(1)).alias("candidates"))
-    return facts.select("victim").distinct().join(n, "victim", "left").select("victim", F.coalesce("candidates", F.lit(0)).alias("candidates"))
+    """(victim, candidates): released records that hold all the known items.
+
+    Victims of the same known items are asked once, and equal released sets are looked at once: the
+    known items' rarest one leads to sets, which are then checked for the others."""
+    asked = facts.groupBy("victim").agg(F.sort_array(F.collect_set("item")).alias("facts"))
+    kinds = asked.where(F.size("facts") == known).select("facts").distinct()
+    sets = weighted(released)
+    cells = to_edges(sets)
+    often = cells.groupBy("item").agg(F.count(F.lit(1)).alias("n"))
+    rarest = kinds.select("facts", F.explode("facts").alias("item")).join(often, "item", "left")
+    rarest = rarest.groupBy("facts").agg(F.min(F.struct(F.coalesce("n", F.lit(0)).alias("n"), "item")).alias("m")).select("facts", F.col("m.item").alias("item"))
+    hit = rarest.join(cells, "item").join(sets, "record_id").where(F.size(F.array_except("facts", "items")) == 0)
+    n = hit.groupBy("facts").agg(F.sum("weight").alias("candidates"))
+    return asked.join(n, "facts", "left").select("victim", F.coalesce("candidates", F.lit(0)).alias("candidates"))
 
 
 def attack_rate(recs: DataFrame, released: DataFrame, known: int = 6, of: int = 8, exclude_top: int = 500, seed: int = 0) -> DataFrame:

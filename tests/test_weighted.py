@@ -84,3 +84,42 @@ def test_keyword_sets(spark):
     log = spark.createDataFrame([("u", 0, 1, "new cars"), ("u", 5, 2, "cars new"), ("v", 0, 3, "new cars"), ("v", 9999, 4, "old")], "user_id string, t int, seq long, query string").withColumn("ts", F.timestamp_seconds("t")).drop("t")
     got = {tuple(r["items"]): (r.record_id, r.weight) for r in threads.keyword_sets(threads.threads_by_gap(log, 60)).collect()}
     assert got == {("cars", "new"): ("u/1", 2), ("old",): ("v/2", 1)}
+
+
+def copies(spark, n, *more):
+    """n records of the set a, b, and single ones of further sets."""
+    many = spark.range(n).select(F.format_string("%07d", "id").alias("record_id"), F.lit("u").alias("user_id"), F.split(F.lit("a b"), " ").alias("items"))
+    return many.unionByName(spark.createDataFrame([(f"x{i}", "u", s.split()) for i, s in enumerate(more)], SCHEMA)) if more else many
+
+
+def test_candidates_of_copies(spark):
+    """60,000 copies would be 3.6 billion pairs of victims and records."""
+    recs = copies(spark, 60_000, "a c")
+    from setanon.operators import attacks
+
+    assert tuple(attacks.attack_rate(recs, recs, 2, 2, 0).select("victims", "unique_matches").first()) == (60_001, 1)
+
+
+def test_rounds_of_copies(spark):
+    """20,000 copies would be 200 million pairs; single sets still find a group."""
+    from setanon.plans.pipeline import suppress_rounds
+
+    g = suppress_rounds(copies(spark, 20_000, "a c"), 3).groupBy("group_id").count().collect()
+    assert [r["count"] for r in g] == [20_001]
+
+
+def test_facility_of_copies(spark):
+    """Copies that no single record needs never reach a kernel; those that it may join do."""
+    recs = copies(spark, 3_000, "a b c").withColumn("bucket_id", F.lit("one"))
+    r = anonymize(recs, 3, AnonOptions(bucketing="given", solver="facility", max_bucket=9_000))
+    sizes = sorted(x["count"] for x in r.groups.groupBy("group_id").count().collect())
+    assert sizes == [4, 2_997] and r.edits.count() == 1
+
+
+def test_log_plans_stay_small(spark):
+    """What is read back from a release does not carry the plan that made it, once for each table."""
+    from setanon.plans import querylog
+
+    log = spark.createDataFrame([(f"u{i % 9}", i, i, f"new cars {i % 4}") for i in range(90)], "user_id string, t int, seq long, query string").withColumn("ts", F.timestamp_seconds("t")).drop("t")
+    r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", split="gap", gap_seconds=60, anon=AnonOptions(p=1), canonicalize=True))
+    assert len(r.audit_literal(3)._jdf.queryExecution().toString()) < 200_000
