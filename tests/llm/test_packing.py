@@ -126,3 +126,24 @@ def test_ties_do_not_depend_on_the_order_of_rows(spark):
     frame = lambda r: spark.createDataFrame(r, "doc_id long, text string")
     got = [sorted(map(str, packing.pack(frame(r), tokenizer=PATH, window=64).collect())) for r in (rows, rows[::-1])]
     assert got[0] == got[1]
+
+
+def test_counts_of_documents_in_one_go():
+    """Each token once for a document; routes' sizes are those of the dealing."""
+    rnd = np.random.default_rng(2)
+    docs = [rnd.integers(0, 9, n).astype("<u2") for n in (0, 1, 7, 30)]
+    counts = packing._Counts()
+    counts.add_all(np.concatenate(docs), [len(d) for d in docs])
+    counts.add(docs[2])
+    want = np.bincount(np.concatenate([np.unique(d) for d in [*docs, docs[2]]]), minlength=len(counts.df))
+    assert counts.df.tolist() == want.tolist() and (counts.n, counts.total) == (5, 45)
+
+
+def test_route_sizes_equal_the_dealing(spark):
+    texts = ["tea pot", "tea kettle", "", None, "pot and kettle", "zebra"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(2)
+    tokens = packing.encoded(packing.doc_text(docs), PATH, 1, "<u2").cache()
+    counts = packing.corpus_stats(tokens)
+    tokens = tokens.where("count IS NULL")
+    by = {r.route: r["sum(size)"] for r in packing.routed(tokens, counts.df, "<u2").groupBy("route").sum("size").collect()}
+    assert {r.route: r["size"] for r in packing.route_sizes(tokens, counts.df, "<u2").collect()} == by
