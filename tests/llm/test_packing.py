@@ -147,3 +147,19 @@ def test_route_sizes_equal_the_dealing(spark):
     tokens = tokens.where("count IS NULL")
     by = {r.route: r["sum(size)"] for r in packing.routed(tokens, counts.df, "<u2").groupBy("route").sum("size").collect()}
     assert {r.route: r["size"] for r in packing.route_sizes(tokens, counts.df, "<u2").collect()} == by
+
+
+def test_pieces_of_a_slice_are_looked_up_once():
+    from setanon.llm.encoding import PieceEncoder
+
+    texts = ["", "one two one", "Ünter über.\nDon't stop one", "a\tb  c", "x\n\ny 12", "<|endoftext|> z", "\n", "2 one", "東京 one", "one"]
+    whole = Tokenizer.from_file(PATH)
+    want = [[*whole.encode(t, add_special_tokens=False).ids, 1] for t in texts]
+    enc = PieceEncoder(PATH, spaced=False)
+    asked, make = [], enc.inner.make
+    enc.inner.make = lambda piece: asked.append(piece) or make(piece)
+    flat, sizes = enc.closed(texts, 1)
+    assert sizes.tolist() == [len(x) for x in want]
+    assert flat.tolist() == [i for x in want for i in x]
+    assert asked.count("one") == 1
+    assert [len(x) for x in enc.closed([], 1)] == [0, 0]
