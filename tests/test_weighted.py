@@ -123,3 +123,37 @@ def test_log_plans_stay_small(spark):
     log = spark.createDataFrame([(f"u{i % 9}", i, i, f"new cars {i % 4}") for i in range(90)], "user_id string, t int, seq long, query string").withColumn("ts", F.timestamp_seconds("t")).drop("t")
     r = querylog.anonymize_log(log, 3, querylog.LogOptions("k", split="gap", gap_seconds=60, anon=AnonOptions(p=1), canonicalize=True))
     assert len(r.audit_literal(3)._jdf.queryExecution().toString()) < 200_000
+
+
+def test_log_cost_is_that_of_the_log(spark):
+    """Copies of threads are counted; the cost is that of the run that lists them."""
+    import datetime as dt
+
+    from setanon.plans.querylog import LogOptions, anonymize_log, log_cost
+
+    words = ["red car", "red cars now", "blue sky", "blue sky map", "tax form"]
+    day = lambda n: dt.datetime(2020, 1, 1) + dt.timedelta(days=n)
+    rows = [(f"u{u}", day(i), u * 10 + i, words[(u * i + i) % 5 if u % 3 else i]) for u in range(12) for i in range(5)]
+    log = spark.createDataFrame(rows, "user_id string, ts timestamp, seq long, query string")
+    for split in ("topics", "sessions"):
+        o = LogOptions("k", split=split, anon=AnonOptions(p=1))
+        got = {r.metric: r.value for r in log_cost(log, 3, o).collect()}
+        r = anonymize_log(log, 3, o)
+        want = {x.metric: x.value for x in r.result.cost.collect()}
+        assert got.pop("edges") == r.threads.agg(F.sum(F.size("items"))).first()[0]
+        for metric in ("total", "records_kept", "records_dropped", "edges_kept", "del_small_cluster"):
+            assert got[metric] == want[metric], (split, metric)
+
+
+def test_search_is_whole(spark):
+    """Every query against every record, over more places than one word of bits holds."""
+    import random
+
+    from setanon.operators.distance import search
+
+    rng = random.Random(3)
+    sets = {str(i): sorted(rng.sample(range(130), rng.randint(0, 12))) for i in range(60)} | {"60": [129], "61": [63, 64], "62": [63, 64]}
+    v = spark.createDataFrame(list(sets.items()), "record_id string, places array<int>")
+    got = {(r.a, r.b): (r.common, r.d) for r in search(v.where("record_id % 20 = 0"), v).collect()}
+    want = {(a, b): (len(set(x) & set(y)), len(set(x) ^ set(y))) for a, x in sets.items() for b, y in sets.items() if int(a) % 20 == 0 and a != b and set(x) & set(y)}
+    assert got == want
