@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -45,7 +46,8 @@ def label_utility(recs: DataFrame, labels: DataFrame, features: int = 1 << 12) -
 
     d = HashingTF(inputCol="items", outputCol="features", numFeatures=features, binary=True).transform(recs.join(labels, "record_id").where(F.size("items") > 0)).withColumn("label", F.col("label").cast("double"))
     fold = F.pmod(F.xxhash64("record_id"), F.lit(3))
-    train, test = d.where(fold != 0), d.where(fold == 0)
+    d = d.select("features", "label", fold.alias("fold")).persist(StorageLevel.DISK_ONLY)  # read five times; words are not needed any more
+    train, test = d.where("fold <> 0"), d.where("fold = 0")
     if not train.head(1) or not test.head(1):
         return recs.sparkSession.createDataFrame([(0, 0.0)], "tested long, accuracy double")
     p = NaiveBayes(modelType="bernoulli").fit(train).transform(test)
