@@ -225,18 +225,20 @@ def write_shards(docs: DataFrame, out: str, *, tokenizer: str, end_id: int = 0,
     def run(batches):
         enc, writer, sink, made = encoder(tokenizer, True), None, None, {}
         store, folder = _filesystem(out)
-        end = np.asarray([end_id], dtype=f"<u{id_bytes}").tobytes()
         name = f"shard-{TaskContext.get().partitionId():06d}.sst"
         scratch = f"{folder}/.{name}.{uuid.uuid4().hex}"
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for doc_id, data in zip(ids, enc.encode(texts)):
+            flat, sizes = enc.closed(texts, end_id)
+            flat, at = memoryview(flat.astype(f"<u{id_bytes}")).cast("B"), 0
+            for doc_id, size in zip(ids, (sizes * id_bytes).tolist()):
                 if writer is None:
                     store.create_dir(folder, recursive=True)
                     sink = store.open_output_stream(scratch)
                     writer = Writer(sink, id_bytes=id_bytes)
                     made = {"first_id": doc_id, "n_tokens": 0}
-                value = np.frombuffer(data, dtype="<u4").astype(f"<u{id_bytes}").tobytes() + end
+                value = bytes(flat[at : at + size])
+                at += size
                 writer.add(key_of(doc_id), value)
                 made["last_id"] = doc_id
                 made["n_tokens"] += len(value) // id_bytes

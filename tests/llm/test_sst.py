@@ -78,3 +78,24 @@ def test_damage_is_noticed():
     raw[3] ^= 1
     with pytest.raises(Exception):
         list(sst.Reader(io.BytesIO(bytes(raw))).scan())
+
+
+def test_texts_of_a_batch_are_encoded_together():
+    """Ids of whole batches, line starts and odd texts included, are those of the library text by text."""
+    import numpy as np
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from setanon.llm.encoding import PieceEncoder
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    whole = Tokenizer.from_file(path)
+    texts = ["the cat, the dog.\nthe cat!", "", "\ttab\r\nline", " lead", "a  b", "don't (stop)\nDon't", "Été à l'école\nété", "x<|endoftext|>y", "日本 語\n日本", "one", "éte é", "a1 b2, ...\n--", "the cat, the dog.\nthe cat!", "...", "ªº x", "a\tb", "0 1 0\n0"]
+    enc = PieceEncoder(path, spaced=True)
+    for _ in range(2):  # and from the memo
+        flat, sizes = enc.closed(texts, 0)
+        want = [whole.encode(t, add_special_tokens=False).ids + [0] for t in texts]
+        assert sizes.tolist() == [len(w) for w in want]
+        assert flat.tolist() == [i for w in want for i in w]
+    assert [len(x) for x in enc.closed([], 0)] == [0, 0]
+    assert enc.closed(["", ""], 0)[0].tolist() == [0, 0] and isinstance(flat, np.ndarray)
