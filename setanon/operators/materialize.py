@@ -13,6 +13,10 @@ def cluster_keywords(threads: DataFrame, buckets: DataFrame, tokens: DataFrame,
     """(bucket_id, token, keyword): the keyword that stands for a token in a cluster: the most
     frequent one, ties in alphabetic order; or the first, or one by hash."""
     held = threads.select(F.col("thread_id").alias("record_id"), F.explode("items").alias("keyword")).join(buckets.select("record_id", "bucket_id"), "record_id").join(tokens, "keyword")
+    return _standing(held, pick)
+
+
+def _standing(held: DataFrame, pick: str) -> DataFrame:
     n = held.groupBy("bucket_id", "token", "keyword").agg(F.count(F.lit(1)).alias("n"))
     order = {"mode": [F.desc("n"), F.col("keyword")], "first": [F.col("keyword")], "hash": [F.xxhash64("keyword"), F.col("keyword")]}[pick]
     return n.withColumn("r", F.row_number().over(W.partitionBy("bucket_id", "token").orderBy(*order))).where("r = 1").select("bucket_id", "token", "keyword")
@@ -28,6 +32,33 @@ def lift_edits(edits: DataFrame, threads: DataFrame, groups: DataFrame, tokens:
     return gone.unionByName(new.select("record_id", F.col("keyword").alias("item"), F.lit("add").alias("op")))
 
 
+def held_edits(held: DataFrame, tokens: DataFrame, pick: str = "mode") -> DataFrame:
+    """``lift_edits`` of ``held(record_id, bucket_id, keywords, items, target)``, threads beside their
+    solution: only threads that are edited are taken apart, and none is joined with itself."""
+    edited = held.withColumn("lost", F.array_except("items", "target")).withColumn("won", F.array_except("target", "items"))
+    own = edited.where(F.size("lost") > 0).select("record_id", "lost", F.explode("keywords").alias("keyword")).join(tokens, "keyword")
+    gone = own.where(F.array_contains("lost", F.col("token"))).select("record_id", F.col("keyword").alias("item"), F.lit("del").alias("op"))
+    new = edited.select("record_id", "bucket_id", F.explode("won").alias("token"))
+    new = new.join(held_keywords(held, tokens.join(new.select("token").distinct(), "token", "left_semi"), pick), ["bucket_id", "token"])
+    return gone.unionByName(new.select("record_id", F.col("keyword").alias("item"), F.lit("add").alias("op")))
+
+
+def held_keywords(held: DataFrame, tokens: DataFrame, pick: str = "mode") -> DataFrame:
+    """``cluster_keywords`` of threads beside their solution."""
+    threads = held.select(F.col("record_id").alias("thread_id"), "bucket_id", F.col("keywords").alias("items"))
+    return _standing(threads.select("bucket_id", F.explode("items").alias("keyword")).join(tokens, "keyword"), pick)
+
+
+def held_spelling(held: DataFrame, tokens: DataFrame, pick: str = "mode") -> DataFrame:
+    """(record_id, keyword, to): the keywords that their cluster spells otherwise. Only tokens of
+    several keywords can have one."""
+    several = tokens.where(is_word(F.col("keyword"))).groupBy("token").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("token")
+    tokens = tokens.join(several, "token", "left_semi")
+    own = held.select("record_id", "bucket_id", F.explode("keywords").alias("keyword")).join(tokens, "keyword").where(is_word(F.col("keyword")))
+    stand = held_keywords(held, tokens, pick).withColumnRenamed("keyword", "to")
+    return own.join(stand, ["bucket_id", "token"]).where(F.col("keyword") != F.col("to")).select("record_id", "keyword", "to")
+
+
 def rewrite_queries(threads: DataFrame, edits: DataFrame, canon: DataFrame | None = None) -> DataFrame:
     """(thread_id, user_id, queries): every occurrence of a deleted keyword goes, inserted ones are
     appended to the first query, queries without words vanish; attribute items never enter a text.
