@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -59,11 +59,18 @@ def held_spelling(held: DataFrame, tokens: DataFrame, pick: str = "mode") -> Dat
     return own.join(stand, ["bucket_id", "token"]).where(F.col("keyword") != F.col("to")).select("record_id", "keyword", "to")
 
 
+def held_attributes() -> Column:
+    """``edited_attributes`` of a thread beside its solution: an attribute item is its own token."""
+    mark = lambda c: F.filter(c, lambda x: ~is_word(x))
+    left = F.array_except(mark("keywords"), F.array_except("items", "target"))
+    return canonical(F.concat(left, mark(F.array_except("target", "items")))).alias("attributes")
+
+
 def rewrite_queries(threads: DataFrame, edits: DataFrame, canon: DataFrame | None = None) -> DataFrame:
     """(thread_id, user_id, queries): every occurrence of a deleted keyword goes, inserted ones are
     appended to the first query, queries without words vanish; attribute items never enter a text.
     ``canon(record_id, keyword, to)``
-    rewrites keywords to their cluster's common spelling."""
+    rewrites keywords to their cluster's common spelling. ``attributes`` of the threads stay."""
     by = edits.where(is_word(F.col("item"))).groupBy("record_id").agg(F.collect_list(F.when(F.col("op") == "del", F.col("item"))).alias("gone"), F.array_sort(F.collect_list(F.when(F.col("op") == "add", F.col("item")))).alias("new"))
     none = F.array().cast("array<string>")
     t = threads.join(by.withColumnRenamed("record_id", "thread_id"), "thread_id", "left").withColumn("gone", F.coalesce("gone", none)).withColumn("new", F.coalesce("new", none))
@@ -76,7 +83,7 @@ def rewrite_queries(threads: DataFrame, edits: DataFrame, canon: DataFrame | Non
     first = F.array_min(F.transform("queries", lambda q: q["seq"]))
     kept = lambda q: F.transform(F.filter(words(q["query"]), lambda w: ~F.array_contains(F.col("gone"), w)), spell)
     rewritten = F.transform("queries", lambda q: F.struct(q["seq"].alias("seq"), F.concat_ws(" ", F.when(q["seq"] == first, F.concat(kept(q), F.col("new"))).otherwise(kept(q))).alias("query")))
-    return t.select("thread_id", "user_id", F.filter(rewritten, lambda q: q["query"] != "").alias("queries"))
+    return t.select("thread_id", "user_id", F.filter(rewritten, lambda q: q["query"] != "").alias("queries"), *(["attributes"] if "attributes" in threads.columns else []))
 
 
 def edited_attributes(threads: DataFrame, edits: DataFrame) -> DataFrame:
@@ -92,5 +99,6 @@ def edited_attributes(threads: DataFrame, edits: DataFrame) -> DataFrame:
 def release(rewritten: DataFrame, attributes: DataFrame | None = None) -> DataFrame:
     """(thread_id, seq, query): no user, no time; seq only orders a thread's queries. With
     ``attributes(thread_id, attributes)`` these are one more column."""
-    out = rewritten.select("thread_id", F.posexplode("queries").alias("seq", "q")).select("thread_id", F.col("seq").cast("long").alias("seq"), F.col("q.query").alias("query"))
+    own = ["attributes"] if attributes is None and "attributes" in rewritten.columns else []
+    out = rewritten.select("thread_id", *own, F.posexplode("queries").alias("seq", "q")).select("thread_id", F.col("seq").cast("long").alias("seq"), F.col("q.query").alias("query"), *own)
     return out if attributes is None else out.join(attributes, "thread_id").select("thread_id", "seq", "query", "attributes")
